@@ -5,8 +5,28 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import quality
-from .common import table
+from . import piece_bpe, quality, token_files
+from .common import table, tokenizer_path, workspace
+
+
+def op1_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Encode every whole text by merge rounds, decode the ids, and digest both."""
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    path = tokenizer_path("piece_bpe_32k.model")
+    ids = piece_bpe.encoded(docs, path, keep_text=False)
+    return piece_bpe.decoded(ids, path).select(
+        "doc_id",
+        F.size("ids").cast("bigint").alias("n_tokens"),
+        F.sha2(F.concat_ws(",", F.col("ids").cast("array<string>")), 256).alias("ids_sha256"),
+        F.sha2("decoded", 256).alias("decoded_sha256"),
+    )
+
+
+def op2_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Write the ids of all documents to flat files and read place, size and checksum of each document back."""
+    docs = table(spark, sf_dir, "documents")
+    data = token_files.write(docs, workspace(spark, "token-files"), tokenizer_path("word_bpe_49k.json"))
+    return token_files.read(spark, data, checksum_only=True)
 
 
 def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -19,6 +39,8 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict:
     return {
+        "op1_sentencepiece": op1_sentencepiece,
+        "op2_token_files": op2_token_files,
         "op10_quality_rules": op10_quality_rules,
     }
 
