@@ -62,7 +62,7 @@ def publish(uri: str, name: str, write) -> str:
     store.create_dir(root, recursive=True)
     final, draft = f"{root}/{name}", f"{root}/.{name}.{uuid.uuid4().hex}"
     try:
-        with store.open_output_stream(draft) as out:
+        with store.open_output_stream(draft, compression=None) as out:
             write(out)
         store.move(draft, final)
     except BaseException:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import piece_bpe, quality, token_files
+from . import piece_bpe, quality, token_files, warc
 from .common import table, tokenizer_path, workspace
 
 
@@ -29,6 +29,13 @@ def op2_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.read(spark, data, checksum_only=True)
 
 
+def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Write all pages as archives and describe every record that is read back."""
+    path = workspace(spark, "warc")
+    names = warc.write(warc.deduplicated(table(spark, sf_dir, "pages")), path)
+    return warc.read(spark, path, names, payloads=False).drop("url")
+
+
 def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One row per document: the base measures, base_failed and the method's verdict."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
@@ -41,9 +48,44 @@ def queries() -> dict:
     return {
         "op1_sentencepiece": op1_sentencepiece,
         "op2_token_files": op2_token_files,
+        "op7_warc": op7_warc,
         "op10_quality_rules": op10_quality_rules,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return ORACLES
+
+
+ORACLES = {
+    "op7_warc": """
+        WITH p AS (SELECT page_id, octet_length(encode(coalesce(html, ''))) AS payload_bytes, sha256(coalesce(html, '')) AS payload_digest FROM pages),
+        f AS (SELECT *, min(page_id) OVER (PARTITION BY payload_digest) AS first_id FROM p)
+        SELECT page_id, payload_bytes, payload_digest,
+               CASE WHEN payload_bytes >= 100 AND page_id <> first_id THEN 'revisit' ELSE 'response' END AS record_type,
+               CASE WHEN payload_bytes >= 100 AND page_id <> first_id THEN first_id END AS refers_to
+        FROM f""",
+    "op10_quality_rules": r"""
+        WITH d AS (SELECT doc_id, coalesce(text, '') AS t FROM documents),
+        w AS (SELECT doc_id, t, regexp_extract_all(t, '[^\x20\x09-\x0D]+') AS ws,
+                     list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS ls,
+                     list_distinct(regexp_split_to_array(lower(t), '[^\pL]+')) AS ts FROM d),
+        g AS (SELECT doc_id, i, array_to_string(ws[i:i+4], ' ') AS k FROM (SELECT doc_id, ws, unnest(range(1, len(ws) - 3)) AS i FROM w)),
+        r AS (SELECT doc_id, i, count(*) OVER (PARTITION BY doc_id, k) AS c FROM g),
+        v AS (SELECT doc_id, count(DISTINCT i + j) AS n FROM r, range(5) AS o(j) WHERE c > 1 GROUP BY doc_id),
+        m AS (SELECT w.doc_id, len(ws) AS n_words, length(regexp_replace(t, '[\x20\x09-\x0D]', '', 'g')) AS word_chars,
+                     length(regexp_replace(t, '[^#*$%&|<>]', '', 'g')) AS n_symbols,
+                     len(ls) - len(list_distinct(ls)) AS n_dup_lines, coalesce(v.n, 0) AS n_repeat_words, len(ls) AS n_lines,
+                     len(list_filter(ls, lambda x: rtrim(x, ' ') LIKE '%...' OR rtrim(x, ' ') LIKE '%…')) AS n_ellipsis,
+                     len(list_filter(ls, lambda x: regexp_matches(ltrim(x, ' '), '^[-*•]'))) AS n_bullet,
+                     len(list_filter(ws, lambda x: regexp_matches(x, '\pL'))) AS n_letter,
+                     len(list_filter(ts, lambda x: list_contains([{stop}], x))) AS n_stop
+              FROM w LEFT JOIN v USING (doc_id)),
+        b AS (SELECT *, n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_failed FROM m)
+        SELECT doc_id, n_words::BIGINT AS n_words, word_chars::BIGINT AS word_chars, n_symbols::BIGINT AS n_symbols,
+               n_dup_lines::BIGINT AS n_dup_lines, n_repeat_words::BIGINT AS n_repeat_words, base_failed,
+               NOT base_failed AND word_chars BETWEEN 1.5 * n_words AND 14 * n_words AND n_symbols <= 0.25 * n_words
+               AND n_dup_lines <= 0.3 * n_lines AND n_ellipsis <= 0.5 * n_lines AND n_bullet <= 0.9 * n_lines
+               AND n_letter >= 0.6 * n_words AND n_stop >= 1 AS kept
+        FROM b""".replace(r"\\", "\\").replace("{stop}", ", ".join(f"'{w}'" for w in sorted({w for words in quality.STOP_WORDS.values() for w in words}))),
+}
