@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import piece_bpe, quality, token_files, warc
+from . import licenses, piece_bpe, quality, token_files, warc
 from .common import table, tokenizer_path, workspace
 
 
@@ -29,6 +29,28 @@ def op2_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.read(spark, data, checksum_only=True)
 
 
+def op4_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Scan every whole text for phrases and notices and sum the spans up per document."""
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    out = licenses.scanned(docs, keep_text=False)
+    base = F.filter("spans", lambda s: s["base"])
+    starts = F.transform(base, lambda s: s["first_word"])
+
+    def labels(spans):
+        return F.array_join(F.array_sort(F.array_distinct(F.transform(spans, lambda s: s["label"]))), ",")
+
+    return out.select(
+        "doc_id",
+        "n_words",
+        F.size(base).cast("bigint").alias("n_base"),
+        F.array_min(starts).alias("first_word"),
+        F.array_max(starts).alias("last_word"),
+        labels(base).alias("base_labels"),
+        labels(F.col("spans")).alias("labels"),
+        F.coalesce(F.array_max(F.transform("spans", lambda s: s["similarity"])), F.lit(0.0)).alias("score"),
+    )
+
+
 def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Write all pages as archives and describe every record that is read back."""
     path = workspace(spark, "warc")
@@ -48,6 +70,7 @@ def queries() -> dict:
     return {
         "op1_sentencepiece": op1_sentencepiece,
         "op2_token_files": op2_token_files,
+        "op4_licenses": op4_licenses,
         "op7_warc": op7_warc,
         "op10_quality_rules": op10_quality_rules,
     }
