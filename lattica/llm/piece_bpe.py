@@ -30,7 +30,10 @@ from .wordcache import CachedEncoder, slices
 SPACE = "▁"
 _SHIFT = 21
 _NONE = np.int32(2**31 - 1)
+#: Parts of a text: words with the spaces before them. The second form also cuts at line ends and between a letter and
+#: a full stop or comma; it holds for models where no piece joins those.
 _PARTS = re.compile(" *[^ ]+| +")
+_FINE_PARTS = re.compile(r" *[^\W\d_]+(?=[ .,\n]|$)| *[^ \n]+|\n| +")
 
 
 def _utf8_ids(points: np.ndarray, byte_ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -113,6 +116,8 @@ class PieceBpe:
         at = np.argsort(np.array(keys, np.int64))
         self.keys, self.ranks = np.array(keys, np.int64)[at], np.array(ranks, np.int32)[at]
         self.near = np.array(sorted(near), np.int64)
+        joined = {(chr(k >> _SHIFT), chr(k & ((1 << _SHIFT) - 1))) for k in near}
+        self.parts = _PARTS if any("\n" in j or j[1] in ".," and j[0].isalpha() for j in joined) else _FINE_PARTS
         self.safe = np.array([contained.get(p, len(order)) > r for p, r in order.items()])
 
     @staticmethod
@@ -209,9 +214,8 @@ class PieceBpe:
         ends = (np.cumsum(np.bincount(word, minlength=len(parts))) * 4).tolist()
         return [raw[a:b] for a, b in zip([0, *ends[:-1]], ends, strict=True)]
 
-    @staticmethod
-    def parts_of(text: str) -> list[str]:
-        return _PARTS.findall(" " + text.replace(SPACE, " ")) if text else []
+    def parts_of(self, text: str) -> list[str]:
+        return self.parts.findall(" " + text.replace(SPACE, " ")) if text else []
 
     def decode(self, ids: list[int]) -> str:
         """The library's text for ids that encode a text: pieces joined, the prefix taken off, byte pieces as UTF-8."""
@@ -226,7 +230,7 @@ def model(path: str) -> PieceBpe:
 
 @lru_cache(maxsize=4)
 def _encoder(path: str) -> CachedEncoder:
-    return CachedEncoder(PieceBpe.parts_of, model(path).encode_parts)
+    return CachedEncoder(model(path).parts_of, model(path).encode_parts)
 
 
 def encoded(docs: DataFrame, model_path: str, text: str = "text", ids: str = "ids", keep_text: bool = True) -> DataFrame:

@@ -29,7 +29,10 @@ from .wordcache import CachedEncoder, slices
 
 NULL_ID = -(2**63)
 DOCS_PER_SHARD = 1 << 16
-_SPACES = re.compile(" +")
+#: Cuts that never part a token: at white space, and between an ASCII letter and a full stop or comma.
+_CUT = re.compile(r"[ \n]+|(?<=[A-Za-z])(?=[.,])")
+#: So many words are encoded in one call.
+_CALL = 512
 
 
 @lru_cache(maxsize=4)
@@ -44,10 +47,29 @@ def _encoder(path: str) -> CachedEncoder:
     if kind["model"]["type"] != "BPE" or kind["post_processor"] or not (splits["type"] == "Split" and splits["invert"] and r"\s" in splits["pattern"]["Regex"]) or any(" " in t["content"] or t["lstrip"] or t["rstrip"] or t["single_word"] for t in kind["added_tokens"]):
         raise ValueError("only BPE tokenizers that drop white space between words are supported")
 
-    def encode(words: list[str]) -> list[bytes]:
-        return [np.array(e.ids, "<u4").tobytes() for e in tokenizer.encode_batch(words, add_special_tokens=False)]
+    ends = np.zeros(vocabulary_size(path), bool)
+    suffix = kind["model"]["end_of_word_suffix"]
+    ends[[i for w, i in kind["model"]["vocab"].items() if suffix and w.endswith(suffix)]] = True
+
+    def one_by_one(words: list[str]) -> list[bytes]:
+        return [np.array(e.ids, "<u4").tobytes() for e in tokenizer.encode_batch_fast(words, add_special_tokens=False)]
 
-    return CachedEncoder(lambda text: [w for w in text.split(" ") if w], encode)
+    def encode(words: list[str]) -> list[bytes]:
+        """Words of letters alone are one unit each, which a single id with the word-end suffix closes: many go in one call."""
+        found: dict[str, bytes] = {}
+        plain = [w for w in words if w.isalpha() and w.lower().isalpha()]
+        for a in range(0, len(plain), _CALL):
+            some = plain[a : a + _CALL]
+            ids = np.array(tokenizer.encode_batch_fast([" ".join(some)], add_special_tokens=False)[0].ids, "<u4")
+            cuts = np.flatnonzero(ends[ids]) + 1
+            if len(cuts) == len(some) and cuts[-1] == len(ids):
+                raw, at = ids.tobytes(), (cuts * 4).tolist()
+                found.update((w, raw[x:y]) for w, x, y in zip(some, [0, *at[:-1]], at, strict=True))
+        rest = [w for w in words if w not in found]
+        found.update(zip(rest, one_by_one(rest), strict=True))
+        return [found[w] for w in words]
+
+    return CachedEncoder(lambda text: [w for w in _CUT.split(text) if w], encode)
 
 
 def vocabulary_size(path: str) -> int:
@@ -105,7 +127,7 @@ def write(docs: DataFrame, path: str, tokenizer: str, end_id: int = 1, doc_id: s
 
     ordered = chosen.repartitionByRange(shards, F.asc_nulls_first("doc_id")).sortWithinPartitions(F.asc_nulls_first("doc_id"), F.asc_nulls_first("text"))
     # one small row for each file: bounded by the number of shards, not by the documents
-    done = sorted(tuple(r) for r in ordered.mapInArrow(run, "shard int, docs bigint, ids bigint").collect())
+    done = sorted(tuple(r) for r in ordered.mapInArrow(run, "shard bigint, docs bigint, ids bigint").collect())
     base, rows = 0, []
     for number, count, n in done:
         rows.append((number, count, n, base))

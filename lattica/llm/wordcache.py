@@ -16,20 +16,21 @@ SLICE_CHARS = 1 << 20
 
 class CachedEncoder:
     def __init__(self, cut: Callable[[str], list[str]], encode: Callable[[list[str]], list[bytes]]):
-        self._cut, self._encode, self._store, self._held = cut, encode, {}, 0
+        self._cut, self._encode, self._new, self._old, self._held = cut, encode, {}, {}, 0
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """The ids of each text, as bytes."""
         parts = [self._cut(t) for t in texts]
-        if self._held > STORE_BYTES:
-            self._store, self._held = {}, 0
-        store = self._store
-        wanted = set().union(*parts) if parts else set()
-        new = [w for w in wanted if w not in store]
+        if self._held > STORE_BYTES:  # pieces not used since the last change of stores go
+            self._new, self._old, self._held = {}, self._new, 0
+        store, old = self._new, self._old
+        missing = [w for w in set().union(*parts) if w not in store]
+        got = {w: old[w] for w in missing if w in old}
+        new = [w for w in missing if w not in got] if got else missing
         if new:
-            got = self._encode(new)
-            store.update(zip(new, got, strict=True))
-            self._held += sum(map(len, new)) * 2 + sum(map(len, got)) + 200 * len(new)
+            got.update(zip(new, self._encode(new), strict=True))
+        store.update(got)
+        self._held += sum(map(len, got)) + sum(map(len, got.values())) + 200 * len(got)
         find = store.__getitem__
         return [b"".join(map(find, p)) for p in parts]
 
