@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import licenses, piece_bpe, quality, token_files, warc
+from . import chat, licenses, mixing, piece_bpe, quality, token_files, warc
 from .common import table, tokenizer_path, workspace
 
 
@@ -29,6 +29,12 @@ def op2_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.read(spark, data, checksum_only=True)
 
 
+def op3_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Mix all documents to the production weights and count what is taken of each."""
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "source")
+    return mixing.taken(docs).select("doc_id", "size", "source_size", "target", "taken", "source")
+
+
 def op4_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Scan every whole text for phrases and notices and sum the spans up per document."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
@@ -58,6 +64,11 @@ def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc.read(spark, path, names, payloads=False).drop("url")
 
 
+def op9_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Collapse snapshots of all conversations and render those that stay."""
+    return chat.formatted(table(spark, sf_dir, "conversations")).select("conv_id", "n_turns", "n_copies", "rendered")
+
+
 def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One row per document: the base measures, base_failed and the method's verdict."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
@@ -70,8 +81,10 @@ def queries() -> dict:
     return {
         "op1_sentencepiece": op1_sentencepiece,
         "op2_token_files": op2_token_files,
+        "op3_mixing": op3_mixing,
         "op4_licenses": op4_licenses,
         "op7_warc": op7_warc,
+        "op9_chat": op9_chat,
         "op10_quality_rules": op10_quality_rules,
     }
 
@@ -81,6 +94,15 @@ def oracle_sql() -> dict[str, str]:
 
 
 ORACLES = {
+    "op9_chat": """
+        WITH t AS (SELECT conv_id, row_number() OVER (PARTITION BY conv_id ORDER BY turn NULLS FIRST, role NULLS FIRST, text NULLS FIRST) AS place,
+                          '<|' || coalesce(role, '') || '|>' || chr(10) || coalesce(text, '') || chr(10) || '<|end|>' || chr(10) AS part,
+                          coalesce('r' || role, 'n') || chr(1) || coalesce('t' || text, 'n') || chr(2) AS content FROM conversations),
+        p AS (SELECT conv_id, place, string_agg(content, '') OVER (PARTITION BY conv_id ORDER BY place) AS prefix, count(*) OVER (PARTITION BY conv_id) AS n_turns FROM t),
+        w AS (SELECT prefix, min(conv_id) AS conv_id, min(n_turns) AS n_turns, count(*) AS n_copies FROM p WHERE place = n_turns GROUP BY prefix),
+        k AS (SELECT * FROM w WHERE prefix NOT IN (SELECT prefix FROM p WHERE place < n_turns))
+        SELECT k.conv_id, k.n_turns, k.n_copies, string_agg(t.part, '' ORDER BY t.place) AS rendered
+        FROM k JOIN t USING (conv_id) GROUP BY ALL""",
     "op7_warc": """
         WITH p AS (SELECT page_id, octet_length(encode(coalesce(html, ''))) AS payload_bytes, sha256(coalesce(html, '')) AS payload_digest FROM pages),
         f AS (SELECT *, min(page_id) OVER (PARTITION BY payload_digest) AS first_id FROM p)
