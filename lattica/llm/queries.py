@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, licenses, mixing, piece_bpe, quality, token_files, warc
+from . import chat, licenses, mixing, neighbours, piece_bpe, quality, token_files, warc
 from .common import table, tokenizer_path, workspace
 
 
@@ -57,6 +57,11 @@ def op4_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op5_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The 20 nearest of every row whose id is divisible by 20, among all other rows."""
+    return neighbours.nearest(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 20 == 0, k=20)
+
+
 def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Write all pages as archives and describe every record that is read back."""
     path = workspace(spark, "warc")
@@ -83,6 +88,7 @@ def queries() -> dict:
         "op2_token_files": op2_token_files,
         "op3_mixing": op3_mixing,
         "op4_licenses": op4_licenses,
+        "op5_neighbours": op5_neighbours,
         "op7_warc": op7_warc,
         "op9_chat": op9_chat,
         "op10_quality_rules": op10_quality_rules,
