@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, licenses, mixing, neighbours, piece_bpe, quality, token_files, warc
+from . import chat, licenses, mixing, near_duplicates, neighbours, piece_bpe, quality, token_files, warc
 from .common import table, tokenizer_path, workspace
 
 
@@ -62,6 +62,11 @@ def op5_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neighbours.nearest(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 20 == 0, k=20)
 
 
+def op6_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One row per document: its near-duplicate class and the number of documents that it links to."""
+    return near_duplicates.joined(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Write all pages as archives and describe every record that is read back."""
     path = workspace(spark, "warc")
@@ -89,6 +94,7 @@ def queries() -> dict:
         "op3_mixing": op3_mixing,
         "op4_licenses": op4_licenses,
         "op5_neighbours": op5_neighbours,
+        "op6_near_duplicates": op6_near_duplicates,
         "op7_warc": op7_warc,
         "op9_chat": op9_chat,
         "op10_quality_rules": op10_quality_rules,
