@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
-from .wordcache import CachedEncoder, slices
+from .wordcache import STICKY_OR_LOOSE, CachedEncoder, slices
 
 SPACE = "▁"
 _SHIFT = 21
@@ -215,7 +215,12 @@ class PieceBpe:
         return [raw[a:b] for a, b in zip([0, *ends[:-1]], ends, strict=True)]
 
     def parts_of(self, text: str) -> list[str]:
-        return self.parts.findall(" " + text.replace(SPACE, " ")) if text else []
+        if not text:
+            return []
+        text = " " + text.replace(SPACE, " ")
+        if self.parts is _PARTS or "\x1f" in text or "  " in text or STICKY_OR_LOOSE.search(text):
+            return self.parts.findall(text)
+        return text.replace(" ", "\x1f ").replace(".", "\x1f.").replace(",", "\x1f,").replace("\n", "\x1f\n\x1f").split("\x1f")
 
     def decode(self, ids: list[int]) -> str:
         """The library's text for ids that encode a text: pieces joined, the prefix taken off, byte pieces as UTF-8."""

@@ -25,12 +25,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import open_store, publish, quiet_threads
-from .wordcache import CachedEncoder, slices
+from .wordcache import STICKY, CachedEncoder, slices
 
 NULL_ID = -(2**63)
 DOCS_PER_SHARD = 1 << 16
-#: Cuts that never part a token: at white space, and between an ASCII letter and a full stop or comma.
-_CUT = re.compile(r"[ \n]+|(?<=[A-Za-z])(?=[.,])")
+#: Cuts that never part a token: at white space, and between a letter and a full stop or comma.
+_CUT = re.compile(r"[ \n]+|(?<=[^\W\d_])(?=[.,])")
 #: So many words are encoded in one call.
 _CALL = 512
 
@@ -69,7 +69,14 @@ def _encoder(path: str) -> CachedEncoder:
         found.update(zip(rest, one_by_one(rest), strict=True))
         return [found[w] for w in words]
 
-    return CachedEncoder(lambda text: [w for w in _CUT.split(text) if w], encode)
+    return CachedEncoder(_words, encode)
+
+
+def _words(text: str) -> list[str]:
+    """Parts that no token spans, and empty ones."""
+    if STICKY.search(text):
+        return _CUT.split(text)
+    return text.replace("\n", " ").replace(".", " .").replace(",", " ,").split(" ")
 
 
 def vocabulary_size(path: str) -> int:

@@ -6,14 +6,21 @@ the bytes of little-endian 32-bit integers; the store is emptied when it grows b
 
 from __future__ import annotations
 
+import re
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 
-STORE_BYTES = 48 << 20
+STORE_BYTES = 80 << 20
 SLICE_CHARS = 1 << 20
 
 
+#: A full stop or comma after something that is neither a letter nor white space.
+STICKY = re.compile(r"[.,](?<![^\W\d_].)(?<!\s.)")
+#: The same, or after white space.
+STICKY_OR_LOOSE = re.compile(r"[.,](?<![^\W\d_].)")
+
+
 class CachedEncoder:
     def __init__(self, cut: Callable[[str], list[str]], encode: Callable[[list[str]], list[bytes]]):
         self._cut, self._encode, self._new, self._old, self._held = cut, encode, {}, {}, 0
