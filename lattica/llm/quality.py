@@ -142,3 +142,9 @@ def judged(docs: DataFrame, rules: tuple[Threshold, ...] = PRODUCTION, text: str
     """Adds the measures, base_failed and kept (false where the base fails, else the table's verdict)."""
     out = measured(docs, text).withColumn("base_failed", base_failed())
     return out.withColumn("kept", ~F.col("base_failed") & compiled(rules))
+
+
+def kept(docs: DataFrame, rules: tuple[Threshold, ...] = PRODUCTION, text: str = "text") -> DataFrame:
+    """The documents that stay, with their own columns only (whatever their names)."""
+    whole = docs.select(F.col(text).alias("text"), F.struct(*[docs[c] for c in docs.columns]).alias("_row"))
+    return judged(whole, rules).where("kept").select("_row.*")

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, licenses, mixing, near_duplicates, neighbours, piece_bpe, quality, token_files, warc
+from . import chat, licenses, mixing, near_duplicates, neighbours, piece_bpe, quality, suffix_dedup, token_files, warc
 from .common import table, tokenizer_path, workspace
 
 
@@ -74,6 +74,11 @@ def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc.read(spark, path, names, payloads=False).drop("url")
 
 
+def op8_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Remove the bytes of all strings of 200 bytes that begin at two places or more, and digest what stays."""
+    return suffix_dedup.digests(table(spark, sf_dir, "documents"))
+
+
 def op9_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Collapse snapshots of all conversations and render those that stay."""
     return chat.formatted(table(spark, sf_dir, "conversations")).select("conv_id", "n_turns", "n_copies", "rendered")
@@ -96,6 +101,7 @@ def queries() -> dict:
         "op5_neighbours": op5_neighbours,
         "op6_near_duplicates": op6_near_duplicates,
         "op7_warc": op7_warc,
+        "op8_suffix_dedup": op8_suffix_dedup,
         "op9_chat": op9_chat,
         "op10_quality_rules": op10_quality_rules,
     }
