@@ -26,47 +26,65 @@ from collections.abc import Iterable, Iterator
 import numpy as np
 
 BLOCK = 1 << 20
-
-
-class Spool:
-    """A queue of (position, common prefix) pairs on disk; small ones stay in memory."""
-
-    def __init__(self, folder: str, name: str, small: int = 1 << 14):
-        self._path, self._small = os.path.join(folder, name), small
-        self._held: list[tuple[np.ndarray, np.ndarray]] = []
-        self._count = self._flushed = 0
-
-    def __len__(self) -> int:
-        return self._count
-
-    def push(self, positions: np.ndarray, common: np.ndarray) -> None:
-        self._held.append((positions, common))
-        self._count += len(positions)
-        if self._count - self._flushed > self._small:
-            with open(f"{self._path}.p", "ab") as p, open(f"{self._path}.c", "ab") as c:
-                for positions, common in self._held:
-                    p.write(positions.tobytes())
-                    c.write(common.tobytes())
-            self._flushed, self._held = self._count, []
-
-    def read(self, a: int, b: int) -> tuple[np.ndarray, np.ndarray]:
-        """The pairs from a to b, in the order in which they were pushed."""
-        parts = []
-        if a < self._flushed:
-            n = min(b, self._flushed) - a
-            with open(f"{self._path}.p", "rb") as p, open(f"{self._path}.c", "rb") as c:
+#: Bytes that a set of queues may hold in memory; arrays above an eighth of it are files.
+MEMORY = 64 << 20
+
+
+class Spools:
+    """Queues of (position, common prefix) pairs by symbol. They stay in memory up to a bound that all share, and go to disk beyond it."""
+
+    def __init__(self, folder: str, name: str, memory: int):
+        self._folder, self._name, self._memory, self._used = folder, name, memory, 0
+        self._held: dict[int, list[tuple[np.ndarray, np.ndarray]]] = {}
+        self._flushed: dict[int, int] = {}
+        self._count: dict[int, int] = {}
+
+    def size(self, c: int) -> int:
+        return self._count.get(c, 0)
+
+    def _paths(self, c: int) -> tuple[str, str]:
+        base = os.path.join(self._folder, f"{self._name}{c}")
+        return f"{base}.p", f"{base}.c"
+
+    def push(self, c: int, positions: np.ndarray, common: np.ndarray) -> None:
+        self._held.setdefault(c, []).append((positions, common))
+        self._count[c] = self.size(c) + len(positions)
+        self._used += positions.nbytes + common.nbytes
+        if self._used > self._memory:
+            for k, parts in self._held.items():
+                if parts:
+                    with open(self._paths(k)[0], "ab") as p, open(self._paths(k)[1], "ab") as q:
+                        for positions, common in parts:
+                            p.write(positions.astype(np.int64).tobytes())
+                            q.write(common.tobytes())
+                    self._flushed[k], self._held[k] = self._count[k], []
+            self._used = 0
+
+    def read(self, c: int, a: int, b: int) -> tuple[np.ndarray, np.ndarray]:
+        """The pairs of a symbol from a to b, in the order in which they were pushed."""
+        parts, at = [], self._flushed.get(c, 0)
+        if a < at:
+            n = min(b, at) - a
+            with open(self._paths(c)[0], "rb") as p, open(self._paths(c)[1], "rb") as q:
                 p.seek(8 * a)
-                c.seek(2 * a)
-                parts.append((np.frombuffer(p.read(8 * n), np.int64), np.frombuffer(c.read(2 * n), np.uint16)))
-        at = self._flushed
-        for positions, common in self._held:
+                q.seek(2 * a)
+                parts.append((np.frombuffer(p.read(8 * n), np.int64), np.frombuffer(q.read(2 * n), np.uint16)))
+        for positions, common in self._held.get(c, []):
             x, y = max(a, at), min(b, at + len(positions))
             if x < y:
                 parts.append((positions[x - at : y - at], common[x - at : y - at]))
             at += len(positions)
         if not parts:
             return np.zeros(0, np.int64), np.zeros(0, np.uint16)
-        return np.concatenate([p for p, _ in parts]), np.concatenate([c for _, c in parts])
+        return np.concatenate([p for p, _ in parts]).astype(np.int64), np.concatenate([q for _, q in parts])
+
+    def drop(self, c: int) -> None:
+        """A queue that was read to its end goes."""
+        self._used -= sum(p.nbytes + q.nbytes for p, q in self._held.pop(c, []))
+        self._count.pop(c, None)
+        if self._flushed.pop(c, 0):
+            for path in self._paths(c):
+                os.remove(path)
 
 
 def _range_min(values: np.ndarray, low: np.ndarray, high: np.ndarray) -> np.ndarray:
@@ -85,11 +103,11 @@ def _range_min(values: np.ndarray, low: np.ndarray, high: np.ndarray) -> np.ndar
 class InducedSorter:
     """Sorts the suffixes of a spooled shard; `repeated` gives what deduplication needs."""
 
-    def __init__(self, folder: str | None = None, depth: int = 200, block: int = BLOCK):
+    def __init__(self, folder: str | None = None, depth: int = 200, block: int = BLOCK, memory: int = MEMORY):
         if folder:
             os.makedirs(folder, exist_ok=True)
         self.folder = tempfile.mkdtemp(prefix="induced-", dir=folder)
-        self.depth, self.block = depth, block
+        self.depth, self.block, self.memory = depth, block, memory
 
     def close(self) -> None:
         shutil.rmtree(self.folder, ignore_errors=True)
@@ -101,7 +119,9 @@ class InducedSorter:
         self.close()
 
     def _array(self, name: str, dtype, n: int) -> np.ndarray:
-        return np.memmap(os.path.join(self.folder, name), dtype, "w+", shape=(max(n, 1),))[:n]
+        if n * np.dtype(dtype).itemsize <= self.memory // 8:
+            return np.zeros(n, dtype)
+        return np.memmap(os.path.join(self.folder, name), dtype, "w+", shape=(n,))
 
     def load(self, segments: Iterable[bytes]) -> int:
         """Spool the segments (not empty) as symbols byte + 1, separated by 0; returns their number."""
@@ -171,7 +191,7 @@ class InducedSorter:
             out[s : s + self.block] = np.minimum(done, self.depth)
         return out
 
-    def _push(self, positions: np.ndarray, common: np.ndarray, small: bool, queue: dict[int, Spool], state: tuple[np.ndarray, np.ndarray], names: str) -> None:
+    def _push(self, positions: np.ndarray, common: np.ndarray, small: bool, queue: Spools, state: tuple[np.ndarray, np.ndarray]) -> None:
         """Induce from a block of suffixes in scan order; common[k] is with the suffix scanned before k."""
         carry, begun = state
         before = positions - 1
@@ -194,9 +214,8 @@ class InducedSorter:
             tail = np.append(np.minimum.accumulate(common[::-1])[::-1], np.uint16(self.depth))
             for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
                 c = int(target[a])
-                if c not in queue:
-                    queue[c] = Spool(self.folder, f"{names}{c}")
-                queue[c].push(before[k[a:b]], value[a:b])
+                places = before[k[a:b]]
+                queue.push(c, places.astype(np.uint32) if self.size < 1 << 32 else places, value[a:b])
                 carry[c], begun[c] = tail[k[b - 1] + 1], True
         else:
             np.minimum(carry, common.min(), out=carry)
@@ -207,44 +226,43 @@ class InducedSorter:
     def _induce(self, seeds: np.ndarray, common: np.ndarray, names: str) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         """All suffixes but those of separators, from the greatest down, in blocks, each with its common prefix with the one before it in this order."""
         first = self.text[seeds]
-        larger: dict[int, Spool] = {}
-        state = self._state()
+        larger, state = Spools(self.folder, f"{names}-l", self.memory), self._state()
         for c in range(257):
             at, last = 0, None
-            while c in larger and at < len(larger[c]):
-                end = min(len(larger[c]), at + self.block)
-                positions, values = larger[c].read(at, end)
+            while at < larger.size(c):
+                end = min(larger.size(c), at + self.block)
+                positions, values = larger.read(c, at, end)
                 at, last = end, positions[-1:]
-                self._push(positions, values, False, larger, state, f"{names}-l")
-            own = np.flatnonzero(first == c) if c else np.flatnonzero(first == 0)
+                self._push(positions, values, False, larger, state)
+            own = np.flatnonzero(first == c)
             for a in range(0, len(own), self.block):
                 positions, values = seeds[own[a : a + self.block]], common[own[a : a + self.block]].copy()
                 if a == 0:
                     values[0] = self._common(last, positions[:1])[0] if last is not None else 0
-                self._push(positions, values, False, larger, state, f"{names}-l")
-        smaller: dict[int, Spool] = {}
-        state = self._state()
+                self._push(positions, values, False, larger, state)
+        smaller, state = Spools(self.folder, f"{names}-s", self.memory), self._state()
         for c in range(256, 0, -1):
             at, last = 0, None
-            while c in smaller and at < len(smaller[c]):
-                end = min(len(smaller[c]), at + self.block)
-                positions, values = smaller[c].read(at, end)
+            while at < smaller.size(c):
+                end = min(smaller.size(c), at + self.block)
+                positions, values = smaller.read(c, at, end)
                 at, last = end, positions[-1:]
-                self._push(positions, values, True, smaller, state, f"{names}-s")
+                self._push(positions, values, True, smaller, state)
                 yield positions, values
-            end = len(larger[c]) if c in larger else 0
-            total = end
+            smaller.drop(c)
+            end = total = larger.size(c)
             while end > 0:
                 a = max(0, end - self.block)
-                positions, values = larger[c].read(a, min(end + 1, total))
+                positions, values = larger.read(c, a, min(end + 1, total))
                 values = np.append(values[1:], np.uint16(0)) if end == total else values[1:]
                 positions = positions[: end - a][::-1]
                 values = values[::-1].copy()
                 if end == total and last is not None:
                     values[0] = self._common(last, positions[:1])[0]
                 end = a
-                self._push(positions, values, True, smaller, state, f"{names}-s")
+                self._push(positions, values, True, smaller, state)
                 yield positions, values
+            larger.drop(c)
 
     def _sorted_pairs(self, key: np.ndarray) -> np.ndarray:
         """The order of 64-bit keys: sorted runs on disk, merged block by block."""
@@ -277,8 +295,6 @@ class InducedSorter:
     def _ordered_seeds(self) -> np.ndarray:
         seeds = self._seeds()
         n = len(seeds)
-        number = self._array("number", np.int64, self.size)
-        number[seeds] = np.arange(n)
         ends = np.append(seeds[1:], self.size - 1)
         separator = self.text[seeds] == 0
         # names by an induction from seeds in the order of their first symbol
@@ -288,7 +304,7 @@ class InducedSorter:
         for positions, _ in self._induce(start, np.zeros(n, np.uint16), "a"):
             previous = np.maximum(positions - 1, 0)
             some = positions[self.small[positions] & ~self.small[previous]]
-            order[at - len(some) : at] = number[some][::-1]
+            order[at - len(some) : at] = np.searchsorted(seeds, some)[::-1]
             at -= len(some)
         order[:at] = np.flatnonzero(separator)
         # equal substrings get equal names; equality by length and a 64-bit hash
