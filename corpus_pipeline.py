@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from lattica.llm import mixing, near_duplicates, piece_bpe, quality, suffix_dedup
-from lattica.llm.common import saved, table, tokenizer_path
+from lattica.llm.common import saved, ship, table, tokenizer_path
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -22,21 +22,25 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def near_duplicate_join(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each class of near duplicates the document with the least id stays."""
+    ship(spark)
     return near_duplicates.kept(docs)
 
 
 def repeated_strings(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Strings of 200 bytes that begin at two places or more are cut out."""
+    ship(spark)
     return suffix_dedup.removed(docs)
 
 
 def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Sources are mixed to their target weights; a document has a row for each pass that takes words of it."""
+    ship(spark)
     return mixing.mixed_documents(docs)
 
 
 def sentencepiece_ids(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """doc_id, lang, source, ids and n_tokens."""
+    ship(spark)
     out = piece_bpe.encoded(docs, tokenizer_path("piece_bpe_32k.model"), keep_text=False)
     return out.select("doc_id", "lang", "source", "ids", F.size("ids").cast("bigint").alias("n_tokens"))
 
