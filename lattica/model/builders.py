@@ -43,8 +43,8 @@ def copurchase(spark: SparkSession, sf_dir: str, full: bool = False) -> Property
     return PropertyGraph(_part_vertices(load(spark, sf_dir, "part")), _together(lines), directed=False)
 
 
-def _vertices(rows: DataFrame, label: Column | str, **columns) -> DataFrame:
-    return rows.select(columns.pop("vid").alias("vid"), (F.lit(label) if isinstance(label, str) else label).alias("vlabel"), *[c.alias(n) for n, c in columns.items()])
+def _vertices(rows: DataFrame, kind: Column | str, /, **columns) -> DataFrame:
+    return rows.select(columns.pop("vid").alias("vid"), (F.lit(kind) if isinstance(kind, str) else kind).alias("vlabel"), *[c.alias(n) for n, c in columns.items()])
 
 
 def _arcs(rows: DataFrame, src: Column, dst: Column, label: str) -> DataFrame:

@@ -17,6 +17,7 @@ from ..plans import steps
 from ..plans.steps import Needs
 from ..rules import shape
 from ..rules.ast import Pattern, Rule
+from ..sources.store import saved
 from . import reference
 
 #: Arcs of which copies may go to every worker (24 bytes each); above it nothing is broadcast.
@@ -155,6 +156,7 @@ def assign(units: DataFrame, n: int, method: str = "snake") -> DataFrame:
         given = greedy_split([(r["vid"], r["cost"]) for r in units.select("vid", "cost").collect()], n)
         table = units.sparkSession.createDataFrame(list(given.items()) or [], "vid bigint, worker int")
         return units.join(table, "vid")
+    units = saved(units, "units")  # ranked in several passes
     turn = F.pmod(F.col("nth") - 1, F.lit(2 * n))
     return ranked(units, ["cost", "vid"], descending=True).withColumn("worker", F.when(turn < n, turn).otherwise(2 * n - 1 - turn).cast("int")).drop("nth", "total")
 

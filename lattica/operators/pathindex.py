@@ -23,7 +23,8 @@ from ..rules.ast import Edge, Pattern
 
 @dataclass(frozen=True)
 class Options:
-    """Switches for ablation. passes: bottom-up and top-down removal of dead ends, 1 or more, or 0 for none."""
+    """Switches for ablation. passes: 1 removes dead ends from the leaves up and from the root down, which on a tree leaves
+    none; 0 keeps them."""
 
     use_index: bool = True
     degree_filter: bool = True
@@ -42,6 +43,8 @@ class CandidateIndex:
     cands: dict[str, DataFrame]
     links: dict[tuple[str, str], DataFrame]
     stages: dict[tuple[str, str], DataFrame] = field(default_factory=dict)
+    #: Links after the way up alone: enough to match from the root, where a parent that is bound was left over.
+    grown: dict[tuple[str, str], DataFrame] = field(default_factory=dict)
 
     def stats(self) -> DataFrame:
         """query_vertex, stage, candidates: how far each stage prunes."""
@@ -143,25 +146,18 @@ def build_index(graph: PropertyGraph, pattern: Pattern, semantics: str = "mono",
         tree = shape.spanning_tree(pattern, root)
         index.roots[part], index.trees[part] = root, tree
         cands = {v: narrowed(v) for v in part}
-        links: dict[tuple[str, str], DataFrame] = {}
-        for p, c, e in tree:  # growth, level by level
+        grown: dict[tuple[str, str], DataFrame] = {}
+        for p, c, e in reversed(tree):  # from the leaves: a link needs a child that can go on, a parent a link to each child
             pairs = steps.oriented(steps.arcs_of(graph, pattern, e), e, p, c)
-            links[p, c] = pairs.join(cands[p], p, "left_semi").join(cands[c], c, "left_semi")
-        for _ in range(options.passes):
-            for p in reversed([root, *(c for _, c, _ in tree)]):  # bottom-up: a parent needs a link for each child
-                for q, c, _ in reversed(tree):
-                    if q == p:
-                        cands[p] = cands[p].join(links[p, c].select(p), p, "left_semi")
-                for q, c, _ in tree:
-                    if c == p:
-                        links[q, p] = links[q, p].join(cands[p], p, "left_semi")
-            for p, c, _ in tree:  # top-down: a child needs a parent that is left
-                links[p, c] = links[p, c].join(cands[p], p, "left_semi")
-                cands[c] = cands[c].join(links[p, c].select(c), c, "left_semi")
-        for v in part:
-            index.stages[v, "dead_ends"] = cands[v]
-        index.cands |= cands
-        index.links |= links
+            grown[p, c] = pairs.join(cands[c], c, "left_semi")
+            if options.passes:
+                cands[p] = cands[p].join(grown[p, c].select(p), p, "left_semi")
+        index.cands[root] = index.stages[root, "dead_ends"] = cands[root]
+        for p, c, _ in tree:  # from the root: a child needs a parent that is left
+            index.links[p, c] = grown[p, c].join(index.cands[p], p, "left_semi")
+            index.cands[c] = cands[c].join(index.links[p, c].select(c), c, "left_semi") if options.passes else cands[c]
+            index.stages[c, "dead_ends"] = index.cands[c]
+        index.grown |= grown
     return index
 
 
@@ -189,7 +185,7 @@ def match_component(graph: PropertyGraph, index: CandidateIndex, part: tuple[str
         return df.join(steps.candidates(graph, pattern, var, needs), var) if attrs else df
 
     def link(p, c, e):
-        return dressed(index.links[p, c], c)
+        return dressed((index.grown or index.links)[p, c], c)
 
     order = ordered(index, part, options)
     chosen = part
