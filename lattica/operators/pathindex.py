@@ -213,9 +213,9 @@ def match(graph: PropertyGraph, pattern: Pattern, semantics: str = "mono", needs
 
 def root_weights(index: CandidateIndex, part: tuple[str, ...]) -> DataFrame:
     """(root, weight): homomorphic matches of the tree from each root; an upper bound for the pattern's."""
-    weights = {v: index.cands[v].withColumn("w", F.lit(1).cast("double")) for v in part}
+    weights = {v: index.cands[v].withColumn("_w", F.lit(1).cast("double")) for v in part}
     for p, c, _ in reversed(index.trees[part]):
-        sums = index.links[p, c].join(weights[c].withColumnRenamed("w", "_wc"), c).groupBy(p).agg(F.sum("_wc").alias("_s"))
-        weights[p] = weights[p].join(sums, p).select(p, (F.col("w") * F.col("_s")).alias("w"))
+        sums = index.links[p, c].join(weights[c].withColumnRenamed("_w", "_wc"), c).groupBy(p).agg(F.sum("_wc").alias("_s"))
+        weights[p] = weights[p].join(sums, p).select(p, (F.col("_w") * F.col("_s")).alias("_w"))
     root = index.roots[part]
-    return weights[root].select(root, F.col("w").alias("weight"))
+    return weights[root].select(root, F.col("_w").alias("weight"))
