@@ -70,20 +70,23 @@ def _keys(source: str | None, turn: int, seed: int) -> list[int]:
     return [int.from_bytes(raw[i : i + 8], "little") | 1 for i in range(0, 32, 8)]
 
 
-def permuted(j: np.ndarray, n: int, keys: list[int]) -> np.ndarray:
-    """Images of numbers below n under a keyed permutation: a Feistel network on the next even power of two, walked until the image is below n."""
-    half = max(1, (max(n - 1, 1).bit_length() + 1) // 2)
-    mask = np.uint64((1 << half) - 1)
+def _scrambled(right: np.ndarray, key: int, mask: np.uint64) -> np.ndarray:
+    f = right * np.uint64(0x9E3779B97F4A7C15) + np.uint64(key)
+    f ^= f >> np.uint64(29)
+    f *= np.uint64(0xBF58476D1CE4E5B9)
+    return (f ^ (f >> np.uint64(32))) & mask
+
+
+def permuted(j: np.ndarray, n: int, keys: list[int], back: bool = False) -> np.ndarray:
+    """Images of numbers below n under a keyed permutation, or their originals: a Feistel network on the next even power of two, walked until the image is below n."""
+    half = np.uint64(max(1, (max(n - 1, 1).bit_length() + 1) // 2))
+    mask = (np.uint64(1) << half) - np.uint64(1)
 
     def once(x: np.ndarray) -> np.ndarray:
-        left, right = x >> np.uint64(half), x & mask
-        for k in keys:
-            f = right * np.uint64(0x9E3779B97F4A7C15) + np.uint64(k)
-            f ^= f >> np.uint64(29)
-            f *= np.uint64(0xBF58476D1CE4E5B9)
-            f ^= f >> np.uint64(32)
-            left, right = right, left ^ (f & mask)
-        return (left << np.uint64(half)) | right
+        left, right = x >> half, x & mask
+        for k in reversed(keys) if back else keys:
+            left, right = (right ^ _scrambled(left, k, mask), left) if back else (right, left ^ _scrambled(right, k, mask))
+        return (left << half) | right
 
     out = once(np.asarray(j, np.uint64))
     while (far := out >= np.uint64(n)).any():
@@ -98,16 +101,13 @@ def planned(source: str | None, size: int, target: float, block: int, seed: int)
     turn, rest = divmod(words, size)
     if not rest:
         return Plan(source, size, target, blocks, turn * blocks, block)
-    short = size - (blocks - 1) * block
-    full, cut = divmod(rest, block)
-    if cut == 0:
-        full, cut = full - 1, block
-    drawn = permuted(np.arange(full), blocks, _keys(source, turn, seed))
-    if full and int(drawn.max()) == blocks - 1:  # the short block is among the whole ones: make up for it
-        full, cut = divmod(rest + block - short, block)
-        if cut == 0:
-            full, cut = full - 1, block
-    return Plan(source, size, target, blocks, turn * blocks + full + 1, cut)
+    missing = blocks * block - size  # the stream's last block is short by so many words
+    place = int(permuted(np.array([blocks - 1]), blocks, _keys(source, turn, seed), back=True)[0])
+    slots = -(-rest // block)
+    if place < slots:  # it is among the slots: make up for it
+        slots = -(-(rest + missing) // block)
+    before = (slots - 1) * block - (missing if place < slots - 1 else 0)
+    return Plan(source, size, target, blocks, turn * blocks + slots, rest - before)
 
 
 def shard_counts(owed: list[int], slots: int, seed: int) -> np.ndarray:
