@@ -70,7 +70,8 @@ def op6_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op7_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Write all pages as archives and describe every record that is read back."""
     path = workspace(spark, "warc")
-    names = warc.write(warc.deduplicated(table(spark, sf_dir, "pages")), path)
+    pages = table(spark, sf_dir, "pages")
+    names = warc.write(warc.deduplicated(pages), path, warc.sample_of(pages))
     return warc.read(spark, path, names, payloads=False).drop("url")
 
 

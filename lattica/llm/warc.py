@@ -97,19 +97,20 @@ def record_bytes(page_id, url, payload: bytes, size: int, digest: str, kind: str
     return lines.encode() + block + b"\r\n\r\n"
 
 
-def write(records: DataFrame, path: str) -> list[str]:
-    """Write the rows of `deduplicated` as archives, one per partition, and return their names."""
+def sample_of(pages: DataFrame, page_id: str = "page_id", html: str = "html") -> list[bytes]:
+    """The beginnings of up to SAMPLE_PAGES payloads, those whose ids have the least hashes; ids alone are ranked."""
+    key = F.xxhash64(F.col(page_id).cast("bigint"))
+    least = [r["h"] for r in pages.select(key.alias("h")).orderBy("h").limit(SAMPLE_PAGES).collect()]
+    if not least:
+        return []
+    rows = pages.where(key <= least[-1]).select(F.substring(F.coalesce(F.col(html), F.lit("")).cast("binary"), 1, SAMPLE_BYTES).alias("s"))
+    return sorted(bytes(r["s"]) for r in rows.limit(2 * SAMPLE_PAGES).collect())
+
+
+def write(records: DataFrame, path: str, sample: list[bytes]) -> list[str]:
+    """Write the rows of `deduplicated` as archives, one per partition, and return their names; the dictionary is trained on the sample."""
     import zstandard
 
-    sample = [
-        bytes(r[0])
-        for r in records.where("payload_bytes > 0")
-        .select(F.substring("payload", 1, SAMPLE_BYTES).alias("s"), F.xxhash64("payload_digest").alias("h"))
-        .orderBy("h", "s")
-        .limit(SAMPLE_PAGES)
-        .select("s")
-        .collect()
-    ]
     trained = dictionary_of(sample)
 
     def run(batches):
