@@ -30,7 +30,7 @@ from .wordcache import STICKY, CachedEncoder, slices
 NULL_ID = -(2**63)
 DOCS_PER_SHARD = 1 << 16
 #: Cuts that never part a token: at white space, and between a letter and a full stop or comma.
-_CUT = re.compile(r"[ \n]+|(?<=[^\W\d_])(?=[.,])")
+_CUT = re.compile("[ \n]+|(?<=[^\\W\\d_\u0130])(?=[.,])")
 #: So many words are encoded in one call.
 _CALL = 512
 

@@ -15,8 +15,9 @@ STORE_BYTES = 80 << 20
 SLICE_CHARS = 1 << 20
 
 
-#: A full stop or comma after something that is neither a letter nor white space.
-STICKY = re.compile(r"[.,](?<![^\W\d_].)(?<!\s.)")
+#: A full stop or comma after something that is neither a letter nor white space. (U+0130 counts as none: its lower case
+#: ends in a mark that joins what follows.)
+STICKY = re.compile("[.,](?<![^\\W\\d_\u0130].)(?<!\\s.)")
 #: The same, or after white space.
 STICKY_OR_LOOSE = re.compile(r"[.,](?<![^\W\d_].)")
 
