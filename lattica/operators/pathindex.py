@@ -19,6 +19,7 @@ from ..plans import steps
 from ..plans.steps import Needs
 from ..rules import shape
 from ..rules.ast import Edge, Pattern
+from ..sources.store import saved
 
 
 @dataclass(frozen=True)
@@ -128,6 +129,8 @@ def build_index(graph: PropertyGraph, pattern: Pattern, semantics: str = "mono",
     """needs' filters narrow the candidates from the start; attributes are not part of an index."""
     index = CandidateIndex(pattern, {}, {}, {}, {})
     only = Needs({}, needs.filters) if needs else None
+    # plans nest with the pattern's depth: beyond three variables each table is written once and read where it is used
+    settled = (lambda df, label: saved(df, f"index-{label}")) if len(pattern.vertices) > 3 else (lambda df, label: df)
     degrees = options.degree_filter and semantics != "homo"
 
     def narrowed(var: str) -> DataFrame:
@@ -137,7 +140,7 @@ def build_index(graph: PropertyGraph, pattern: Pattern, semantics: str = "mono",
             rows = steps.candidates(graph, pattern, var)
         index.stages[var, "label"] = rows
         if degrees:
-            rows = degree_filter(graph, pattern, var, rows, options.per_label)
+            rows = settled(degree_filter(graph, pattern, var, rows, options.per_label), "candidates")
         index.stages[var, "degree"] = rows
         return rows
 
@@ -149,9 +152,9 @@ def build_index(graph: PropertyGraph, pattern: Pattern, semantics: str = "mono",
         grown: dict[tuple[str, str], DataFrame] = {}
         for p, c, e in reversed(tree):  # from the leaves: a link needs a child that can go on, a parent a link to each child
             pairs = steps.oriented(steps.arcs_of(graph, pattern, e), e, p, c)
-            grown[p, c] = pairs.join(cands[c], c, "left_semi")
+            grown[p, c] = settled(pairs.join(cands[p], p, "left_semi").join(cands[c], c, "left_semi"), "links")
             if options.passes:
-                cands[p] = cands[p].join(grown[p, c].select(p), p, "left_semi")
+                cands[p] = settled(cands[p].join(grown[p, c].select(p), p, "left_semi"), "candidates")
         index.cands[root] = index.stages[root, "dead_ends"] = cands[root]
         for p, c, _ in tree:  # from the root: a child needs a parent that is left
             index.links[p, c] = grown[p, c].join(index.cands[p], p, "left_semi")
