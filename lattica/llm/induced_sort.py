@@ -26,7 +26,7 @@ from collections.abc import Iterable, Iterator
 import numpy as np
 
 BLOCK = 1 << 20
-#: Bytes that a set of queues may hold in memory; arrays above an eighth of it are files.
+#: Bytes that a set of queues may hold in memory; arrays above a quarter of it are files.
 MEMORY = 64 << 20
 
 
@@ -108,6 +108,7 @@ class InducedSorter:
             os.makedirs(folder, exist_ok=True)
         self.folder = tempfile.mkdtemp(prefix="induced-", dir=folder)
         self.depth, self.block, self.memory = depth, block, memory
+        self.carrying = True  # common prefixes: the naming pass needs none
 
     def close(self) -> None:
         shutil.rmtree(self.folder, ignore_errors=True)
@@ -119,9 +120,9 @@ class InducedSorter:
         self.close()
 
     def _array(self, name: str, dtype, n: int) -> np.ndarray:
-        if n * np.dtype(dtype).itemsize <= self.memory // 8:
+        if n * np.dtype(dtype).itemsize <= self.memory // 4:
             return np.zeros(n, dtype)
-        return np.memmap(os.path.join(self.folder, name), dtype, "w+", shape=(n,))
+        return np.asarray(np.memmap(os.path.join(self.folder, name), dtype, "w+", shape=(n,)))
 
     def load(self, segments: Iterable[bytes]) -> int:
         """Spool the segments (not empty) as symbols byte + 1, separated by 0; returns their number."""
@@ -136,9 +137,9 @@ class InducedSorter:
                 count += 1
             size = out.tell() // 2
             out.write(np.zeros(8, np.uint16).tobytes())  # for reads of several symbols at the end
-        whole = np.memmap(path, np.uint16, "r", shape=(size + 8,))
+        whole = np.asarray(np.memmap(path, np.uint16, "r", shape=(size + 8,)))
         self.text, self.size = whole[:size], size
-        self._four = np.lib.stride_tricks.as_strided(np.frombuffer(whole, np.uint8)[: 2 * size].view(np.ndarray), (size, 8), (2, 1))
+        self._four = np.lib.stride_tricks.as_strided(whole.view(np.uint8), (size, 8), (2, 1))
         self._types()
         return count
 
@@ -204,11 +205,14 @@ class InducedSorter:
             order = np.argsort(target, kind="stable")
             k, target = k[order], target[order]
             first = np.concatenate([[True], target[1:] != target[:-1]])
-            low = np.where(first, 0, np.concatenate([[0], k[:-1] + 1]))
-            least = _range_min(common, low, k)
-            least[first] = np.minimum(least[first], carry[target[first]])
-            value = np.minimum(least + 1, self.depth).astype(np.uint16)
-            value[first] = np.where(begun[target[first]], value[first], 0)
+            if self.carrying:
+                low = np.where(first, 0, np.concatenate([[0], k[:-1] + 1]))
+                least = _range_min(common, low, k)
+                least[first] = np.minimum(least[first], carry[target[first]])
+                value = np.minimum(least + 1, self.depth).astype(np.uint16)
+                value[first] = np.where(begun[target[first]], value[first], 0)
+            else:
+                value = np.zeros(len(k), np.uint16)
             cuts = np.append(np.flatnonzero(first), len(k))
             np.minimum(carry, common.min(), out=carry)
             tail = np.append(np.minimum.accumulate(common[::-1])[::-1], np.uint16(self.depth))
@@ -300,11 +304,13 @@ class InducedSorter:
         # names by an induction from seeds in the order of their first symbol
         start = seeds[np.argsort(self.text[seeds], kind="stable")]
         order = np.empty(n, np.int64)
-        at = n
+        number = self._array("number", np.uint32 if n < 1 << 32 else np.int64, self.size)
+        number[seeds] = np.arange(n)
+        at, self.carrying = n, False
         for positions, _ in self._induce(start, np.zeros(n, np.uint16), "a"):
             previous = np.maximum(positions - 1, 0)
             some = positions[self.small[positions] & ~self.small[previous]]
-            order[at - len(some) : at] = np.searchsorted(seeds, some)[::-1]
+            order[at - len(some) : at] = number[some][::-1]
             at -= len(some)
         order[:at] = np.flatnonzero(separator)
         # equal substrings get equal names; equality by length and a 64-bit hash
@@ -312,17 +318,22 @@ class InducedSorter:
         digest = self._digests(seeds, ends)
         here, before = order[1:], order[:-1]
         new = (length[here] != length[before]) | (digest[here] != digest[before]) | separator[here] | separator[before]
+        # a rank is the place of its group's first member, so groups that are settled need no more work
+        first = np.concatenate([[True], new]) if n else np.zeros(0, bool)
         rank = np.empty(n, np.int64)
-        rank[order] = np.concatenate([[0], np.cumsum(new)])
-        reach = 1
-        while len(order) and rank[order[-1]] < n - 1 and 2 * reach <= 2 * self.depth:
-            second = np.zeros(n, np.int64)
-            second[: n - reach] = rank[reach:] + 1
-            key = rank * (n + 2) + second
-            order = np.asarray(self._sorted_pairs(key))
-            ranked = np.concatenate([[0], np.cumsum(key[order[1:]] != key[order[:-1]])])
-            rank = np.empty(n, np.int64)
-            rank[order] = ranked
+        rank[order] = np.maximum.accumulate(np.where(first, np.arange(n), 0))
+        alone = first & np.append(first[1:], True)
+        places, reach = np.flatnonzero(~alone), 1
+        while len(places) and 2 * reach < self.depth + 2:  # a substring is two symbols long at least, but for those at the ends
+            some = order[places]
+            second = np.where(some + reach < n, rank[np.minimum(some + reach, n - 1)] + 1, 0)
+            key = rank[some] * (n + 2) + second
+            sorted_ = np.asarray(self._sorted_pairs(key))
+            some, key = some[sorted_], key[sorted_]
+            order[places] = some
+            first = np.concatenate([[True], key[1:] != key[:-1]])
+            rank[some] = places[np.maximum.accumulate(np.where(first, np.arange(len(places)), 0))]
+            places = places[~(first & np.append(first[1:], True))]
             reach *= 2
         return seeds[order]
 
@@ -350,6 +361,7 @@ class InducedSorter:
     def suffixes(self) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         """Blocks of (position, common prefix with the suffix before in this order, at most depth), from the greatest suffix down."""
         seeds = self._ordered_seeds()
+        self.carrying = True
         common = np.zeros(len(seeds), np.uint16)
         common[1:] = self._common(seeds[:-1], seeds[1:])
         yield from self._induce(seeds, common, "b")
