@@ -17,7 +17,7 @@ from ..plans import steps
 from ..plans.steps import Needs
 from ..rules import shape
 from ..rules.ast import Pattern, Rule
-from ..sources.store import saved
+from ..sources.store import saved, ship
 from . import reference
 
 #: Arcs of which copies may go to every worker (24 bytes each); above it nothing is broadcast.
@@ -222,6 +222,7 @@ def _searched(graph, pattern, seeds, part, pivot, radius, semantics, needs) -> D
     """The search routine itself in each worker, over the arcs and vertices shipped to it: for comparison, on small balls."""
     import pandas as pd
 
+    ship(graph.vertices.sparkSession)
     inner = Pattern(tuple(v for v in pattern.vertices if v.var in part), tuple(e for e in pattern.edges if e.src in part), pattern.directed)
     own = _shipped(graph, pattern, seeds, pivot, radius).select("worker", "src", "dst", F.explode("labels").alias("elabel"))
     loose = seeds.select("worker", F.col(pivot).alias("src"), F.lit(None).cast("bigint").alias("dst"), F.lit(None).cast("string").alias("elabel"))

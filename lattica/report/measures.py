@@ -67,7 +67,7 @@ def plan_profile(df: DataFrame) -> dict[str, int]:
 
 def degree_gini(degrees: DataFrame) -> DataFrame:
     """gini of the degree distribution (0: all equal), from counts per degree; the histogram is small."""
-    hist = degrees.groupBy("degree").agg(F.count(F.lit(1)).alias("n"))
+    hist = degrees.groupBy("degree").agg(F.count(F.lit(1)).alias("n")).withColumn("_all", F.lit("all"))
 
     def run(pdf):
         import pandas as pd
@@ -80,4 +80,4 @@ def degree_gini(degrees: DataFrame) -> DataFrame:
         area = ((mass + mass.shift(fill_value=0)) / total * pdf["n"] / n.iloc[-1]).sum() / 2
         return pd.DataFrame({"gini": [1 - 2 * area]})
 
-    return hist.groupBy(F.lit(1)).applyInPandas(run, "gini double")
+    return hist.groupBy("_all").applyInPandas(run, "gini double")
