@@ -187,7 +187,8 @@ def segments(layout: DataFrame, plans: list[Plan], block: int = BLOCK_WORDS, see
     pieces = layout.where("size > 0").withColumn("block", F.explode(F.sequence(F.floor(F.col("begin") / block), F.floor((F.col("begin") + F.col("size") - 1) / block))))
     edge = F.col("block") * block
     pieces = pieces.withColumns({"from": F.greatest(F.col("begin"), edge), "to": F.least(F.col("begin") + F.col("size"), edge + block)})
-    slots = _slots(layout, plans, seed, shard_slots)
+    # the planner sees the few rows that slots are made of, not the slots: a broadcast would grow with the words
+    slots = _slots(layout, plans, seed, shard_slots).hint("merge")
     joined = pieces.alias("p").join(slots.alias("s"), F.col("p.source").eqNullSafe(F.col("s.source")) & (F.col("p.block") == F.col("s.block")))
     n = F.least(F.col("to"), F.when(F.col("words") < block, edge_of("p.block", block) + F.col("words")).otherwise(F.col("to"))) - F.col("from")
     return joined.select(
