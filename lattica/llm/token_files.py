@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import open_store, publish, quiet_threads
-from .wordcache import STICKY, CachedEncoder, slices
+from .wordcache import STICKY, STORE_BYTES, CachedEncoder, slices
 
 NULL_ID = -(2**63)
 DOCS_PER_SHARD = 1 << 16
@@ -69,7 +69,7 @@ def _encoder(path: str) -> CachedEncoder:
         found.update(zip(rest, one_by_one(rest), strict=True))
         return [found[w] for w in words]
 
-    return CachedEncoder(_words, encode)
+    return CachedEncoder(_words, encode, 2 * STORE_BYTES)
 
 
 def _words(text: str) -> list[str]:

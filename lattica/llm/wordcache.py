@@ -23,13 +23,13 @@ STICKY_OR_LOOSE = re.compile(r"[.,](?<![^\W\d_].)")
 
 
 class CachedEncoder:
-    def __init__(self, cut: Callable[[str], list[str]], encode: Callable[[list[str]], list[bytes]]):
-        self._cut, self._encode, self._new, self._old, self._held = cut, encode, {}, {}, 0
+    def __init__(self, cut: Callable[[str], list[str]], encode: Callable[[list[str]], list[bytes]], most: int = STORE_BYTES):
+        self._cut, self._encode, self._most, self._new, self._old, self._held = cut, encode, most, {}, {}, 0
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """The ids of each text, as bytes."""
         parts = [self._cut(t) for t in texts]
-        if self._held > STORE_BYTES:  # pieces not used since the last change of stores go
+        if self._held > self._most:  # pieces not used since the last change of stores go
             self._new, self._old, self._held = {}, self._new, 0
         store, old = self._new, self._old
         missing = [w for w in set().union(*parts) if w not in store]
