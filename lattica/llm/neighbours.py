@@ -4,7 +4,8 @@ Vectors are dealt by hash into shards of bounded size. In a shard, points are in
 the entry point propose neighbours, pruning keeps a neighbour only if no nearer one already kept is closer to it by the
 factor alpha, and edges are also added backwards and pruned again where a point has too many. A second pass with the
 relaxed factor makes long edges. Inner products become distances by one more coordinate, sqrt(m^2 - |x|^2). All searches
-of a batch move in step, as numpy arrays. Every shard answers every block of queries by beam search, in one row of an
+of a batch move in step, as numpy arrays. Rows whose vectors agree in single precision are one point of the graph, so that
+copies take no edges from each other; a point that is found stands for all its rows. Every shard answers every block of queries by beam search, in one row of an
 equi-join on the shard's number, and the answers are ranked again by exact inner products in double precision.
 
 Defined results: vectors that are null, zero, or hold nulls or non-finite values, and rows with a null id, take no part;
@@ -25,7 +26,7 @@ from pyspark.sql import functions as F
 from .common import saved
 
 SHARD_ROWS, DEGREE, BUILD_BEAM, SEARCH_BEAM, ALPHA, QUERY_BLOCK = 4096, 32, 64, 192, 1.2, 2048
-_BATCH, _WIDTH = 256, 4
+_BATCH, _WIDTH, _ROWS = 256, 4, 1 << 16
 
 
 def beam_search(data: np.ndarray, graph: np.ndarray, entry: int, queries: np.ndarray, beam: int) -> tuple[np.ndarray, np.ndarray]:
@@ -79,15 +80,14 @@ def robust_prune(data: np.ndarray, points: np.ndarray, candidates: np.ndarray, d
     order = np.argsort(candidates, axis=1, kind="stable")
     candidates = np.take_along_axis(candidates, order, 1)
     candidates[:, 1:][candidates[:, 1:] == candidates[:, :-1]] = -1
-    vectors = data[candidates]
-    own = data[points]
-    dist = ((vectors - own[:, None, :]) ** 2).sum(-1)
+    vectors = data[candidates] - data[points][:, None, :]  # seen from the point, so that rounding is small where distances are
+    dist = (vectors**2).sum(-1)
     dist[candidates < 0] = np.inf
     order = np.argsort(dist, axis=1, kind="stable")
     candidates, dist = np.take_along_axis(candidates, order, 1), np.take_along_axis(dist, order, 1)
     vectors = np.take_along_axis(vectors, order[:, :, None], 1)
-    norms = (vectors**2).sum(-1)
-    between = norms[:, :, None] + norms[:, None, :] - 2 * vectors @ vectors.transpose(0, 2, 1)
+    own = (vectors**2).sum(-1)
+    between = own[:, :, None] + own[:, None, :] - 2 * vectors @ vectors.transpose(0, 2, 1)
     alive = np.isfinite(dist)
     out = np.repeat(points[:, None], degree, 1)
     row = np.arange(len(points))
@@ -135,6 +135,25 @@ def lifted(vectors: np.ndarray) -> np.ndarray:
     return np.concatenate([vectors, np.sqrt(np.maximum(square.max() - square, 0))[:, None]], 1).astype(np.float32)
 
 
+def alike(vectors: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The first row of each distinct vector, and the number of each row's vector among them."""
+    plain = np.ascontiguousarray(vectors + vectors.dtype.type(0))  # one zero only
+    _, first, number = np.unique(plain.view(np.dtype((np.void, plain.itemsize * plain.shape[1]))).ravel(), return_index=True, return_inverse=True)
+    return first, number.ravel()
+
+
+def points_of(vectors: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The points of a shard's graph and each row's point."""
+    first, number = alike(vectors.astype(np.float32))
+    return vectors[first], number
+
+
+def packed_graph(vectors: np.ndarray, *options) -> tuple[bytes, int]:
+    """The graph over a shard's points as bytes, and its entry."""
+    graph, entry = build(lifted(points_of(vectors)[0]), *options)
+    return graph.astype(np.int32).tobytes(), entry
+
+
 def usable(vector: Column) -> Column:
     """Not null or zero, and finite throughout."""
     fine = F.forall(vector, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) != float("inf")))
@@ -162,12 +181,8 @@ def indexed(rows: DataFrame, shard_rows: int = SHARD_ROWS, degree: int = DEGREE,
         return rows.sparkSession.createDataFrame([], "width bigint, shard bigint, ids binary, vectors binary, graph binary, entry bigint"), shards
     dealt = rows.withColumn("shard", F.pmod(F.xxhash64("vec_id", F.lit("shard")), _by_width(shards)))
 
-    def work(vectors: np.ndarray):
-        graph, entry = build(lifted(vectors), degree, beam, alpha)
-        return graph.astype(np.int32).tobytes(), entry
-
     total = max(sum(shards.values()), 1)
-    return saved(_packed(dealt.repartition(3 * total, "width", "shard"), ["width", "shard"], work), "graph-index"), shards
+    return saved(_packed(dealt.repartition(3 * total, "width", "shard"), ["width", "shard"], lambda v: packed_graph(v, degree, beam, alpha)), "graph-index"), shards
 
 
 def _by_width(numbers: dict[int, int]) -> Column:
@@ -207,20 +222,37 @@ def nearest(table: DataFrame, is_query: Column, k: int = 20, vec_id: str = "vec_
 def _answers(row: dict, k: int, search_beam: int):
     width = row["width"]
     ids, data = np.frombuffer(row["ids"], np.int64), np.frombuffer(row["vectors"]).reshape(-1, width)
-    graph = np.frombuffer(row["graph"], np.int32).reshape(len(ids), -1).astype(np.int64)
+    points, number = points_of(data)
+    graph = np.frombuffer(row["graph"], np.int32).reshape(len(points), -1).astype(np.int64)
     q_ids, queries = np.frombuffer(row["q_ids"], np.int64), np.frombuffer(row["q_vectors"]).reshape(-1, width)
-    high, beam = lifted(data), min(max(search_beam, 2 * k), len(ids))
+    high, beam = lifted(points), min(max(search_beam, 2 * k), len(points))
+    # the rows of each point: of equal vectors only those of the least ids can be among the best, besides the query's own
+    same = alike(data)[1]
+    by = np.argsort(same, kind="stable")
+    place = np.empty(len(ids), np.int64)
+    place[by] = np.arange(len(ids)) - np.searchsorted(same[by], same[by])
+    rows = np.flatnonzero(place < k + np.unique(ids, return_counts=True)[1].max())
+    rows = rows[np.argsort(number[rows], kind="stable")]
+    begin = np.searchsorted(number[rows], np.arange(len(points) + 1))
     # one length for all queries: the order by distance doesn't depend on it
     scale = np.sqrt((queries**2).sum(1))[:, None]
     flat = np.concatenate([queries / scale, np.zeros((len(queries), 1))], 1).astype(np.float32)
     for a in range(0, len(queries), _BATCH):
         found, _ = beam_search(high, graph, row["entry"], flat[a : a + _BATCH], beam)
-        own = q_ids[a : a + _BATCH]
-        who, where = np.nonzero((found >= 0) & (ids[found] != own[:, None]))
-        points = found[who, where]
-        score = (data[points] * queries[a + who]).sum(1)
-        order = np.lexsort((ids[points], -score, who))
-        who, points, score = who[order], points[order], score[order]
-        begin = np.searchsorted(who, np.arange(len(own)))
-        keep = np.arange(len(who)) - begin[who] < k
-        yield pa.RecordBatch.from_pydict({"query_id": own[who[keep]], "vec_id": ids[points[keep]], "score": score[keep]})
+        count = np.where(found >= 0, begin[found + 1] - begin[found], 0)
+        part = np.cumsum(count.sum(1)) // _ROWS
+        for b, e in zip(*(np.searchsorted(part, np.unique(part), side=x).tolist() for x in ("left", "right")), strict=True):
+            yield _best(ids, data, rows, begin[found[b:e]], count[b:e], q_ids[a + b : a + e], queries[a + b : a + e], k)
+
+
+def _best(ids: np.ndarray, data: np.ndarray, rows: np.ndarray, begin: np.ndarray, count: np.ndarray, own: np.ndarray, queries: np.ndarray, k: int) -> pa.RecordBatch:
+    """The k best rows of each query among rows[begin : begin + count] of the points found for it."""
+    count, who = count.ravel(), np.repeat(np.arange(len(own)), count.sum(1))
+    at = rows[np.arange(len(who)) + np.repeat(begin.ravel() - (np.cumsum(count) - count), count)]
+    other = ids[at] != own[who]
+    who, at = who[other], at[other]
+    score = (data[at] * queries[who]).sum(1)
+    order = np.lexsort((ids[at], -score, who))
+    who, at, score = who[order], at[order], score[order]
+    keep = np.arange(len(who)) - np.searchsorted(who, who) < k
+    return pa.RecordBatch.from_pydict({"query_id": own[who[keep]], "vec_id": ids[at[keep]], "score": score[keep]})

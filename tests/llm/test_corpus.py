@@ -93,6 +93,38 @@ def test_recall_and_unusable_vectors(spark):
     assert [r["rank"] for r in sorted(few, key=lambda r: r["rank"])] == [1, 2, 3, 4]
 
 
+def shard_recall(data, k=20):
+    """Recall of one shard against all inner products."""
+    ids, data = np.arange(len(data)), data.astype(np.float64)
+    graph, entry = neighbours.packed_graph(data)
+    asked = ids[::20]
+    row = {"width": data.shape[1], "ids": ids.tobytes(), "vectors": data.tobytes(), "graph": graph, "entry": entry, "q_ids": asked.tobytes(), "q_vectors": data[asked].tobytes()}
+    exact = data[asked] @ data.T
+    exact[np.arange(len(asked)), asked] = -np.inf
+    least = dict(zip(asked.tolist(), np.sort(exact, 1)[:, -k], strict=True))
+    got = [(r["query_id"], r["vec_id"], r["score"]) for b in neighbours._answers(row, k, neighbours.SEARCH_BEAM) for r in b.to_pylist()]
+    assert len(got) == len({x[:2] for x in got}) == k * len(asked) and all(q != v for q, v, _ in got)
+    return sum(s >= least[q] - 1e-9 * abs(least[q]) for q, _, s in got) / len(got)
+
+
+@pytest.mark.parametrize("kind", ["many", "one", "near"])
+def test_recall_with_copies(kind):
+    rng = np.random.default_rng(0)
+    data = rng.normal(size=(2400, 32)).astype(np.float32)
+    data[1600:] = data[rng.integers(0, 20, 800)] if kind == "many" else data[5]
+    data = data.astype(np.float64)
+    if kind == "near":
+        data[1600:] += 1e-9 * rng.normal(size=(800, 32))
+    assert shard_recall(data[rng.permutation(2400)]) >= 0.93
+
+
+def test_copies_are_ordered_by_id(spark):
+    rows = [(i % 50, [1.0, 2.0]) for i in range(200)] + [(1000, [1.0, 2.0])] + [(2000 + i, [0.5, 0.5]) for i in range(5)]
+    df = spark.createDataFrame(rows, "vec_id bigint, embedding array<double>")
+    got = {q: [r["vec_id"] for r in sorted(neighbours.nearest(df, df["vec_id"] == q, 18).collect(), key=lambda r: r["rank"])] for q in (1000, 2000)}
+    assert got[1000] == [0] * 4 + [1] * 4 + [2] * 4 + [3] * 4 + [4] * 2 and got[2000] == got[1000]
+
+
 # ---- near duplicates
 
 
