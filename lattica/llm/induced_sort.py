@@ -1,8 +1,9 @@
 """External induced suffix sorting with common-prefix values.
 
 The text of a shard is a row of segments with a separator before, between and after them; separators are all different,
-so no common prefix runs over the end of a segment. Text, types, ranks and marks are files mapped into memory; the queues
-are spools on disk. The steps:
+so no common prefix runs over the end of a segment. Whatever has an entry for each symbol or seed (text, types, seeds,
+their order, digests and ranks, marks) is a file mapped into memory once it outgrows its bound, and is made and read in
+blocks; the queues are spools on disk. The steps:
 
 1. Suffixes whose type turns from larger-than-next to smaller-than-next are the seeds. A first induction from seeds that
    are ordered by one symbol gives the order of the substrings between seeds, and so their names.
@@ -124,6 +125,30 @@ class InducedSorter:
             return np.zeros(n, dtype)
         return np.asarray(np.memmap(os.path.join(self.folder, name), dtype, "w+", shape=(n,)))
 
+    def _gathered(self, name: str, dtype, parts: Iterable[np.ndarray]) -> np.ndarray:
+        """The parts in a row: in memory up to the bound of an array, in a file beyond it."""
+        path, held, size, count, out = os.path.join(self.folder, name), [], 0, 0, None
+        try:
+            for part in parts:
+                held.append(np.asarray(part, dtype))
+                size, count = size + held[-1].nbytes, count + len(part)
+                if size > self.memory // 4:
+                    out = out or open(path, "wb")  # noqa: SIM115
+                    for h in held:
+                        out.write(h.tobytes())
+                    held, size = [], 0
+            if out is None:
+                return np.concatenate(held) if held else np.zeros(0, dtype)
+            for h in held:
+                out.write(h.tobytes())
+        finally:
+            if out is not None:
+                out.close()
+        return np.asarray(np.memmap(path, dtype, "r", shape=(count,)))
+
+    def _blocks(self, n: int) -> Iterator[tuple[int, int]]:
+        return ((a, min(a + self.block, n)) for a in range(0, n, self.block))
+
     def load(self, segments: Iterable[bytes]) -> int:
         """Spool the segments (not empty) as symbols byte + 1, separated by 0; returns their number."""
         path, count = os.path.join(self.folder, "text"), 0
@@ -158,11 +183,14 @@ class InducedSorter:
 
     def _seeds(self) -> np.ndarray:
         """Positions of the seeds, ascending (separators are seeds)."""
-        parts = [np.zeros(1, np.int64)]
-        for a in range(1, self.size, self.block):
-            b = min(a + self.block, self.size)
-            parts.append(a + np.flatnonzero(self.small[a:b] & ~self.small[a - 1 : b - 1]))
-        return np.concatenate(parts)
+
+        def parts():
+            yield np.zeros(1, np.int64)
+            for a in range(1, self.size, self.block):
+                b = min(a + self.block, self.size)
+                yield a + np.flatnonzero(self.small[a:b] & ~self.small[a - 1 : b - 1])
+
+        return self._gathered("seeds", np.int64, parts())
 
     def _common(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
         """Common prefixes of pairs of suffixes, up to depth; separators differ from each other."""
@@ -227,9 +255,9 @@ class InducedSorter:
     def _state(self) -> tuple[np.ndarray, np.ndarray]:
         return np.full(257, self.depth, np.uint16), np.zeros(257, bool)
 
-    def _induce(self, seeds: np.ndarray, common: np.ndarray, names: str) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-        """All suffixes but those of separators, from the greatest down, in blocks, each with its common prefix with the one before it in this order."""
-        first = self.text[seeds]
+    def _induce(self, seeds: np.ndarray, common: np.ndarray | None, names: str) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """All suffixes but those of separators, from the greatest down, in blocks, each with its common prefix with the one before it in this order. Seeds are in the order of their first symbols."""
+        bounds = np.concatenate([[0], np.cumsum(self._symbols(seeds))])
         larger, state = Spools(self.folder, f"{names}-l", self.memory), self._state()
         for c in range(257):
             at, last = 0, None
@@ -238,10 +266,11 @@ class InducedSorter:
                 positions, values = larger.read(c, at, end)
                 at, last = end, positions[-1:]
                 self._push(positions, values, False, larger, state)
-            own = np.flatnonzero(first == c)
-            for a in range(0, len(own), self.block):
-                positions, values = seeds[own[a : a + self.block]], common[own[a : a + self.block]].copy()
-                if a == 0:
+            begin, finish = int(bounds[c]), int(bounds[c + 1])
+            for a in range(begin, finish, self.block):
+                b = min(a + self.block, finish)
+                positions, values = np.array(seeds[a:b]), np.zeros(b - a, np.uint16) if common is None else np.array(common[a:b])
+                if a == begin:
                     values[0] = self._common(last, positions[:1])[0] if last is not None else 0
                 self._push(positions, values, False, larger, state)
         smaller, state = Spools(self.folder, f"{names}-s", self.memory), self._state()
@@ -268,80 +297,142 @@ class InducedSorter:
                 yield positions, values
             larger.drop(c)
 
+    def _symbols(self, seeds: np.ndarray) -> np.ndarray:
+        """How many of the seeds begin with each symbol."""
+        out = np.zeros(257, np.int64)
+        for a, b in self._blocks(len(seeds)):
+            out += np.bincount(self.text[seeds[a:b]], minlength=257)
+        return out
+
+    def _by_symbol(self, seeds: np.ndarray) -> np.ndarray:
+        """The seeds in the order of their first symbols."""
+        count = self._symbols(seeds)
+        free = np.cumsum(count) - count
+        out = self._array("start", np.int64, len(seeds))
+        for a, b in self._blocks(len(seeds)):
+            some = seeds[a:b]
+            symbol = self.text[some]
+            order = np.argsort(symbol, kind="stable")
+            here = np.bincount(symbol, minlength=257)
+            out[np.repeat(free - (np.cumsum(here) - here), here) + np.arange(b - a)] = some[order]
+            free += here
+        return out
+
     def _sorted_pairs(self, key: np.ndarray) -> np.ndarray:
         """The order of 64-bit keys: sorted runs on disk, merged block by block."""
         n = len(key)
         if n <= self.block:
             return np.argsort(key, kind="stable")
         out = self._array("order", np.int64, n)
-        runs = []
-        for i, a in enumerate(range(0, n, self.block)):
-            part = np.asarray(key[a : a + self.block])
+        runs, all_keys, all_places = [], self._array("run-keys", np.int64, n), self._array("run-places", np.int64, n)
+        for a, b in self._blocks(n):
+            part = np.asarray(key[a:b])
             order = np.argsort(part, kind="stable")
-            keys, places = self._array(f"run-k{i}", np.int64, len(part)), self._array(f"run-p{i}", np.int64, len(part))
+            keys, places = all_keys[a:b], all_places[a:b]
             keys[:], places[:] = part[order], order + a
             runs.append([keys, places, 0])
         step, done = max(1, self.block // len(runs)), 0
         while runs:
             bound = min(int(keys[min(at + step, len(keys)) - 1]) for keys, _, at in runs)
             taken = []
-            for r in runs:
-                end = r[2] + int(np.searchsorted(r[0][r[2] :], bound, side="right"))
+            for r in runs:  # what is below the bound fits into a block
+                end = r[2] + int(np.searchsorted(r[0][r[2] :], bound, side="left"))
                 taken.append((np.array(r[0][r[2] : end]), np.array(r[1][r[2] : end])))
                 r[2] = end
             keys, places = (np.concatenate(x) for x in zip(*taken, strict=True))
             order = np.argsort(keys, kind="stable")
             out[done : done + len(keys)] = places[order]
             done += len(keys)
+            for r in runs:  # what equals it may be of any size, and is in order already
+                end = r[2] + int(np.searchsorted(r[0][r[2] :], bound, side="right"))
+                for a in range(r[2], end, self.block):
+                    b = min(a + self.block, end)
+                    out[done : done + b - a] = r[1][a:b]
+                    done += b - a
+                r[2] = end
             runs = [r for r in runs if r[2] < len(r[0])]
         return out
 
     def _ordered_seeds(self) -> np.ndarray:
         seeds = self._seeds()
         n = len(seeds)
-        ends = np.append(seeds[1:], self.size - 1)
-        separator = self.text[seeds] == 0
         # names by an induction from seeds in the order of their first symbol
-        start = seeds[np.argsort(self.text[seeds], kind="stable")]
-        order = np.empty(n, np.int64)
+        order = self._array("seed-order", np.int64, n)
         number = self._array("number", np.uint32 if n < 1 << 32 else np.int64, self.size)
-        number[seeds] = np.arange(n)
+        for a, b in self._blocks(n):
+            number[seeds[a:b]] = np.arange(a, b)
         at, self.carrying = n, False
-        for positions, _ in self._induce(start, np.zeros(n, np.uint16), "a"):
+        for positions, _ in self._induce(self._by_symbol(seeds), None, "a"):
             previous = np.maximum(positions - 1, 0)
             some = positions[self.small[positions] & ~self.small[previous]]
             order[at - len(some) : at] = number[some][::-1]
             at -= len(some)
-        order[:at] = np.flatnonzero(separator)
+        at = 0
+        for a, b in self._blocks(n):
+            some = a + np.flatnonzero(self.text[seeds[a:b]] == 0)
+            order[at : at + len(some)] = some
+            at += len(some)
         # equal substrings get equal names; equality by length and a 64-bit hash
-        length = ends - seeds + 1
-        digest = self._digests(seeds, ends)
-        here, before = order[1:], order[:-1]
-        new = (length[here] != length[before]) | (digest[here] != digest[before]) | separator[here] | separator[before]
+        digest = self._digests(seeds)
         # a rank is the place of its group's first member, so groups that are settled need no more work
-        first = np.concatenate([[True], new]) if n else np.zeros(0, bool)
-        rank = np.empty(n, np.int64)
-        rank[order] = np.maximum.accumulate(np.where(first, np.arange(n), 0))
-        alone = first & np.append(first[1:], True)
-        places, reach = np.flatnonzero(~alone), 1
+        first, rank = self._array("first", np.bool_, n + 1), self._array("rank", np.int64, n)
+        first[0] = first[n] = True
+        for a, b in self._blocks(n - 1):
+            here, before = order[a + 1 : b + 1], order[a:b]
+            new = self._lengths(seeds, here) != self._lengths(seeds, before)
+            first[a + 1 : b + 1] = new | (digest[here] != digest[before]) | (self.text[seeds[here]] == 0) | (self.text[seeds[before]] == 0)
+        leader = 0
+        for a, b in self._blocks(n):
+            leaders = np.maximum.accumulate(np.maximum(np.where(first[a:b], np.arange(a, b), 0), leader))
+            rank[order[a:b]] = leaders
+            leader = int(leaders[-1])
+        places = self._gathered("places0", np.int64, (a + np.flatnonzero(~(first[a:b] & first[a + 1 : b + 1])) for a, b in self._blocks(n)))
+        reach = 1
         while len(places) and 2 * reach < self.depth + 2:  # a substring is two symbols long at least, but for those at the ends
-            some = order[places]
-            second = np.where(some + reach < n, rank[np.minimum(some + reach, n - 1)] + 1, 0)
-            key = rank[some] * (n + 2) + second
-            sorted_ = np.asarray(self._sorted_pairs(key))
-            some, key = some[sorted_], key[sorted_]
-            order[places] = some
-            first = np.concatenate([[True], key[1:] != key[:-1]])
-            rank[some] = places[np.maximum.accumulate(np.where(first, np.arange(len(places)), 0))]
-            places = places[~(first & np.append(first[1:], True))]
+            places = self._refined(order, rank, places, reach)
             reach *= 2
-        return seeds[order]
+        out = self._array("ordered", np.int64, n)
+        for a, b in self._blocks(n):
+            out[a:b] = seeds[order[a:b]]
+        return out
 
-    def _digests(self, seeds: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    def _refined(self, order: np.ndarray, rank: np.ndarray, places: np.ndarray, reach: int) -> np.ndarray:
+        """One round over the places of groups that are open: order and rank by 2 * reach names; the places that stay open."""
+        n, m = len(order), len(places)
+        some, key = self._array("some", np.int64, m), self._array("key", np.int64, m)
+        for a, b in self._blocks(m):
+            now = order[places[a:b]]
+            second = np.where(now + reach < n, rank[np.minimum(now + reach, n - 1)] + 1, 0)
+            some[a:b], key[a:b] = now, rank[now] * (n + 2) + second
+        sorted_ = np.asarray(self._sorted_pairs(key))
+
+        def left():
+            leader, last = 0, None
+            for a, b in self._blocks(m):
+                now, keys = some[sorted_[a:b]], key[sorted_[a : b + 1]]  # one key more, to see whether the last group goes on
+                first = np.concatenate([np.array([last is None or keys[0] != last]), keys[1:] != keys[:-1], np.ones(int(b == m), bool)])
+                leaders = np.maximum.accumulate(np.maximum(np.where(first[: b - a], np.arange(a, b), 0), leader))
+                order[places[a:b]] = now
+                rank[now] = places[leaders]
+                leader, last = int(leaders[-1]), keys[b - a - 1]
+                yield places[a:b][~(first[: b - a] & first[1 : b - a + 1])]
+
+        return self._gathered(f"places{2 * reach}", np.int64, left())
+
+    def _lengths(self, seeds: np.ndarray, which: np.ndarray) -> np.ndarray:
+        """Symbols from each of these seeds up to the next one's first (the last seed's end is the text's)."""
+        after = np.minimum(which + 1, len(seeds) - 1)
+        return np.where(which + 1 < len(seeds), seeds[after], self.size - 1) - seeds[which]
+
+    def _digests(self, seeds: np.ndarray) -> np.ndarray:
         """A hash of the symbols from each seed up to the next one's first."""
-        out = np.zeros(len(seeds), np.uint64)
-        for a in range(0, len(seeds), self.block // 4):
-            s, e = seeds[a : a + self.block // 4], ends[a : a + self.block // 4]
+        out = self._array("digests", np.uint64, len(seeds))
+        a, count = 0, len(seeds)
+        while a < count:  # as many seeds as a block of text has, one at least
+            limit = min(a + self.block // 4 + 1, count)
+            size = max(1, int(np.searchsorted(seeds[a:limit], seeds[a] + self.block)) - 1)
+            s = np.array(seeds[a : a + size])
+            e = np.append(s[1:], seeds[a + size] if a + size < count else self.size - 1)
             lo, hi = int(s[0]), int(e[-1]) + 1
             length = e - s  # the seed at the end is added apart, so that the ranges don't overlap
             place = np.arange(hi - lo - 1) - np.repeat(s - lo, length) if hi - lo > 1 else np.zeros(0, np.int64)
@@ -356,14 +447,16 @@ class InducedSorter:
             sums += symbols[e - lo] * powers[length]
             sums ^= sums >> np.uint64(31)
             out[a : a + len(s)] = sums * np.uint64(0xBF58476D1CE4E5B9)
+            a += len(s)
         return out
 
     def suffixes(self) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         """Blocks of (position, common prefix with the suffix before in this order, at most depth), from the greatest suffix down."""
         seeds = self._ordered_seeds()
         self.carrying = True
-        common = np.zeros(len(seeds), np.uint16)
-        common[1:] = self._common(seeds[:-1], seeds[1:])
+        common = self._array("common", np.uint16, len(seeds))
+        for a, b in self._blocks(len(seeds) - 1):
+            common[a + 1 : b + 1] = self._common(seeds[a:b], seeds[a + 1 : b + 1])
         yield from self._induce(seeds, common, "b")
 
     def repeated(self) -> np.ndarray:

@@ -18,6 +18,7 @@ agree (64 of the key and 64 of the bytes).
 from __future__ import annotations
 
 import hashlib
+import os
 from collections.abc import Iterator
 
 import numpy as np
@@ -145,29 +146,33 @@ def _sorted_ranges(pieces: DataFrame, length: int, spool: str | None) -> DataFra
     """id, mark, begin and end of the windows that the sort finds repeated; each partition is a shard."""
 
     def run(batches):
-        facts: list[tuple] = []
+        fact = np.dtype([("id", np.int64), ("no_id", np.bool_), ("mark", np.int64), ("begin", np.int64), ("windows", np.int64)])
 
-        def spooled():
+        def spooled(facts):
             for batch in batches:
                 for a in range(0, batch.num_rows, 1024):
                     rows = batch.slice(a, 1024)
-                    columns = [rows.column(rows.schema.get_field_index(n)).to_pylist() for n in ("id", "mark", "begin", "windows", "bytes")]
-                    for i, m, b, w, raw in zip(*columns, strict=True):
-                        facts.append((i, m, b, w))
-                        yield raw
+                    columns = [rows.column(rows.schema.get_field_index(n)).to_pylist() for n in ("id", "mark", "begin", "windows")]
+                    facts.write(np.array([(i or 0, i is None, m, b, w) for i, m, b, w in zip(*columns, strict=True)], fact).tobytes())
+                    yield from rows.column(rows.schema.get_field_index("bytes")).to_pylist()
 
         with InducedSorter(spool, length) as sorter:
-            if not sorter.load(spooled()):
+            path = os.path.join(sorter.folder, "facts")
+            with open(path, "wb") as facts:
+                loaded = sorter.load(spooled(facts))
+            if not loaded:
                 return
             marks = sorter.repeated()
             at, out = 1, []
-            for i, m, b, w in facts:
-                own = np.flatnonzero(np.diff(np.concatenate([[False], marks[at : at + w], [False]]).astype(np.int8)))
-                out += [(i, m, b + x, b + y) for x, y in own.reshape(-1, 2).tolist()]
-                at += w + length
-                if len(out) > 10_000:
-                    yield _ranges(out)
-                    out = []
+            with open(path, "rb") as facts:
+                while some := facts.read(4096 * fact.itemsize):
+                    for i, null, m, b, w in np.frombuffer(some, fact).tolist():
+                        own = np.flatnonzero(np.diff(np.concatenate([[False], marks[at : at + w], [False]]).astype(np.int8)))
+                        out += [(None if null else i, m, b + x, b + y) for x, y in own.reshape(-1, 2).tolist()]
+                        at += w + length
+                        if len(out) > 10_000:
+                            yield _ranges(out)
+                            out = []
             if out:
                 yield _ranges(out)
 

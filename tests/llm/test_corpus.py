@@ -271,6 +271,30 @@ def test_induced_sort(seed):
         assert sorted(order.tolist()) == [i for i in range(s.size) if s.text[i] != 0]
 
 
+@pytest.mark.parametrize("kind", ["prose", "one letter", "copies"])
+def test_induced_sort_holds_no_more_than_its_bound(kind):
+    import tracemalloc
+
+    rng = np.random.default_rng(5)
+    letters = np.frombuffer(b"etaoin shrdlu", np.uint8)
+
+    def segments(n):
+        some = letters[rng.integers(0, len(letters), 1000)].tobytes()
+        for _ in range(n):
+            yield b"ab" * 500 if kind == "one letter" else some if kind == "copies" else letters[rng.integers(0, len(letters), 1000)].tobytes()
+
+    most = []
+    for n in (500, 2000):
+        with InducedSorter(None, 20, block=1 << 13, memory=1 << 18) as s:
+            s.load(segments(n))
+            tracemalloc.start()
+            for _ in s.suffixes():
+                pass
+            most.append(tracemalloc.get_traced_memory()[1])
+            tracemalloc.stop()
+    assert most[1] < 1.5 * most[0] and most[1] < 6 << 20, most
+
+
 def test_suffix_dedup(spark):
     rng = random.Random(8)
     shared = words(rng, 80)
