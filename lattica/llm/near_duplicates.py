@@ -14,7 +14,8 @@ size is compared block by block; no bucket is capped and no pair of a group is e
 
 Defined results: a text without words (null, empty, white space) links to nothing and has its own id as class; a class's
 id is the least document id in it (null only if all are null); repeated rows are copies of each other; an empty table
-gives an empty table; other columns are not used.
+gives an empty table; other columns are not used. `kept` decides by row: of a class one row stays, the others go, whether or not
+they share its id, and rows that share an id but no class don't touch each other.
 """
 
 from __future__ import annotations
@@ -24,7 +25,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import saved
@@ -127,8 +128,12 @@ def prefixes(sets: list[np.ndarray], forest: Forest) -> np.ndarray:
     return out
 
 
+def _mark(text: str) -> Column:
+    return F.xxhash64(F.coalesce(F.col(text), F.lit("")))
+
+
 def signed(docs: DataFrame, forest: Forest, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc_id, key (null without words) and the prefixes in all trees."""
+    """doc_id, key (null without words), mark (a hash of the text) and the prefixes in all trees."""
 
     def run(batches):
         for batch in batches:
@@ -139,9 +144,9 @@ def signed(docs: DataFrame, forest: Forest, doc_id: str = "doc_id", text: str =
                 offsets = np.zeros(len(texts) + 1, np.int32)
                 offsets[np.array(some, np.int64) + 1] = forest.trees
                 column = pa.ListArray.from_arrays(pa.array(np.cumsum(offsets).astype(np.int32)), pa.array(found.ravel()))
-                yield pa.RecordBatch.from_arrays([rows.column(0), pa.array([set_key(s) for s in sets], pa.binary()), column], ["doc_id", "key", "prefixes"])
+                yield pa.RecordBatch.from_arrays([rows.column(0), pa.array([set_key(s) for s in sets], pa.binary()), rows.column(2), column], ["doc_id", "key", "mark", "prefixes"])
 
-    return docs.select(F.col(doc_id).cast("bigint").alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, "doc_id bigint, key binary, prefixes array<bigint>")
+    return docs.select(F.col(doc_id).cast("bigint").alias("doc_id"), F.col(text).alias("text"), _mark(text).alias("mark")).mapInArrow(run, "doc_id bigint, key binary, mark bigint, prefixes array<bigint>")
 
 
 def _common(sets: list[np.ndarray], left: np.ndarray, right: np.ndarray) -> np.ndarray:
@@ -234,10 +239,10 @@ def _compared(rows: DataFrame, forest: Forest) -> DataFrame:
     return rows.mapInArrow(run, "key binary, least binary, links bigint")
 
 
-def joined(docs: DataFrame, forest: Forest = Forest(), doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """One row per document: doc_id, class_id and n_links (documents with a similarity of the threshold or more to it)."""
+def _labelled(docs: DataFrame, forest: Forest, doc_id: str, text: str) -> tuple[DataFrame, DataFrame]:
+    """The signed rows, and for each key its label (equal for near duplicates), the least row with it (rep_id, rep_mark; null ids last), n copies and links."""
     rows = saved(signed(docs, forest, doc_id, text), "near-signed")
-    classes = saved(rows.where("key is not null").groupBy("key").agg(F.min("doc_id").alias("rep_id"), F.count(F.lit(1)).alias("n"), F.first("prefixes").alias("prefixes")), "near-classes")
+    classes = saved(rows.where("key is not null").groupBy("key").agg(F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "mark")).alias("rep"), F.count(F.lit(1)).alias("n"), F.first("prefixes").alias("prefixes")).select("key", F.col("rep.doc_id").alias("rep_id"), F.col("rep.mark").alias("rep_mark"), "n", "prefixes"), "near-classes")
     nodes = classes.select("key", F.posexplode("prefixes").alias("tree", "prefix"))
     shared = nodes.groupBy("tree", "prefix").agg(F.min("key").alias("leader"), F.count(F.lit(1)).alias("m")).where("m > 1").drop("m")
     groups = components(nodes.join(shared, ["tree", "prefix"]).select(F.col("key").alias("a"), F.col("leader").alias("b")))
@@ -261,8 +266,13 @@ def joined(docs: DataFrame, forest: Forest = Forest(), doc_id: str = "doc_id", t
     checked = saved(_compared(texts.repartition(parts, "comp", "i", "j").sortWithinPartitions("comp", "i", "j", "key"), forest), "near-checked")
     found = components(checked.select(F.col("key").alias("a"), F.col("least").alias("b"))).withColumnRenamed("node", "key")
     links = checked.groupBy("key").agg(F.sum("links").alias("links"))
-    facts = classes.select("key", "rep_id", "n").join(links, "key", "left").join(found, "key", "left").withColumn("label", F.coalesce("label", "key"))
-    facts = saved(facts, "near-facts")
+    facts = classes.select("key", "rep_id", "rep_mark", "n").join(links, "key", "left").join(found, "key", "left").withColumn("label", F.coalesce("label", "key"))
+    return rows, saved(facts, "near-facts")
+
+
+def joined(docs: DataFrame, forest: Forest = Forest(), doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """One row per document: doc_id, class_id and n_links (documents with a similarity of the threshold or more to it)."""
+    rows, facts = _labelled(docs, forest, doc_id, text)
     ids = facts.groupBy("label").agg(F.min("rep_id").alias("class_id"))
     facts = facts.join(ids, "label").select("key", "class_id", (F.col("n") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"))
     out = rows.select("doc_id", "key").join(facts, "key", "left")
@@ -270,6 +280,20 @@ def joined(docs: DataFrame, forest: Forest = Forest(), doc_id: str = "doc_id", t
 
 
 def kept(docs: DataFrame, forest: Forest = Forest(), doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """The documents with one of each class, that with the least id; rows with a null id stay, as no id can tell them apart."""
-    gone = joined(docs, forest, doc_id, text).where("doc_id is not null and doc_id <> class_id").select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(gone, docs[doc_id] == F.col("_gone"), "left_anti")
+    """The documents with one row of each class, one with the least id (null only if all are null); texts without words stay."""
+    rows, facts = _labelled(docs, forest, doc_id, text)
+    least = facts.groupBy("label").agg(F.min(F.struct(F.col("rep_id").isNull().alias("no_id"), "rep_id", "key", "rep_mark")).alias("rep")).select("rep.*")
+    place = [F.coalesce("doc_id", F.lit(0)).alias("_id"), F.col("doc_id").isNull().alias("_no_id"), F.col("mark").alias("_mark")]
+    names = ["_id", "_no_id", "_mark"]
+    copies = rows.where("key is not null").groupBy(*place).agg(F.count(F.lit(1)).alias("_copies")).where("_copies > 1")
+    least = least.select(F.coalesce("rep_id", F.lit(0)).alias("_id"), F.col("no_id").alias("_no_id"), F.col("rep_mark").alias("_mark"))
+    least = saved(least.join(copies, names, "left").withColumn("_copies", F.coalesce("_copies", F.lit(1).cast("bigint"))), "near-least")
+    own = F.col(doc_id).cast("bigint")
+    placed = docs.withColumns({"_id": F.coalesce(own, F.lit(0).cast("bigint")), "_no_id": own.isNull(), "_mark": _mark(text)})
+    worded = F.coalesce(F.col(text), F.lit("")).rlike(r"[^\x20\x09-\x0D]")
+    # a row on its own stays by its place alone; of equal rows one is taken
+    single = placed.where(worded).join(least.where("_copies = 1").drop("_copies"), names, "left_semi")
+    equal = placed.where(worded).join(least.where("_copies > 1").drop("_copies"), names, "left_semi")
+    equal = equal.withColumn("_nth", F.row_number().over(Window.partitionBy(*names).orderBy(*[F.col(c) for c in names]))).where("_nth = 1")
+    out = single.select(*docs.columns).unionByName(equal.select(*docs.columns))
+    return out.unionByName(docs.where(~worded))

@@ -359,3 +359,16 @@ def test_pipeline(spark, tmp_path):
     assert {r["doc_id"] for r in docs.collect()} == set(range(40))
     out = corpus_pipeline.run(spark, str(tmp_path)).collect()
     assert out and {r["doc_id"] for r in out} <= set(range(40)) and all(r["n_tokens"] == len(r["ids"]) for r in out)
+
+
+def test_repeated_rows_and_ids_keep_one_text(spark):
+    rng = random.Random(12)
+    a, b, c, d, e = (words(rng, 100) for _ in range(5))
+    near = a.rsplit(" ", 1)[0] + " other"
+    texts = [(1, a), (2, near), (2, b), (3, c), (3, c), (3, c), (None, d), (None, d), (None, e), (4, e), (5, None), (5, None), (6, b.replace(" ", "  "))]
+    docs = table(spark, texts)
+    first = near_duplicates.kept(docs)
+    want = sorted([(1, a), (2, b), (3, c), (None, d), (4, e), (5, None), (5, None)], key=str)
+    assert sorted(((r["doc_id"], r["text"]) for r in first.collect()), key=str) == want
+    left = suffix_dedup.removed(first)
+    assert sorted(((r["doc_id"], r["text"]) for r in left.collect()), key=str) == want
