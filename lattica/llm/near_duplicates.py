@@ -1,10 +1,10 @@
-"""N-gram Jaccard join: a MinHash LSH forest, then exact verification.
+"""N-gram Jaccard join: MinHash bands of fixed depth (in place of an LSH forest), then exact verification.
 
 The set of a text is that of its five-word shingles (words as they stand between white space; a text of one to four words
 has one shingle, all of them). Texts with equal sets form a class, found by a 128-bit key; classes, not copies, go on.
-Each class has a signature of trees x depth minima. A tree is the trie of its part of the signatures; two classes meet
-in it if they share a prefix. Prefixes are shortened from the full depth until a pair at the threshold is met with the
-target recall in one of the trees at least. Classes that meet, directly or through others, form a candidate group, and a
+Each class has a signature of trees x depth minima; two classes meet if they agree in all minima of a tree. The depth is
+the greatest, up to `deepest`, at which a pair at the threshold is met with the target recall; it is worked out before any
+data is seen, and no trie is built. Classes that meet, directly or through others, form a candidate group, and a
 group's classes are compared in blocks of bounded size: pairs that meet in a tree are verified by exact counts of
 shingles. A task gives one row per class and block pair: how many documents it links to, and the least key that verified
 links reach in the block pair. Components over these rows are the near-duplicate classes.
