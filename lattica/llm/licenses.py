@@ -89,9 +89,9 @@ class Scanner:
         for needle, label, n in self.phrases:
             found += [(at, at + len(needle) - 2, label, n, 0, True, 1.0) for at in self._places(padded, needle)]
         for notice, parts, pattern in self.notices:
-            size, k, windows = len(notice.text), notice.edits, []
+            size, k, windows = len(notice.text), notice.edits, []  # an edit may be a character of four bytes
             for offset, seed in parts:
-                windows += [(max(0, at - offset - k), at - offset + size + k) for at in self._places(padded, seed)]
+                windows += [(max(0, at - offset - 4 * k), at - offset + size + 4 * k) for at in self._places(padded, seed)]
             if not windows:
                 continue
             windows.sort()

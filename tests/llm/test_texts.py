@@ -158,3 +158,9 @@ def test_query_digests(spark, tmp_path, docs):
     assert {r["decoded_sha256"] for r in out if r["doc_id"] == 2} == {hashlib.sha256(b"").hexdigest()}
     rows = queries.op4_licenses(spark, str(tmp_path)).collect()
     assert len(rows) == len(ROWS) and all(0 <= r["score"] <= 1 for r in rows)
+
+
+@pytest.mark.parametrize("space", [0x00A0, 0x2009, 0x202F, 0x1D173])
+def test_licence_edits_of_several_bytes(space):
+    _, spans = licenses.Scanner().scan(f"words before all{chr(space)}rights{chr(space)}reserved and after")
+    assert [(s["label"], s["edits"]) for s in spans] == [("reserved", 2)]
