@@ -81,6 +81,18 @@ class Scanner:
             at = hay.find(needle, at + 1)
         return out
 
+    @staticmethod
+    def _matches(pattern, piece: str) -> list:
+        """The best match of a window, then the best ones of what stands before and after it, and so on."""
+        out, ranges = [], [(0, len(piece))]
+        while ranges:
+            a, b = ranges.pop()
+            m = pattern.search(piece, a, b) if a < b else None
+            if m and m.end() > m.start():
+                out.append(m)
+                ranges += [(a, m.start()), (m.end(), b)]
+        return out
+
     def scan(self, text: str) -> tuple[int, list[dict]]:
         """Number of words, and the spans in order."""
         words = normalised(text)
@@ -105,7 +117,7 @@ class Scanner:
                 while a and padded[a] & 0xC0 == 0x80:
                     a -= 1
                 piece = padded[a:b].decode("utf-8", "ignore")
-                for m in pattern.finditer(piece):
+                for m in self._matches(pattern, piece):
                     start = a + len(piece[: m.start()].encode())
                     inner = piece[m.start() : m.end()]
                     start += len(inner) - len(inner.lstrip(" "))

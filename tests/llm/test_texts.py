@@ -164,3 +164,9 @@ def test_query_digests(spark, tmp_path, docs):
 def test_licence_edits_of_several_bytes(space):
     _, spans = licenses.Scanner().scan(f"words before all{chr(space)}rights{chr(space)}reserved and after")
     assert [(s["label"], s["edits"]) for s in spans] == [("reserved", 2)]
+
+
+def test_licence_before_a_better_one():
+    for hay in ("all rihts reservd foo all rights reserved", "all rights reserved foo all rihts reservd", "all rihts reserved all rihts reservd all rights reserved"):
+        _, spans = licenses.Scanner(phrases={}).scan(hay)
+        assert [s["label"] for s in spans] == ["reserved"] * hay.count("all")
