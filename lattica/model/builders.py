@@ -5,8 +5,19 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..plans.ranks import ranked
 from .graph import PropertyGraph, vertex_id
 
+#: The base tables of each graph.
+TABLES = {
+    "copurchase": ("part", "lineitem"),
+    "trade": ("region", "nation", "customer", "supplier", "part", "orders", "lineitem"),
+    "docs": ("documents", "labels"),
+    "sessions": ("events",),
+    "dialogue": ("conversations",),
+    "web": ("pages",),
+    "similar": ("embeddings",),
+}
 MAIN_TYPES = ("STANDARD", "ECONOMY", "MEDIUM", "PROMO")
 
 
@@ -113,13 +124,14 @@ def dialogue(spark: SparkSession, sf_dir: str) -> PropertyGraph:
 
 
 def _named_ids(kind: str, names: DataFrame, exact: bool) -> DataFrame:
-    """name and vid of distinct names: dense ranks, or hashes (47 bits; `PropertyGraph.clashes` finds collisions) where a ranking of all names is too much."""
+    """name and vid of distinct names: dense ranks (made range by range), or hashes (47 bits; `PropertyGraph.clashes` finds collisions)."""
+    names = names.distinct()
     if exact:
-        return names.distinct().withColumn("vid", vertex_id(kind, F.dense_rank().over(Window.orderBy("name"))))
-    return names.distinct().withColumn("vid", vertex_id(kind, F.pmod(F.xxhash64("name"), F.lit(10**14))))
+        return ranked(names, ["name"]).select("name", vertex_id(kind, F.col("nth")).alias("vid"))
+    return names.withColumn("vid", vertex_id(kind, F.pmod(F.xxhash64("name"), F.lit(10**14))))
 
 
-def web(spark: SparkSession, sf_dir: str, exact: bool = False) -> PropertyGraph:
+def web(spark: SparkSession, sf_dir: str, exact: bool = True) -> PropertyGraph:
     """Pages, their hosts and the targets of their links."""
     pages = load(spark, sf_dir, "pages").select("page_id", "url", "html", vertex_id("page", F.col("page_id")).alias("page"), F.regexp_extract("url", "^[a-z]+://([^/]+)", 1).alias("host"))
     nodes = _vertices(pages, "page", vid=F.col("page"), lang=F.nullif(F.regexp_extract("html", '<html[^>]* lang="([^"]*)"', 1), F.lit("")), path=F.regexp_extract("url", "^[a-z]+://[^/]+(.*)$", 1))
@@ -143,6 +155,25 @@ def cosine(a: Column, b: Column) -> Column:
     return dot(a, b) / F.sqrt(dot(a, a) * dot(b, b))
 
 
+def cosine_udf():
+    """The same cosine as a vectorised Python function: for cross-checks only."""
+
+    @F.pandas_udf("double")
+    def run(a, b):
+        import numpy as np
+        import pandas as pd
+
+        x, y = np.array(a.tolist(), np.float64), np.array(b.tolist(), np.float64)
+        return pd.Series((x * y).sum(1) / np.sqrt((x * x).sum(1) * (y * y).sum(1)))
+
+    return run
+
+
+def event_values(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """event_id, k: a value out of the events' JSON, read as a variant."""
+    return load(spark, sf_dir, "events").select("event_id", F.try_variant_get(F.try_parse_json("props"), "$.k", "int").alias("k"))
+
+
 def similar(spark: SparkSession, sf_dir: str, least: float = 0.35, blocks: int = 8) -> PropertyGraph:
     """Vectors joined where their cosine is high enough: exact, block against block, for tables of a few thousand rows."""
     rows = load(spark, sf_dir, "embeddings").select(vertex_id("vector", F.col("vec_id")).alias("vid"), "embedding", "label")

@@ -6,7 +6,8 @@ edges: src bigint, dst bigint, elabel string, distinct. An undirected graph stor
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from collections.abc import Iterable
+from dataclasses import dataclass, field
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -25,11 +26,64 @@ def both_arcs(edges: DataFrame) -> DataFrame:
     return edges.unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "elabel")).distinct()
 
 
+@dataclass(frozen=True)
+class Facts:
+    """What a stored graph knows of itself: as many entries as there are kinds of vertices and arcs, times a few degree classes.
+
+    degrees: (label, edge label, neighbour's label, outgoing) -> {neighbours: vertices with as many}; from 64 on by powers of two.
+    """
+
+    version: str
+    vertices: dict[str | None, int]
+    arcs: dict[tuple[str | None, str, str | None], int]
+    degrees: dict[tuple[str | None, str, str | None, bool], dict[int, int]]
+    several: bool
+    #: (label, attribute) -> vertices that have it, distinct values (about), and of a boolean one how many are true.
+    values: dict[tuple[str | None, str], tuple[int, int, int | None]]
+
+    def count(self, label: str | None) -> int:
+        return sum(n for k, n in self.vertices.items() if label in (None, k))
+
+    def matching(self, a: str | None, label: str | None, b: str | None) -> int:
+        return sum(n for (s, e, d), n in self.arcs.items() if a in (None, s) and label in (None, e) and b in (None, d))
+
+    def share_where(self, label: str | None, literals: Iterable, negated: bool = False) -> float:
+        """The share of a label's vertices of which literals about one variable are expected to hold (or, negated, not all to hold)."""
+        share, total = 1.0, max(1, self.count(label))
+        for x in literals:
+            known = [self.values[k] for k in self.values if label in (None, k[0]) and k[1] == x.uses[0][1]]
+            have = sum(n for n, _, _ in known)
+            if hasattr(x, "value"):
+                if isinstance(x.value, bool) and all(t is not None for _, _, t in known):
+                    true = sum(t for _, _, t in known)
+                    have = true if x.value else have - true
+                else:
+                    have /= max(1, max((d for _, d, _ in known), default=1))
+            share *= min(1.0, have / total)
+        return 1 - share if negated else share
+
+    def _classes(self, a: str | None, label: str | None, b: str | None, out: bool) -> list[tuple[int, int]]:
+        return [(k, n) for (s, e, d, o), by in self.degrees.items() if o == out and a in (None, s) and label in (None, e) and b in (None, d) for k, n in by.items()]
+
+    def weight_with(self, least: int, a: str | None, label: str | None, b: str | None, out: bool) -> float:
+        """The share of a kind's arcs that lie at vertices with so many neighbours of the kind: what a degree filter leaves to do."""
+        classes = self._classes(a, label, b, out)
+        return sum(k * n for k, n in classes if k >= least) / max(1, sum(k * n for k, n in classes))
+
+    def weight_dead(self, share: float, a: str | None, label: str | None, b: str | None, out: bool) -> float:
+        """The share of a kind's arcs at vertices none of whose neighbours passes a filter that keeps a share of them."""
+        classes = self._classes(a, label, b, out)
+        return sum(k * n * (1 - share) ** k for k, n in classes) / max(1, sum(k * n for k, n in classes))
+
+
 @dataclass(frozen=True)
 class PropertyGraph:
     vertices: DataFrame
     edges: DataFrame
     directed: bool = True
+    #: Of a stored graph: its arcs with src_label and dst_label, in folders by kind, and its facts.
+    kinds: DataFrame | None = field(default=None, compare=False)
+    facts: Facts | None = field(default=None, compare=False)
 
     @staticmethod
     def of(vertices: DataFrame, edges: DataFrame, directed: bool = True) -> PropertyGraph:
@@ -46,13 +100,23 @@ class PropertyGraph:
         """The attribute's column; one unknown to the catalog is absent everywhere."""
         return F.col(name) if name in self.catalog else F.lit(None)
 
-    def arcs(self, label: str | None, closed: bool = False) -> DataFrame:
-        """Distinct (src, dst) of a label, of any label for None; closed: in both directions."""
-        rows = self.edges if label is None else self.edges.where(F.col("elabel") == label)
-        pairs = rows.select("src", "dst")
+    def arcs(self, label: str | None, closed: bool = False, src_label: str | None = None, dst_label: str | None = None) -> DataFrame:
+        """Distinct (src, dst) of a label, of any label for None; closed: in both directions.
+
+        A stored graph reads only the kinds with the labels of the ends; of others the caller checks the ends' labels.
+        """
+
+        def of(a: str | None, b: str | None) -> DataFrame:
+            rows = self.edges if self.kinds is None else self.kinds
+            for name, value in (("elabel", label), *((("src_label", a), ("dst_label", b)) if self.kinds is not None else ())):
+                if value is not None:
+                    rows = rows.where(F.col(name) == value)
+            return rows.select("src", "dst")
+
+        pairs = of(src_label, dst_label)
         if closed and self.directed:
-            return pairs.union(pairs.select("dst", "src")).distinct()
-        return pairs.distinct() if label is None else pairs
+            return pairs.union(of(dst_label, src_label).select("dst", "src")).distinct()
+        return pairs if label is not None or self.facts is not None and not self.facts.several else pairs.distinct()
 
     def labelled(self, label: str | None) -> DataFrame:
         return self.vertices if label is None else self.vertices.where(F.col("vlabel") == label)
@@ -90,6 +154,25 @@ class PropertyGraph:
             reached = reached.union(frontier).distinct()
         return reached
 
+    def ball_sql(self, seeds: DataFrame, radius: int) -> DataFrame:
+        """The same as `ball`, by a recursive query."""
+        spark = self.vertices.sparkSession
+        seeds.select("vid").createOrReplaceTempView("_ball_seeds")
+        self.arcs(None, closed=True).createOrReplaceTempView("_ball_arcs")
+        return spark.sql(f"""WITH RECURSIVE r(centre, vid, hops) AS (SELECT vid, vid, 0 FROM _ball_seeds
+            UNION ALL SELECT r.centre, a.dst, r.hops + 1 FROM r JOIN _ball_arcs a ON a.src = r.vid WHERE r.hops < {int(radius)})
+            SELECT DISTINCT centre, vid FROM r""")
+
+    def sample_vertices(self, share: float, seed: int = 0) -> PropertyGraph:
+        """A seeded sample of the vertices, by their ids alone, and the edges between them."""
+        place = F.conv(F.substring(F.md5(F.concat(F.lit(f"{seed}/"), F.col("vid").cast("string"))), 1, 8), 16, 10).cast("bigint")
+        return self.induced(self.vertices.where(place < F.lit(int(share * 2**32))).select("vid"))
+
+    def degrees_about(self, rsd: float = 0.02) -> DataFrame:
+        """vid and about how many distinct neighbours: a sketch per vertex, so a hub's arcs need no exact distinct."""
+        arcs = self.edges if not self.directed else self.edges.select("src", "dst").union(self.edges.select("dst", "src"))
+        return arcs.groupBy(F.col("src").alias("vid")).agg(F.approx_count_distinct("dst", rsd).alias("degree"))
+
     def degrees(self) -> DataFrame:
         """vid and the number of distinct neighbours (the vertex itself included if it has a loop), by out-arcs of the closure."""
         return self.arcs(None, closed=True).groupBy(F.col("src").alias("vid")).agg(F.count(F.lit(1)).alias("degree"))

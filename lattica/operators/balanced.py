@@ -8,26 +8,29 @@ from __future__ import annotations
 import heapq
 from collections.abc import Iterable
 from functools import reduce
+from itertools import product
+from math import prod
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..model.graph import PropertyGraph
 from ..plans import steps
+from ..plans.ranks import ranked
 from ..plans.steps import Needs
 from ..rules import shape
 from ..rules.ast import Pattern, Rule
 from ..sources.store import saved, ship
 from . import reference
 
-#: Arcs of which copies may go to every worker (24 bytes each); above it nothing is broadcast.
-REPLICATED_ARCS = 2_000_000
-#: Units that the greedy split may bring to the driver; above it the distributed split does the work.
-GREEDY_UNITS = 1_000_000
+#: Bytes of arcs (24 each) that `placement="replicated"` may copy to every worker.
+REPLICATED_BYTES = 64 << 20
+#: Units that the greedy split may bring to the driver, and messages that it may make there: more is an error.
+GREEDY_UNITS, MOST_MESSAGES = 1_000_000, 1_000_000
 
 
 def _label_counts(graph: PropertyGraph) -> dict[str | None, int]:
-    counts: dict[str | None, int] = {r["vlabel"]: r["n"] for r in graph.label_counts().collect()}  # one row per label
+    counts: dict[str | None, int] = dict(graph.facts.vertices) if graph.facts else {r["vlabel"]: r["n"] for r in graph.label_counts().collect()}  # one row per label
     counts[None] = sum(counts.values())
     return counts
 
@@ -59,58 +62,49 @@ def candidate_histogram(graph: PropertyGraph, rules: Iterable[Rule], range_attr:
     return reduce(DataFrame.unionByName, rows)
 
 
-def candidate_ranges(graph: PropertyGraph, rule: Rule, m: int, range_attr: str = "vid", method: str = "exact") -> DataFrame:
-    """rule_id, component, var, range_id (from 0), lo, hi, cnt: m ranges with as many candidates each.
+def ranged_candidates(graph: PropertyGraph, rule: Rule, m: int, range_attr: str = "vid", method: str = "exact") -> DataFrame:
+    """The pivots' candidates (rule_id, component, var, vid, attr_value) with range_id: m ranges (from 0) with as many candidates each.
 
-    Exact: candidates are ranked by attribute and id in two steps, counts of value blocks first, so no window runs over all rows.
-    Approx: bounds from approximate quantiles, in one pass; equal values share a range.
+    Exact: candidates are ranked by attribute and id. Approx: bounds from approximate quantiles, in one pass; equal values share a
+    range. Candidates without the attribute come first.
     """
     out = []
-    rows = pivot_candidates(graph, rule, range_attr).where("attr_value is not null")
+    rows = pivot_candidates(graph, rule, range_attr)
     for i, _ in enumerate(pivots(graph, rule.pattern)):
         own = rows.where(F.col("component") == i)
         if method == "approx":
             cuts = own.agg(F.percentile_approx("attr_value", [k / m for k in range(1, m)], 10_000)).first()[0] if m > 1 else []
             cuts = sorted(set(cuts or []))
             number = reduce(lambda acc, c: acc + (F.col("attr_value") > F.lit(c)).cast("int"), cuts, F.lit(0))
-            dealt = own.withColumn("range_id", number)
+            out.append(own.withColumn("range_id", F.coalesce(number, F.lit(0))))
         else:
-            dealt = ranked(own, ["attr_value", "vid"]).withColumn("range_id", F.floor((F.col("nth") - 1) * m / F.col("total")).cast("int"))
-        out.append(dealt.groupBy("rule_id", "component", "var", "range_id").agg(F.min("attr_value").alias("lo"), F.max("attr_value").alias("hi"), F.count(F.lit(1)).alias("cnt")))
+            out.append(ranked(own, ["attr_value", "vid"]).withColumn("range_id", F.floor((F.col("nth") - 1) * m / F.col("total")).cast("int")).drop("nth", "total"))
     return reduce(DataFrame.unionByName, out)
 
 
-def ranked(rows: DataFrame, by: list[str], descending: bool = False, blocks: int = 64) -> DataFrame:
-    """Adds nth (from 1, by the ordering) and total without a window over all rows: blocks of the first column's range are counted, then ranked inside."""
-    first = by[0]
-    edges = rows.agg(F.percentile_approx(first, [k / blocks for k in range(1, blocks)], 10_000)).first()[0] or []
-    number = reduce(lambda acc, c: acc + (F.col(first) > F.lit(c)).cast("int"), sorted(set(edges)), F.lit(0))
-    rows = rows.withColumn("_block", -number if descending else number)
-    counts = rows.groupBy("_block").agg(F.count(F.lit(1)).alias("_n"))
-    before = Window.orderBy("_block").rowsBetween(Window.unboundedPreceding, -1)  # over the few blocks
-    counts = counts.select("_block", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_base")).crossJoin(rows.agg(F.count(F.lit(1)).alias("total")))
-    order = [F.desc(by[0]) if descending else F.asc(by[0]), *by[1:]]
-    inner = Window.partitionBy("_block").orderBy(*order)
-    return rows.withColumn("_k", F.row_number().over(inner)).join(F.broadcast(counts), "_block").withColumn("nth", F.col("_base") + F.col("_k")).drop("_block", "_k", "_base")
+def candidate_ranges(graph: PropertyGraph, rule: Rule, m: int, range_attr: str = "vid", method: str = "exact") -> DataFrame:
+    """rule_id, component, var, range_id, lo, hi, cnt of the ranges."""
+    dealt = ranged_candidates(graph, rule, m, range_attr, method)
+    return dealt.groupBy("rule_id", "component", "var", "range_id").agg(F.min("attr_value").alias("lo"), F.max("attr_value").alias("hi"), F.count(F.lit(1)).alias("cnt"))
 
 
-def messages(ranges: DataFrame, n: int) -> DataFrame:
+def messages(ranges: DataFrame, n: int, most: int = MOST_MESSAGES) -> DataFrame:
     """msg_id, rule_id, ranges (component:range, ...), worker: a message for each tuple of ranges, one range per component, dealt in turn.
 
-    Ranges are few (m per component), so their product is made on the driver.
+    Ranges are few (m per component), and their product is made on the driver; more than `most` messages are an error.
     """
-    from itertools import product
+    rows = [(k, rule_id, ",".join(f"{c}:{x}" for c, x in combo), k % n) for k, (rule_id, combo) in enumerate(_tuples(ranges, most))]
+    return ranges.sparkSession.createDataFrame(rows, "msg_id int, rule_id string, ranges string, worker int")
 
+
+def _tuples(ranges: DataFrame, most: int) -> list[tuple[str, tuple[tuple[int, int], ...]]]:
+    """(rule_id, ((component, range), ...)) of all messages."""
     by: dict[str, dict[int, list[int]]] = {}
     for r in ranges.select("rule_id", "component", "range_id").collect():
         by.setdefault(r["rule_id"], {}).setdefault(r["component"], []).append(r["range_id"])
-    rows, k = [], 0
-    for rule_id in sorted(by):
-        parts = [[f"{c}:{x}" for x in sorted(by[rule_id][c])] for c in sorted(by[rule_id])]
-        for combo in product(*parts):
-            rows.append((k, rule_id, ",".join(combo), k % n))
-            k += 1
-    return ranges.sparkSession.createDataFrame(rows, "msg_id int, rule_id string, ranges string, worker int")
+    if sum(prod(map(len, parts.values())) for parts in by.values()) > most:
+        raise ValueError(f"more than {most} messages: ask for fewer ranges")
+    return [(rule_id, combo) for rule_id in sorted(by) for combo in product(*[[(c, x) for x in sorted(by[rule_id][c])] for c in sorted(by[rule_id])])]
 
 
 def ball_sizes(graph: PropertyGraph, pattern: Pattern, var: str, radius: int) -> DataFrame:
@@ -122,8 +116,8 @@ def ball_sizes(graph: PropertyGraph, pattern: Pattern, var: str, radius: int) ->
 def work_units(graph: PropertyGraph, rules: Iterable[Rule]) -> DataFrame:
     """rule_id, component, var, vid, cost: a unit for each candidate of each pivot.
 
-    A rule with several components has a tuple of pivots as unit, with the sum of its balls as cost; the tuples are not made:
-    the split deals the first component's pivots, and each worker meets all of the others.
+    A rule with several components has tuples of pivots as units, with the sum of their balls as cost. Tuples are never
+    made one by one: a message stands for all tuples of its ranges, and `message_costs` adds their costs up.
     """
     out = []
     for r in rules:
@@ -152,11 +146,14 @@ def assign(units: DataFrame, n: int, method: str = "snake") -> DataFrame:
     """Adds worker to units (vid, cost). snake: rank by cost, deal to and fro; greedy: on the driver, for few units; hash: no balance."""
     if method == "hash":
         return units.withColumn("worker", F.pmod(F.xxhash64("vid"), F.lit(n)).cast("int"))
-    if method == "greedy" and units.count() <= GREEDY_UNITS:
+    if method not in ("snake", "greedy"):
+        raise ValueError("method is one of snake, greedy, hash")
+    if method == "greedy":
+        if units.count() > GREEDY_UNITS:
+            raise ValueError(f"the greedy split works on the driver, for up to {GREEDY_UNITS} units: use snake")
         given = greedy_split([(r["vid"], r["cost"]) for r in units.select("vid", "cost").collect()], n)
         table = units.sparkSession.createDataFrame(list(given.items()) or [], "vid bigint, worker int")
         return units.join(table, "vid")
-    units = saved(units, "units")  # ranked in several passes
     turn = F.pmod(F.col("nth") - 1, F.lit(2 * n))
     return ranked(units, ["cost", "vid"], descending=True).withColumn("worker", F.when(turn < n, turn).otherwise(2 * n - 1 - turn).cast("int")).drop("nth", "total")
 
@@ -170,12 +167,40 @@ def _bfs_order(pattern: Pattern, root: str):
     return shape.spanning_tree(pattern, root)
 
 
-def match_units(graph: PropertyGraph, pattern: Pattern, assigned: DataFrame, part: tuple[str, ...], pivot: str, radius: int, n: int, semantics: str = "mono", needs: Needs | None = None, placement: str = "replicated", local_matcher: str = "joins") -> DataFrame:
-    """Bindings of a component from the pivots (vid, worker) of all workers, each binding by the worker of its pivot."""
-    seeds = assigned.select(F.col("vid").alias(pivot), "worker")
+PLACEMENTS = ("auto", "replicated", "joined", "shipped")
+
+
+def arcs_bytes(graph: PropertyGraph, pattern: Pattern) -> int:
+    """Bytes of the arcs that the pattern's edges read, 24 each."""
+    kinds = {(pattern.label(e.src), e.label, pattern.label(e.dst)) for e in pattern.edges}
+    if graph.facts:
+        return 24 * sum(graph.facts.matching(*k) + (graph.facts.matching(*k[::-1]) if graph.directed and not pattern.directed else 0) for k in kinds)
+    return 24 * len(kinds) * graph.edges.count()
+
+
+def placed(graph: PropertyGraph, pattern: Pattern, placement: str, most: int = REPLICATED_BYTES) -> str:
+    """The placement to use: auto is replicated where the arcs fit, else joined; replicated is refused where they don't."""
+    if placement not in PLACEMENTS:
+        raise ValueError(f"placement is one of {PLACEMENTS}")
+    if placement not in ("auto", "replicated"):
+        return placement
+    size = arcs_bytes(graph, pattern)
+    if size > most and placement == "replicated":
+        raise ValueError(f"{size} bytes of arcs are too many to copy to every worker: use joined, shipped or auto")
+    return "replicated" if size <= most else "joined"
+
+
+def match_units(graph: PropertyGraph, pattern: Pattern, assigned: DataFrame, part: tuple[str, ...], pivot: str, radius: int, n: int, semantics: str = "mono", needs: Needs | None = None, placement: str = "auto", local_matcher: str = "joins", replicated_bytes: int = REPLICATED_BYTES) -> DataFrame:
+    """Bindings of a component from the pivots (vid, worker, other columns are kept) of all workers, each binding by the worker of its pivot.
+
+    replicated: every worker sees the whole graph, as copies of the arcs; joined: arcs stay where they are and are met by
+    shuffles; shipped: each worker gets the balls of its pivots.
+    """
+    seeds = assigned.withColumnRenamed("vid", pivot)
     order = _bfs_order(pattern, pivot)
     if local_matcher == "search":
         return _searched(graph, pattern, seeds, part, pivot, radius, semantics, needs)
+    placement = placed(graph, pattern, placement, replicated_bytes)
     if placement == "shipped":
         own = _shipped(graph, pattern, seeds, pivot, radius)
 
@@ -185,22 +210,22 @@ def match_units(graph: PropertyGraph, pattern: Pattern, assigned: DataFrame, par
         def pairs(e):
             return arcs(e).select("worker", "src", "dst")
 
-        def link(p, c, e):
+        def shipped_link(p, c, e):
             found = steps.oriented(pairs(e), e, p, c)
-            return found if steps.free(graph, pattern, c, needs) else found.join(steps.candidates(graph, pattern, c, needs), c)
+            return found.join(steps.candidates(graph, pattern, c, needs), c) if pattern.label(c) is not None or not steps.free(graph, pattern, c, needs) else found
 
         start = seeds.join(steps.candidates(graph, pattern, pivot, needs), pivot)
-        return steps.component_matches(pattern, part, start, pivot, order, link, pairs, lambda: own.select("worker", "src", "dst"), semantics, ("worker",)).drop("worker")
-    # every worker sees the whole graph: copies of the arcs where they are few, by count, else plain joins
-    small = graph.edges.count() <= REPLICATED_ARCS
-    copy = F.broadcast if small else (lambda df: df)
+        return steps.component_matches(pattern, part, start, pivot, order, shipped_link, pairs, lambda u, v: own.select("worker", "src", "dst"), semantics, ("worker",)).drop("worker")
+    copy = F.broadcast if placement == "replicated" else (lambda df: df)
 
     def link(p, c, e):
-        found = steps.oriented(steps.arcs_of(graph, pattern, e), e, p, c)
-        return copy(found if steps.free(graph, pattern, c, needs) else found.join(steps.candidates(graph, pattern, c, needs), c))
+        return copy(steps.oriented(steps.arcs_of(graph, pattern, e), e, p, c))
+
+    def dress(df, c):
+        return df if steps.free(graph, pattern, c, needs) else df.join(steps.candidates(graph, pattern, c, needs), c)
 
     start = steps.candidates(graph, pattern, pivot, needs).join(seeds, pivot).repartition(n, "worker").drop("worker")
-    return steps.component_matches(pattern, part, start, pivot, order, link, lambda e: copy(steps.arcs_of(graph, pattern, e)), lambda: graph.arcs(None, closed=not pattern.directed), semantics)
+    return steps.component_matches(pattern, part, start, pivot, order, link, lambda e: copy(steps.arcs_of(graph, pattern, e)), steps.any_arc(graph, pattern), semantics, (), dress)
 
 
 def _shipped(graph: PropertyGraph, pattern: Pattern, seeds: DataFrame, pivot: str, radius: int) -> DataFrame:
@@ -219,9 +244,11 @@ def _shipped(graph: PropertyGraph, pattern: Pattern, seeds: DataFrame, pivot: st
 
 
 def _searched(graph, pattern, seeds, part, pivot, radius, semantics, needs) -> DataFrame:
-    """The search routine itself in each worker, over the arcs and vertices shipped to it: for comparison, on small balls."""
+    """The search routine itself, over the arcs and vertices of one pivot's ball at a time: for comparison only, as each ball is searched in Python."""
     import pandas as pd
 
+    seeds = seeds.withColumn("worker", F.col(pivot))
+
     ship(graph.vertices.sparkSession)
     inner = Pattern(tuple(v for v in pattern.vertices if v.var in part), tuple(e for e in pattern.edges if e.src in part), pattern.directed)
     own = _shipped(graph, pattern, seeds, pivot, radius).select("worker", "src", "dst", F.explode("labels").alias("elabel"))
@@ -249,10 +276,52 @@ def _searched(graph, pattern, seeds, part, pivot, radius, semantics, needs) -> D
     return df
 
 
-def match(graph: PropertyGraph, pattern: Pattern, semantics: str = "mono", needs: Needs | None = None, n: int = 4, method: str = "snake", placement: str = "replicated", local_matcher: str = "joins") -> DataFrame:
-    """The whole scheme: the pivots of the first component are dealt out by cost; other components are met by every worker."""
-    parts = []
-    for part, (pivot, radius) in zip(shape.components(pattern), pivots(graph, pattern), strict=True):
-        units = ball_sizes(graph, pattern, pivot, radius)
-        parts.append((part, match_units(graph, pattern, assign(units, n, method), part, pivot, radius, n, semantics, needs, placement, local_matcher)))
-    return steps.combined(graph, pattern, parts, semantics, needs)
+def dealt_units(graph: PropertyGraph, rule: Rule, n: int, ranges: int, range_attr: str = "vid", method: str = "snake") -> DataFrame:
+    """The coordinator's part for a connected pattern: ranges, messages, the units that each message brings (vid, msg_id, cost), and their split (worker)."""
+    (var, radius), *_ = pivots(graph, rule.pattern)
+    found = saved(ranged_candidates(graph, rule, ranges, range_attr), "ranged")
+    told = messages(found.select("rule_id", "component", "range_id").distinct(), n).select(F.split("ranges", ":")[1].cast("int").alias("range_id"), "msg_id")
+    costs = ball_sizes(graph, rule.pattern, var, radius)
+    return assign(found.join(F.broadcast(told), "range_id").join(costs, "vid").select("vid", "msg_id", "cost"), n, method)
+
+
+def message_costs(graph: PropertyGraph, rule: Rule, found: DataFrame, most: int = MOST_MESSAGES) -> list[tuple[int, dict[int, int], int]]:
+    """msg_id, range of each component, and the sum of the costs of all tuples of pivots in them. found: `ranged_candidates`."""
+    facts = []
+    for i, (var, radius) in enumerate(pivots(graph, rule.pattern)):
+        rows = found.where(F.col("component") == i).join(ball_sizes(graph, rule.pattern, var, radius), "vid")
+        facts.append({r["range_id"]: (r["n"], r["cost"]) for r in rows.groupBy("range_id").agg(F.count(F.lit(1)).alias("n"), F.sum("cost").alias("cost")).collect()})  # one row per range
+    if not all(facts):  # a component without candidates: no tuple of pivots
+        return []
+    out = []
+    for k, (_, combo) in enumerate(_tuples(found.select("rule_id", "component", "range_id").distinct(), most)):
+        chosen = [facts[c][x] for c, x in combo]
+        pairs = prod(m for m, _ in chosen)
+        out.append((k, dict(combo), sum(cost * pairs // m for m, cost in chosen)))
+    return out
+
+
+def match(graph: PropertyGraph, pattern: Pattern, semantics: str = "mono", needs: Needs | None = None, n: int = 4, method: str = "snake", placement: str = "auto", local_matcher: str = "joins", ranges: int = 8, range_attr: str = "vid") -> DataFrame:
+    """The whole scheme: candidates in even ranges, a message per tuple of ranges, the units of each message with their costs,
+    a split of near-equal cost, and each worker's search from its pivots.
+
+    With several components the messages themselves are split, by the cost of all tuples of pivots in them (greedy, on the
+    driver, where they were made), and bindings of the components meet within a message.
+    """
+    rule, parts, centres = Rule("scheme", pattern), shape.components(pattern), pivots(graph, pattern)
+    if len(parts) == 1:
+        (pivot, radius), part = centres[0], parts[0]
+        units = dealt_units(graph, rule, n, ranges, range_attr, method).select("vid", "worker")
+        return steps.combined(graph, pattern, [(part, match_units(graph, pattern, units, part, pivot, radius, n, semantics, needs, placement, local_matcher))], semantics, needs)
+    found = saved(ranged_candidates(graph, rule, ranges, range_attr), "ranged")
+    told = message_costs(graph, rule, found)
+    workers = greedy_split([(k, cost) for k, _, cost in told], n)
+    spark, out = graph.vertices.sparkSession, []
+    for i, (part, (pivot, radius)) in enumerate(zip(parts, centres, strict=True)):
+        dealt = spark.createDataFrame([(k, by[i], workers[k]) for k, by, _ in told], "_msg int, range_id int, worker int")
+        own = found.where(F.col("component") == i).select("vid", "range_id")
+        once = match_units(graph, pattern, own.withColumn("worker", F.col("range_id")), part, pivot, radius, n, semantics, needs, "shipped" if placement == "shipped" else placement, local_matcher)
+        if "range_id" not in once.columns:
+            once = once.join(own.withColumnRenamed("vid", pivot), pivot)
+        out.append((part, once.join(F.broadcast(dealt), "range_id").drop("range_id", "worker")))
+    return steps.combined(graph, pattern, out, semantics, needs, "_msg").drop("_msg")

@@ -11,7 +11,8 @@ from ..rules import shape
 from ..rules.ast import Pattern
 
 
-def match(graph: PropertyGraph, pattern: Pattern, semantics: str = "mono", needs: Needs | None = None) -> DataFrame:
+def match(graph: PropertyGraph, pattern: Pattern, semantics: str = "mono", needs: Needs | None = None, hub_degree: int | None = None, hub_parts: int = 16) -> DataFrame:
+    """hub_degree: arcs of a vertex with more than so many are dealt to hub_parts parts, so that no task has all of them."""
     parts = []
     for part in shape.components(pattern):
         first, order = steps.declared_order(pattern, part)
@@ -21,6 +22,6 @@ def match(graph: PropertyGraph, pattern: Pattern, semantics: str = "mono", needs
             return pairs if steps.free(graph, pattern, child, needs) else pairs.join(steps.candidates(graph, pattern, child, needs), child)
 
         parts.append(
-            (part, steps.component_matches(pattern, part, steps.candidates(graph, pattern, first, needs), first, order, link, lambda e: steps.arcs_of(graph, pattern, e), lambda: graph.arcs(None, closed=not pattern.directed), semantics))
+            (part, steps.component_matches(pattern, part, steps.candidates(graph, pattern, first, needs), first, order, link, lambda e: steps.arcs_of(graph, pattern, e), steps.any_arc(graph, pattern), semantics, hubs=(hub_degree, hub_parts) if hub_degree else None))
         )
     return steps.combined(graph, pattern, parts, semantics, needs)

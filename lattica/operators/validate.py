@@ -16,8 +16,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..functions.literals import attr_column, conjunction, literal_column, then_column, when_column
+from ..functions.literals import attr_column, conjunction, falling_factorial, literal_column, then_column, when_column
 from ..model.graph import PropertyGraph
+from ..plans import steps
+from ..plans.cost import Statistics
 from ..plans.steps import Needs
 from ..rules import shape
 from ..rules.ast import FALSE, Const, Pattern, Rule, Same
@@ -27,18 +29,26 @@ from . import balanced, direct, hybrid, pathindex
 STRATEGIES = ("direct", "balanced", "indexed", "balanced_indexed", "indexed_parallel", "auto")
 
 
-def choose(pattern: Pattern) -> str:
-    """Strategy `auto`: single vertices need no search; cycles and selective trees profit from the index."""
+def choose(pattern: Pattern, graph: PropertyGraph | None = None, needs: Needs | None = None, least_gain: float = 0.2) -> str:
+    """Strategy `auto`. On a stored graph the index is taken where its order of steps is expected to cost so much less than the
+    declared one, by the graph's counts; elsewhere by shape: cycles and larger patterns profit from it, single vertices need no search."""
     if not pattern.edges:
         return "direct"
-    cyclic = any(shape.two_core(pattern, part) for part in shape.components(pattern))
-    return "indexed" if cyclic or len(pattern.vertices) > 3 else "direct"
+    parts = shape.components(pattern)
+    if graph is None or not graph.facts:
+        return "indexed" if any(shape.two_core(pattern, part) for part in parts) or len(pattern.vertices) > 3 else "direct"
+    statistics, shares, declared, best = Statistics.of(graph), pathindex.shares_of(graph, pattern, needs), 0.0, 0.0
+    for part in parts:
+        first, order = steps.declared_order(pattern, part)
+        declared += statistics.order_cost(pattern, (first, *(c for _, c, _ in order)), shares)
+        best += statistics.order_cost(pattern, statistics.best_order(pattern, part, shares), shares)
+    return "indexed" if best < (1 - least_gain) * declared else "direct"
 
 
 def match(graph: PropertyGraph, pattern: Pattern, strategy: str = "direct", semantics: str = "mono", needs: Needs | None = None, distinct_subgraphs: bool = False, **options) -> DataFrame:
     """Bindings: a column for each variable, and those of needs. distinct_subgraphs keeps one of the bindings that automorphisms make of each other."""
     if strategy == "auto":
-        strategy = choose(pattern)
+        strategy = choose(pattern, graph, needs)
     run = {
         "direct": direct.match,
         "balanced": balanced.match,
@@ -89,10 +99,12 @@ def needs_of(rule: Rule, absent_in_x: str, pushdown: bool, push_then: bool = Tru
         own = [x for x in rule.when if {u for u, _ in x.uses} == {v}]
         if own:
             needs.filters[v] = conjunction(own, absent)
+            needs.said[v] = [(tuple(own), False)]
     if push_then and rule.then is not FALSE and rule.then and len({u for x in rule.then for u, _ in x.uses}) == 1:
         v = rule.then[0].uses[0][0]
         broken = ~conjunction(rule.then)
         needs.filters[v] = needs.filters[v] & broken if v in needs.filters else broken
+        needs.said.setdefault(v, []).append((tuple(rule.then), True))
     if not absent:
         needs.joins = [x for x in rule.when if isinstance(x, Same) and x.left != x.right]
     return needs
@@ -152,18 +164,46 @@ def satisfies(graph: PropertyGraph, rules: Iterable[Rule], **options) -> DataFra
     return reduce(DataFrame.unionByName, rows)
 
 
-def counts(graph: PropertyGraph, rule: Rule, strategy: str = "direct", semantics: str = "mono", absent_in_x: str = "unsatisfied", **options) -> DataFrame:
-    """rule_id, matches, support (X holds), violations, confidence (1 - violations / support, null without support)."""
-    df = match(graph, rule.pattern, strategy, semantics, needs_of(rule, absent_in_x, False), **options)
+def counts(graph: PropertyGraph, rule: Rule, strategy: str = "direct", semantics: str = "mono", absent_in_x: str = "unsatisfied", leaves: str = "expand", **options) -> DataFrame:
+    """rule_id, matches, support (X holds), violations, confidence (1 - violations / support, null without support).
+
+    leaves="count": for a star whose rule speaks of its centre only, from degrees, without making a match.
+    """
     x, y = when_column(rule, absent_in_x), then_column(rule) if rule.then != () else F.lit(True)
-    row = df.agg(F.count(F.lit(1)).alias("matches"), F.count_if(x).alias("support"), F.count_if(x & ~y).alias("violations"))
+    if leaves == "count":
+        df, times = _centres(graph, rule, semantics)
+        row = df.agg(*[F.coalesce(F.sum(F.when(c, times)), F.lit(0)).cast("bigint").alias(n) for n, c in (("matches", F.lit(True)), ("support", x), ("violations", x & ~y))])
+    else:
+        df = match(graph, rule.pattern, strategy, semantics, needs_of(rule, absent_in_x, False), **options)
+        row = df.agg(F.count(F.lit(1)).alias("matches"), F.count_if(x).alias("support"), F.count_if(x & ~y).alias("violations"))
     return row.select(F.lit(rule.rule_id).alias("rule_id"), "matches", "support", "violations", (1 - F.col("violations") / F.nullif("support", F.lit(0))).alias("confidence"))
 
 
-def witnesses(graph: PropertyGraph, rule: Rule, **options) -> DataFrame:
-    """The distinct values of the variables that X and Y speak of, in violations."""
+def _about_centre(rule: Rule, semantics: str) -> bool:
+    star = star_of(rule.pattern)
+    return semantics == "mono" and star is not None and not any(rule.attributes(v) for v in star[1])
+
+
+def _centres(graph: PropertyGraph, rule: Rule, semantics: str):
+    """The possible centres of a star with the attributes that the rule asks for, and the number of matches of each."""
+    if not _about_centre(rule, semantics):
+        raise ValueError("leaves are only counted for stars of like leaves, under mono, with a rule about the centre")
+    centre, leaves = star_of(rule.pattern)
+    degrees = star_degrees(graph, rule.pattern).withColumnRenamed("centre", centre)
+    df = degrees.join(steps.candidates(graph, rule.pattern, centre, Needs({centre: rule.attributes(centre)})), centre)
+    return df, falling_factorial(F.col("d"), len(leaves))
+
+
+def witnesses(graph: PropertyGraph, rule: Rule, semantics: str = "mono", absent_in_x: str = "unsatisfied", **options) -> DataFrame:
+    """The distinct values of the variables that X and Y speak of, in violations.
+
+    For a star whose rule speaks of its centre only, centres with enough leaves are witnesses, and no match is made.
+    """
     used = [v for v in rule.pattern.variables if rule.attributes(v)] or list(rule.pattern.variables)
-    return violations(graph, rule, **options).select(*used).distinct()
+    if _about_centre(rule, semantics) and used == [star_of(rule.pattern)[0]] and rule.then != ():
+        df, times = _centres(graph, rule, semantics)
+        return df.where((times > 0) & when_column(rule, absent_in_x) & ~then_column(rule)).select(*used)
+    return violations(graph, rule, semantics=semantics, absent_in_x=absent_in_x, **options).select(*used).distinct()
 
 
 def star_of(pattern: Pattern) -> tuple[str, list[str]] | None:
@@ -180,15 +220,15 @@ def star_of(pattern: Pattern) -> tuple[str, list[str]] | None:
 
 def star_degrees(graph: PropertyGraph, pattern: Pattern) -> DataFrame:
     """centre, d: distinct possible leaves of each possible centre of a star; no match is enumerated."""
-    from ..plans import steps
-
     centre, leaves = star_of(pattern) or (None, None)
     if centre is None:
         raise ValueError("not a star of like leaves")
     edge = pattern.edges[0]
     pairs = steps.oriented(steps.arcs_of(graph, pattern, edge), edge, centre, edge.dst if edge.src == centre else edge.src)
     leaf = next(c for c in pairs.columns if c != centre)
-    pairs = pairs.where(F.col(centre) != F.col(leaf)).join(steps.candidates(graph, pattern, leaf), leaf, "left_semi")
+    pairs = pairs.where(F.col(centre) != F.col(leaf))
+    if graph.kinds is None:
+        pairs = pairs.join(steps.candidates(graph, pattern, leaf), leaf, "left_semi")
     return pairs.groupBy(centre).agg(F.count(F.lit(1)).alias("d")).join(steps.candidates(graph, pattern, centre), centre, "left_semi").withColumnRenamed(centre, "centre")
 
 

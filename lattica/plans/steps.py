@@ -24,11 +24,12 @@ SEMANTICS = ("mono", "induced", "homo")
 
 @dataclass
 class Needs:
-    """Attributes that a caller wants with each variable, and filters on candidates."""
+    """Attributes that a caller wants with each variable, and filters on candidates; said: the literals of a filter, negated or not."""
 
     attrs: dict[str, list[str]] = field(default_factory=dict)
     filters: dict[str, Column] = field(default_factory=dict)
     joins: list[Same] = field(default_factory=list)
+    said: dict[str, list[tuple[tuple, bool]]] = field(default_factory=dict)
 
 
 def candidates(graph: PropertyGraph, pattern: Pattern, var: str, needs: Needs | None = None) -> DataFrame:
@@ -43,13 +44,18 @@ def _typed(graph: PropertyGraph, attr: str) -> Column:
 
 
 def free(graph: PropertyGraph, pattern: Pattern, var: str, needs: Needs | None) -> bool:
-    """Any vertex will do, so no candidate table has to be joined."""
-    return pattern.label(var) is None and not (needs and (needs.attrs.get(var) or var in needs.filters))
+    """No candidate table has to be joined to arcs of the variable: any vertex will do, or the arcs' kinds settle the label."""
+    return (pattern.label(var) is None or graph.kinds is not None) and not (needs and (needs.attrs.get(var) or var in needs.filters))
 
 
 def arcs_of(graph: PropertyGraph, pattern: Pattern, edge: Edge) -> DataFrame:
     """(src, dst) that match a pattern edge; an undirected one over a directed graph takes both directions."""
-    return graph.arcs(edge.label, closed=not pattern.directed)
+    return graph.arcs(edge.label, not pattern.directed, pattern.label(edge.src), pattern.label(edge.dst))
+
+
+def any_arc(graph: PropertyGraph, pattern: Pattern) -> Callable[[str, str], DataFrame]:
+    """Arcs of any label between two variables' vertices, for what must not be there."""
+    return lambda u, v: graph.arcs(None, not pattern.directed, pattern.label(u), pattern.label(v))
 
 
 def oriented(arcs: DataFrame, edge: Edge, parent: str, child: str) -> DataFrame:
@@ -57,6 +63,20 @@ def oriented(arcs: DataFrame, edge: Edge, parent: str, child: str) -> DataFrame:
     return arcs.select(*[c for c in arcs.columns if c not in ("src", "dst")], F.col(a).alias(parent), F.col(b).alias(child))
 
 
+def split_hubs(df: DataFrame, pairs: DataFrame, parent: str, child: str, hub_degree: int, salts: int) -> DataFrame:
+    """df joined with pairs (parent, child) on the parent, arcs of hubs being dealt to `salts` parts.
+
+    A hub has more than hub_degree pairs, so there are at most pairs / hub_degree hubs. Rows of df at a hub go to all its parts,
+    each of its arcs to one, so every match is made once and no task has all arcs of a hub.
+    """
+    hubs = pairs.groupBy(parent).agg(F.count(F.lit(1)).alias("_n")).where(F.col("_n") > hub_degree).select(F.col(parent).alias("_hub"))
+    heavy = F.col("_hub").isNotNull()
+    dealt = pairs.join(hubs, F.col(parent) == F.col("_hub"), "left").withColumn("_salt", F.when(heavy, F.pmod(F.xxhash64(child), F.lit(salts))).otherwise(0).cast("int")).drop("_hub")
+    ways = F.when(heavy, F.sequence(F.lit(0), F.lit(salts - 1))).otherwise(F.array(F.lit(0)))
+    spread = df.join(hubs, F.col(parent) == F.col("_hub"), "left").withColumn("_salt", F.explode(ways)).drop("_hub")
+    return spread.join(dealt, [parent, "_salt"]).drop("_salt")
+
+
 def apart(var: str, others: list[str]) -> Column:
     return reduce(and_, (F.col(var) != F.col(o) for o in others), F.lit(True))
 
@@ -85,11 +105,13 @@ def component_matches(
     order: list[tuple[str, str, Edge]],
     link: Callable[[str, str, Edge], DataFrame],
     arcs: Callable[[Edge], DataFrame],
-    every_arc: Callable[[], DataFrame],
+    every_arc: Callable[[str, str], DataFrame],
     semantics: str,
     keys: tuple[str, ...] = (),
+    dress: Callable[[DataFrame, str], DataFrame] | None = None,
+    hubs: tuple[int, int] | None = None,
 ) -> DataFrame:
-    """Bindings of one component. link gives (parent, child and its attributes); keys are extra columns that all joins share."""
+    """Bindings of one component. link gives (parent, child and its attributes); keys are extra columns that all joins share; dress joins what links don't bring of a new variable; hubs: (degree, parts) from which a vertex's arcs are split."""
     if semantics not in SEMANTICS:
         raise ValueError(f"semantics is one of {SEMANTICS}")
     df, bound, left = start, [first], [e for e in pattern.edges if e.src in part]
@@ -107,9 +129,11 @@ def component_matches(
     df = closed(df)
     for parent, child, edge in order:
         left.remove(edge)
-        df = df.join(link(parent, child, edge), [*keys, parent])
+        df = split_hubs(df, link(parent, child, edge), parent, child, *hubs) if hubs else df.join(link(parent, child, edge), [*keys, parent])
         if semantics != "homo":
             df = df.where(apart(child, bound))
+        if dress:
+            df = dress(df, child)
         bound.append(child)
         df = closed(df)
     if semantics == "induced":
@@ -118,7 +142,7 @@ def component_matches(
         for u, v in [*permutations(part, 2), *((v, v) for v in part)]:
             if (u, v) in joined or symmetric and u > v:
                 continue
-            pairs = every_arc()
+            pairs = every_arc(u, v)
             if u == v:
                 pairs = pairs.where("src = dst").select(*keys, F.col("src").alias(u))
             else:
@@ -127,22 +151,26 @@ def component_matches(
     return df
 
 
-def combined(graph: PropertyGraph, pattern: Pattern, parts: list[tuple[tuple[str, ...], DataFrame]], semantics: str, needs: Needs | None = None) -> DataFrame:
-    """Join the components' bindings: on equalities between them where there are any, else every pair."""
+def combined(graph: PropertyGraph, pattern: Pattern, parts: list[tuple[tuple[str, ...], DataFrame]], semantics: str, needs: Needs | None = None, key: str | None = None) -> DataFrame:
+    """Join the components' bindings: on equalities between them (and a key that all bring) where there are any, else every pair."""
     (done, df), *rest = parts
     done = list(done)
     for part, other in rest:
         on = []
+        if key:
+            other = other.withColumnRenamed(key, f"{key}_other")
+            on.append(F.col(key) == F.col(f"{key}_other"))
         for s in needs.joins if needs else []:
             if {s.left, s.right} <= set(done) | set(part) and (s.left in done) != (s.right in done):
                 on.append(F.col(attr_column(s.left, s.left_attr)) == F.col(attr_column(s.right, s.right_attr)))
         if semantics != "homo":
             on += [F.col(a) != F.col(b) for a in done for b in part]
-        df = df.join(other, reduce(and_, on)) if on else df.crossJoin(other)
+        df = df.join(other, reduce(and_, on)) if on else df.crossJoin(other)  # a pattern of unrelated parts has every pair as a match
+        df = df.drop(f"{key}_other") if key else df
         if semantics == "induced":
             for a in done:
                 for b in part:
                     for u, v in ((a, b), (b, a)):
-                        df = df.join(graph.arcs(None, closed=not pattern.directed).select(F.col("src").alias(u), F.col("dst").alias(v)), [u, v], "left_anti")
+                        df = df.join(any_arc(graph, pattern)(u, v).select(F.col("src").alias(u), F.col("dst").alias(v)), [u, v], "left_anti")
         done += part
     return df

@@ -3,28 +3,43 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import workloads
 from .functions.literals import falling_factorial
-from .model import builders
-from .model.graph import PropertyGraph
+from .model import builders, stored
+from .model.graph import PropertyGraph, vertex_id
 from .operators import balanced, pathindex, validate
 from .operators.pathindex import Options
+from .plans import cost
 from .report import summary
+from .sources.store import exists, fresh_path, shared_root
 from .streaming import incremental
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
-def graph(spark: SparkSession, sf_dir: str, name: str) -> PropertyGraph:
-    if name == "web":
-        return builders.web(spark, sf_dir, exact=True)
+_STORED: dict[tuple[str, ...], tuple[str, PropertyGraph]] = {}
+
+
+def raw_graph(spark: SparkSession, sf_dir: str, name: str) -> PropertyGraph:
+    """A graph as plans over the base tables."""
     return getattr(builders, name)(spark, sf_dir)
 
 
+def graph(spark: SparkSession, sf_dir: str, name: str) -> PropertyGraph:
+    """The graph stored by kind, once for an application and a state of its tables."""
+    version = f"{name}-{stored.table_version(spark, *[f'{sf_dir}/{t}.parquet' for t in builders.TABLES[name]])}"
+    key = (spark.sparkContext.applicationId, shared_root(spark), version)
+    if key not in _STORED or not exists(spark, _STORED[key][0]):
+        path = fresh_path(spark, f"graph-{name}")
+        _STORED[key] = path, stored.stored(raw_graph(spark, sf_dir, name), version, path)
+    return _STORED[key][1]
+
+
 def _violations(name: str, **options) -> Query:
     return lambda spark, d: validate.violations(graph(spark, d, workloads.graph_name(name)), workloads.rule(name), **options)
 
@@ -65,9 +80,9 @@ WEB = """pg AS (SELECT 1000000000000000 + page_id AS vid, regexp_extract(url, '^
 hs AS (SELECT host, 1100000000000000 + row_number() OVER (ORDER BY host) AS vid FROM (SELECT DISTINCT host FROM pg)),
 lk AS (SELECT DISTINCT vid AS page, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) AS target FROM pg),
 tg AS (SELECT target, 1200000000000000 + row_number() OVER (ORDER BY target) AS vid FROM (SELECT DISTINCT target FROM lk))"""
-SIMILAR = """ev AS (SELECT 1300000000000000 + vec_id AS vid, embedding, label FROM embeddings),
-near AS (SELECT x.vid AS src, y.vid AS dst, x.label AS ls, y.label AS ld FROM ev x JOIN ev y ON x.vid <> y.vid
-  WHERE list_inner_product(x.embedding::DOUBLE[], y.embedding::DOUBLE[]) / sqrt(list_inner_product(x.embedding::DOUBLE[], x.embedding::DOUBLE[]) * list_inner_product(y.embedding::DOUBLE[], y.embedding::DOUBLE[])) >= 0.35)"""
+SIMILAR = """ev AS MATERIALIZED (SELECT 1300000000000000 + vec_id AS vid, embedding::DOUBLE[64] AS v, array_inner_product(embedding::DOUBLE[64], embedding::DOUBLE[64]) AS norm, label FROM embeddings),
+half AS MATERIALIZED (SELECT x.vid AS src, y.vid AS dst, x.label AS ls, y.label AS ld FROM ev x JOIN ev y ON x.vid < y.vid WHERE array_inner_product(x.v, y.v) / sqrt(x.norm * y.norm) >= 0.35),
+near AS MATERIALIZED (SELECT * FROM half UNION ALL SELECT dst, src, ld, ls FROM half)"""
 HOME = f"""WITH {TRADE} SELECT 300000000000000 + o_custkey AS c, p.o AS o, p.s AS s, 200000000000000 + c_nationkey AS n{{cols}}
 FROM orders JOIN customer ON o_custkey = c_custkey JOIN place p ON p.o = 600000000000000 + o_orderkey JOIN sup ON sup.s = p.s AND sup.nation = c_nationkey{{tail}}"""
 DOR = "{0} IN (SELECT vid FROM pv WHERE dormant)"
@@ -95,6 +110,15 @@ VIOLATIONS: dict[str, str] = {
     "similar_triangle": f"WITH {SIMILAR} SELECT e.src AS a, e.dst AS b, f.dst AS c FROM near e JOIN near f ON e.dst = f.src JOIN near g ON g.src = e.src AND g.dst = f.dst WHERE e.ls <> e.ld",
 }
 VIOLATIONS["two_places_wild"] = VIOLATIONS["two_places"]
+VIOLATIONS["tail_kite"] = VIOLATIONS["kite"]
+VIOLATIONS["turn_broken"] = f"WITH {TURNS} SELECT x, y FROM nx WHERE xr = 'assistant' AND y IS NOT NULL AND yr <> 'assistant'"
+VIOLATIONS["opening_broken"] = f"WITH {TURNS} SELECT x, y FROM nx WHERE xr = 'system' AND y IS NOT NULL AND yr <> 'assistant'"
+INDUCED = {
+    "path3_strict": f"{VIOLATIONS['path3_strict']} AND {NO.format('a', 'c')}",
+    "star3": f"{VIOLATIONS['star3']} AND {NO.format('b', 'c')} AND {NO.format('b', 'd')} AND {NO.format('c', 'd')}",
+    "kite": f"SELECT * FROM ({VIOLATIONS['kite']}) WHERE (b, d) NOT IN (SELECT (src, dst) FROM co2) AND (c, d) NOT IN (SELECT (src, dst) FROM co2)",
+}
+INDUCED["kite"] = f"WITH {CO}, co2 AS (SELECT * FROM co) {INDUCED['kite']}"
 SATISFIED_X = f"WITH {DOCS} SELECT a.vid AS x, b.vid AS y FROM dv a JOIN dv b ON a.h = b.h AND a.vid <> b.vid WHERE coalesce(a.quality = 1, true) AND NOT coalesce(b.quality = 1, false)"
 MATCHES = {
     "path3": {
@@ -124,7 +148,7 @@ def _snake(g: PropertyGraph) -> DataFrame:
 
 
 def _index(g: PropertyGraph, name: str) -> pathindex.CandidateIndex:
-    return pathindex.build_index(g, workloads.rule(name).pattern)
+    return pathindex.build_index(g, workloads.rule(name).pattern, options=replace(pathindex.FULL, root="rarest"))
 
 
 def _stacked_candidates(g: PropertyGraph, stage: str) -> DataFrame:
@@ -151,11 +175,37 @@ def _tagged(found: DataFrame) -> DataFrame:
     return found.select("rule_id", F.explode("binding").alias("b")).groupBy("rule_id", F.col("b.var").alias("var"), F.col("b.vid").alias("vid")).agg(F.count(F.lit(1)).alias("n"))
 
 
+def _message_costs(g: PropertyGraph) -> DataFrame:
+    rule = workloads.rule("path3")
+    rows = [(k, by[0], cost) for k, by, cost in balanced.message_costs(g, rule, balanced.ranged_candidates(g, rule, 8))]
+    return g.vertices.sparkSession.createDataFrame(rows, "msg_id int, range_id int, cost bigint")
+
+
+def _planted(g: PropertyGraph) -> DataFrame:
+    """Pairs that are joined under two labels: every third part's arcs upwards have a second one."""
+    up = g.edges.where("src < dst AND src % 3 = 0").withColumn("elabel", F.lit("up"))
+    return PropertyGraph(g.vertices, g.edges.unionByName(up)).several_labels()
+
+
+def _similar_udf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The edges of near vectors on which the vectorised Python cosine agrees with the built-in one."""
+    v = builders.load(spark, sf_dir, "embeddings").select(vertex_id("vector", F.col("vec_id")).alias("vid"), "embedding")
+    near = graph(spark, sf_dir, "similar").edges.join(v.withColumnsRenamed({"vid": "src", "embedding": "a"}), "src").join(v.withColumnsRenamed({"vid": "dst", "embedding": "b"}), "dst")
+    return near.where(F.abs(builders.cosine_udf()("a", "b") - builders.cosine("a", "b")) < 1e-9).select("src", "dst", "elabel")
+
+
+def _ended(g: PropertyGraph) -> DataFrame:
+    """Star violations under `induced` that are none any more once every tenth edge has come."""
+    late = (F.least("src", "dst") * 31 + F.greatest("src", "dst")) % 10 == 0
+    old = PropertyGraph(g.vertices, g.edges.where(~late), g.directed)
+    return incremental.ended(validate.violations(old, workloads.rule("star3"), semantics="induced"), g, workloads.rule("star3"))
+
+
 def queries() -> dict[str, Query]:
     out: dict[str, Query] = {}
     edges = {"copurchase": "copurchase", "trade": "trade", "docs": "docs", "sessions": "sessions", "dialogue": "dialogue", "web": "web", "similar": "similar"}
     for short, name in edges.items():
-        out[f"g_{short}_edges"] = lambda spark, d, name=name: graph(spark, d, name).edges
+        out[f"g_{short}_edges"] = lambda spark, d, name=name: raw_graph(spark, d, name).edges
     out["g_copurchase_vertices"] = _copurchase(lambda g: g.vertices.select("vid", "vlabel", "name", "brand", "ptype", "size", "price", "dormant", "tied"))
     out["g_first_n_edges"] = _copurchase(lambda g: g.first_n(1000).edges)
     out["g_stats"] = _copurchase(_stats)
@@ -163,6 +213,13 @@ def queries() -> dict[str, Query]:
     out["g_label_counts"] = lambda spark, d: graph(spark, d, "trade").label_counts()
     out["g_multilabel_pairs"] = lambda spark, d: graph(spark, d, "trade").several_labels()
     out["g_ball2"] = _copurchase(lambda g: g.ball(g.labelled("SIDE").where("size = 50").select("vid"), 2).groupBy("centre").agg(F.count(F.lit(1)).alias("n")))
+    out["g_ball2_recursive"] = _copurchase(lambda g: g.ball_sql(g.labelled("SIDE").where("size = 50").select("vid"), 2).groupBy("centre").agg(F.count(F.lit(1)).alias("n")))
+    out["g_sample_edges"] = _copurchase(lambda g: g.sample_vertices(0.3).edges)
+    out["g_multilabel_planted"] = _copurchase(_planted)
+    out["g_degrees_about"] = _copurchase(lambda g: g.degrees_about().join(g.degrees().withColumnRenamed("degree", "exact"), "vid").where(F.abs(F.col("degree") - F.col("exact")) <= 0.2 * F.col("exact")).select("vid"))
+    out["g_event_values"] = builders.event_values
+    out["g_similar_udf"] = _similar_udf
+    out["g_kinds"] = lambda spark, d: cost.triples(graph(spark, d, "trade"))
     out["g_top_neighbours"] = _copurchase(lambda g: g.top_neighbours(2, "price").select("src", "rank", "dst"))
     for name, by in MATCHES.items():
         for semantics in by:
@@ -178,6 +235,12 @@ def queries() -> dict[str, Query]:
         out[f"v_{name}_indexed"] = _violations(name, strategy="indexed")
         out[f"v_{name}_balanced_indexed"] = _violations(name, strategy="balanced_indexed")
         out[f"v_{name}_indexed_parallel"] = _violations(name, strategy="indexed_parallel")
+    for name in INDUCED:
+        for s in ("", "_balanced", "_indexed", "_balanced_indexed", "_indexed_parallel"):
+            out[f"v_{name}_induced{s}"] = _violations(name, strategy=s[1:] or "direct", semantics="induced")
+    out["v_tail_kite_indexed"] = _violations("tail_kite", strategy="indexed")
+    out["v_home_cycle_auto"] = _violations("home_cycle", strategy="auto")
+    out["v_host_lang_hubs"] = _violations("host_lang", hub_degree=20)
     out["v_path3_strict_shipped"] = _violations("path3_strict", strategy="balanced", placement="shipped")
     out["v_triangle_shipped"] = _violations("triangle", strategy="balanced", placement="shipped")
     out["v_triangle_searched"] = _violations("triangle", strategy="balanced", local_matcher="search")
@@ -197,6 +260,9 @@ def queries() -> dict[str, Query]:
     out["b_candidate_hist"] = _copurchase(lambda g: balanced.candidate_histogram(g, [workloads.rule("path3"), workloads.rule("star3")], "size"))
     out["b_ranges"] = _copurchase(lambda g: balanced.candidate_ranges(g, workloads.rule("path3"), 8).select("rule_id", "var", "range_id", "lo", "hi", "cnt"))
     out["b_messages"] = _copurchase(lambda g: balanced.messages(balanced.candidate_ranges(g, workloads.rule("path3"), 8), 4))
+    out["b_messages_fd"] = _copurchase(lambda g: balanced.messages(balanced.candidate_ranges(g, workloads.rule("fd_part"), 3), 4))
+    out["b_message_costs"] = _copurchase(_message_costs)
+    out["b_message_units"] = _copurchase(lambda g: balanced.dealt_units(g, workloads.rule("path3"), 4, 8).select("vid", "msg_id", "cost", "worker"))
     out["b_units_path3"] = _units(["path3"])
     out["b_workload"] = _copurchase(lambda g: balanced.workload(balanced.work_units(g, [workloads.rule("path3"), workloads.rule("star3")])))
     out["b_assign_snake"] = _copurchase(lambda g: _snake(g).select("vid", "cost", "worker"))
@@ -220,7 +286,11 @@ def queries() -> dict[str, Query]:
     out["r_distinct_triangles"] = _copurchase(lambda g: validate.match(g, workloads.rule("triangle").pattern, distinct_subgraphs=True))
     out["r_star_count_factorised"] = _copurchase(_star_count)
     out["r_rule_set"] = _copurchase(lambda g: _tagged(validate.validate(g, [workloads.rule(r) for r in ("path3_strict", "path3", "triangle")])))
-    out["r_difference"] = _copurchase(lambda g: validate.difference(validate.violations(g, workloads.rule("triangle")), validate.violations(g, workloads.rule("triangle"), "indexed")))
+    out["r_difference"] = _copurchase(lambda g: validate.difference(validate.violations(g, workloads.rule("star3")), validate.violations(g, workloads.rule("star3"), "indexed", "induced")))
+    out["r_counts_factorised"] = _copurchase(lambda g: validate.counts(g, workloads.rule("star3"), leaves="count").withColumn("confidence", F.round("confidence", 6)))
+    out["r_grouping_sets"] = _copurchase(lambda g: summary.grouped_by_sets(validate.violations(g, workloads.rule("star3")), g, "a", ("brand",), ("ptype",), ()).select("brand", "ptype", "n"))
+    out["s_ended_induced"] = _copurchase(_ended)
+    out["s_sliding_windows"] = lambda spark, d: incremental.sliding_counts(builders.load(spark, d, "events"))
     out["s_incremental_triangle"] = _copurchase(lambda g: incremental.replayed(g, workloads.rule("triangle"), 3))
     out["s_active_windows"] = lambda spark, d: incremental.windowed_counts(builders.load(spark, d, "events"))
     out["t_within_hours"] = lambda spark, d: incremental.temporal_edges(builders.load(spark, d, "events"), 3600 * 6)
@@ -229,7 +299,7 @@ def queries() -> dict[str, Query]:
 
 
 def _index_homo(g: PropertyGraph) -> pathindex.CandidateIndex:
-    return pathindex.build_index(g, workloads.rule("path3").pattern, "homo")
+    return pathindex.build_index(g, workloads.rule("path3").pattern, "homo", options=pathindex.FULL)
 
 
 def oracle_sql() -> dict[str, str]:
@@ -237,7 +307,9 @@ def oracle_sql() -> dict[str, str]:
     out["v_dup_label_x_unsatisfied"] = VIOLATIONS["dup_label_x"]
     out["v_dup_label_x_satisfied"] = SATISFIED_X
     for name in queries():
-        if name.startswith("v_") and name not in out:
+        if "_induced" in name and name.startswith("v_"):
+            out[name] = next(sql for n, sql in INDUCED.items() if name.startswith(f"v_{n}_induced"))
+        elif name.startswith("v_") and name not in out:
             base = next(n for n in sorted(VIOLATIONS, key=len, reverse=True) if name.startswith(f"v_{n}"))
             out[name] = VIOLATIONS[base]
     for name, by in MATCHES.items():
@@ -278,6 +350,19 @@ def oracle_sql() -> dict[str, str]:
         "g_degree_hist": f"WITH {CO}, g AS ({degree}) SELECT degree, count(*) AS n FROM g GROUP BY degree",
         "g_label_counts": "SELECT 'region' AS vlabel, count(*) AS n FROM region UNION ALL SELECT 'nation', count(*) FROM nation UNION ALL SELECT 'customer', count(*) FROM customer UNION ALL SELECT 'supplier', count(*) FROM supplier UNION ALL SELECT 'part', count(*) FROM part UNION ALL SELECT 'order', count(*) FROM orders",
         "g_multilabel_pairs": "SELECT 1::BIGINT AS src, 1::BIGINT AS dst, 1::BIGINT AS n_labels WHERE false",
+        "g_sample_edges": f"""WITH {PARTS}, {CO}, f AS (SELECT vid FROM pv WHERE ('0x' || substr(md5('0/' || vid::VARCHAR), 1, 8))::BIGINT < floor(0.3 * 4294967296))
+            SELECT src, dst, 'co' AS elabel FROM co WHERE src IN (SELECT vid FROM f) AND dst IN (SELECT vid FROM f)""",
+        "g_multilabel_planted": f"WITH {CO} SELECT src, dst, 2::BIGINT AS n_labels FROM co WHERE src < dst AND src % 3 = 0",
+        "g_degrees_about": f"WITH {CO} SELECT DISTINCT src AS vid FROM co",
+        "g_event_values": "SELECT event_id, json_extract(props, '$.k')::INT AS k FROM events",
+        "g_similar_udf": f"WITH {SIMILAR} SELECT src, dst, 'near' AS elabel FROM near",
+        "g_kinds": """WITH e AS (SELECT DISTINCT 'customer' AS src_label, 'placed' AS elabel, 'order' AS dst_label, o_custkey AS s, o_orderkey AS d FROM orders
+            UNION SELECT 'nation', 'in_region', 'region', n_nationkey, n_regionkey FROM nation UNION SELECT 'customer', 'based_in', 'nation', c_custkey, c_nationkey FROM customer
+            UNION SELECT 'supplier', 'based_in', 'nation', s_suppkey, s_nationkey FROM supplier UNION SELECT 'order', 'contains', 'part', l_orderkey, l_partkey FROM lineitem
+            UNION SELECT 'order', 'shipped_by', 'supplier', l_orderkey, l_suppkey FROM lineitem UNION SELECT 'supplier', 'sources', 'part', l_suppkey, l_partkey FROM lineitem
+            UNION SELECT 'customer', 'buys_from', 'supplier', o_custkey, l_suppkey FROM lineitem JOIN orders ON l_orderkey = o_orderkey),
+            k AS (SELECT src_label, elabel, dst_label, s, count(*) AS n FROM e GROUP BY ALL)
+            SELECT src_label, elabel, dst_label, sum(n)::BIGINT AS arcs, max(n) AS max_degree, sum(n * n)::BIGINT AS sum_squares FROM k GROUP BY ALL""",
         "g_ball2": f"""WITH {PARTS}, {CO}, c AS (SELECT vid FROM pv WHERE vlabel = 'SIDE' AND size = 50),
             r AS (SELECT vid AS centre, vid FROM c UNION SELECT vid, dst FROM c JOIN co ON src = vid UNION SELECT c.vid, y.dst FROM c JOIN co x ON x.src = c.vid JOIN co y ON y.src = x.dst) SELECT centre, count(*) AS n FROM r GROUP BY centre""",
         "g_top_neighbours": f"WITH {PARTS}, {CO}, k AS (SELECT src, dst, row_number() OVER (PARTITION BY src ORDER BY price DESC, dst)::INT AS rank FROM co JOIN pv ON vid = dst) SELECT src, rank, dst FROM k WHERE rank <= 2",
@@ -285,6 +370,11 @@ def oracle_sql() -> dict[str, str]:
         "b_candidate_hist": f"WITH {PARTS} SELECT 'path3' AS rule_id, 'b' AS var, size AS attr_value, count(*) AS cnt FROM pv WHERE vlabel = 'MAIN' GROUP BY size UNION ALL SELECT 'star3', 'a', size, count(*) FROM pv WHERE vlabel = 'SIDE' GROUP BY size",
         "b_ranges": ranges,
         "b_messages": "SELECT i::INT AS msg_id, 'path3' AS rule_id, '0:' || i AS ranges, (i % 4)::INT AS worker FROM range(8) AS t(i)",
+        "b_messages_fd": "SELECT (3 * i + j)::INT AS msg_id, 'fd_part' AS rule_id, '0:' || i || ',1:' || j AS ranges, ((3 * i + j) % 4)::INT AS worker FROM range(3) AS t(i), range(3) AS u(j)",
+        "b_message_costs": f"""WITH {MAIN}, u AS ({balls('b', 'm')}), k AS (SELECT *, ((row_number() OVER (ORDER BY vid) - 1) * 8 // count(*) OVER ())::INT AS r FROM u)
+            SELECT r AS msg_id, r AS range_id, sum(cost)::BIGINT AS cost FROM k GROUP BY r""",
+        "b_message_units": f"""WITH {MAIN}, u AS ({balls('b', 'm')}), k AS (SELECT *, ((row_number() OVER (ORDER BY vid) - 1) * 8 // count(*) OVER ())::INT AS msg_id, (row_number() OVER (ORDER BY cost DESC, vid) - 1) % 8 AS t FROM u)
+            SELECT vid, msg_id, cost, (CASE WHEN t < 4 THEN t ELSE 7 - t END)::INT AS worker FROM k""",
         "b_units_path3": f"WITH {MAIN}, u AS ({balls('b', 'm')}) SELECT 'path3' AS rule_id, 'b' AS var, vid, cost FROM u",
         "b_workload": f"WITH {MAIN}, x AS ({balls('b', 'm')}), y AS ({balls('a', 's')}) SELECT 'path3' AS rule_id, 'b' AS var, count(*) AS units, sum(cost)::BIGINT AS total_cost, max(cost) AS max_cost FROM x UNION ALL SELECT 'star3', 'a', count(*), sum(cost)::BIGINT, max(cost) FROM y",
         "b_assign_snake": f"{snake} SELECT * FROM w",
@@ -311,7 +401,16 @@ def oracle_sql() -> dict[str, str]:
         "r_distinct_triangles": f"WITH {MAIN}, r AS ({TRIANGLE_ROWS}) SELECT a, b, c FROM r WHERE a < b AND b < c",
         "r_star_count_factorised": MATCHES["star3"]["mono"],
         "r_rule_set": " UNION ALL ".join(f"SELECT '{n}' AS rule_id, var, vid, count(*) AS n FROM (SELECT 'a' AS var, a AS vid FROM ({sql}) UNION ALL SELECT 'b', b FROM ({sql}) UNION ALL SELECT 'c', c FROM ({sql})) GROUP BY ALL" for n, sql in rules.items()),
-        "r_difference": "SELECT 'left' AS side, 1::BIGINT AS a, 1::BIGINT AS b, 1::BIGINT AS c WHERE false",
+        "r_difference": f"WITH l AS ({star}), r AS ({INDUCED['star3']}) SELECT 'left' AS side, * FROM (SELECT * FROM l EXCEPT ALL SELECT * FROM r) UNION ALL SELECT 'right', * FROM (SELECT * FROM r EXCEPT ALL SELECT * FROM l)",
+        "r_counts_factorised": f"""WITH {MAIN}, r AS ({STAR_ROWS}), k AS (SELECT {DOR.format('a')} AS bad FROM r WHERE {STAR_APART})
+            SELECT 'star3' AS rule_id, count(*) AS matches, count(*) AS support, count(*) FILTER (WHERE bad) AS violations, round(1 - count(*) FILTER (WHERE bad) / count(*), 6) AS confidence FROM k""",
+        "r_grouping_sets": f"WITH c AS ({counted}), {PARTS} SELECT brand, ptype, sum(n)::BIGINT AS n FROM c JOIN pv USING (vid) GROUP BY GROUPING SETS ((brand), (ptype), ())",
+        "s_ended_induced": f"""WITH {PARTS}, {CO}, s AS (SELECT * FROM pv WHERE vlabel = 'SIDE'), old AS (SELECT * FROM co WHERE (least(src, dst) * 31 + greatest(src, dst)) % 10 <> 0),
+            ss AS (SELECT src, dst FROM old WHERE src IN (SELECT vid FROM s) AND dst IN (SELECT vid FROM s)), r AS ({STAR_ROWS}),
+            f AS (SELECT a, b, c, d FROM r WHERE {STAR_APART} AND {DOR.format('a')} AND NOT EXISTS (SELECT 1 FROM old z WHERE (z.src, z.dst) IN ((b, c), (b, d), (c, d))))
+            SELECT DISTINCT f.* FROM f JOIN co z ON (z.src = b AND z.dst = c) OR (z.src = b AND z.dst = d) OR (z.src = c AND z.dst = d)""",
+        "s_sliding_windows": """WITH w AS (SELECT unnest([date_trunc('day', ts), date_trunc('day', ts) - INTERVAL 1 DAY])::TIMESTAMP AS begin, event_type FROM events)
+            SELECT begin, event_type, count(*) AS n FROM w GROUP BY ALL""",
         "s_incremental_triangle": tri,
         "s_active_windows": "SELECT date_trunc('day', ts) AS day, event_type, count(*) AS n FROM events GROUP BY ALL",
         "t_within_hours": """SELECT 800000000000000 + a.event_id AS src, 800000000000000 + b.event_id AS dst FROM events a JOIN events b ON a.user_id = b.user_id
@@ -319,4 +418,5 @@ def oracle_sql() -> dict[str, str]:
         "t_asof": """SELECT 800000000000000 + e.event_id AS src, 800000000000000 + (SELECT arg_max(s.event_id, (s.ts, s.event_id)) FROM events s WHERE s.user_id = e.user_id AND s.event_type = 'signup' AND (s.ts, s.event_id) < (e.ts, e.event_id)) AS dst
             FROM events e WHERE e.event_type = 'error'""",
     }
+    out["g_ball2_recursive"] = out["g_ball2"]
     return out

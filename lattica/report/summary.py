@@ -32,6 +32,13 @@ def cubed(found: DataFrame, graph: PropertyGraph, var: str, *attrs: str) -> Data
     return described(found, graph, var, *attrs).cube(*attrs).agg(F.sum("n").alias("n"))
 
 
+def grouped_by_sets(found: DataFrame, graph: PropertyGraph, var: str, *sets: tuple[str, ...]) -> DataFrame:
+    """Violations by several groupings at once; a column outside a row's grouping is null, and `grouping` tells which they are."""
+    attrs = list(dict.fromkeys(a for s in sets for a in s))
+    rows = described(found, graph, var, *attrs)
+    return rows.groupingSets([[F.col(a) for a in s] for s in sets], *attrs).agg(F.sum("n").alias("n"), F.grouping_id().cast("bigint").alias("grouping"))
+
+
 def ranked_in_label(found: DataFrame, graph: PropertyGraph, var: str, attr: str, top: int) -> DataFrame:
     """attr, vid, n, rank: the vertices with most violations within each attribute value."""
     order = Window.partitionBy(attr).orderBy(F.desc("n"), "vid")

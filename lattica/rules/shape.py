@@ -92,20 +92,31 @@ def core_of(pattern: Pattern, root: str, mode: str = "two_core", part: tuple[str
 
 
 def automorphisms(pattern: Pattern) -> list[dict[str, str]]:
-    """Renamings of the variables that leave labels and edges as they are (patterns of up to 8 variables)."""
+    """Renamings of the variables that leave labels and edges as they are, by backtracking: a variable only goes where label and
+    edges to those before it agree."""
     names = pattern.variables
-    if len(names) > 8:
-        return [dict(zip(names, names, strict=True))]
 
     def key(e: Edge, m: dict[str, str]) -> tuple:
         a, b = m[e.src], m[e.dst]
         return (a, b, e.label) if pattern.directed else (*sorted((a, b)), e.label)
 
+    def among(chosen: tuple[str, ...], m: dict[str, str]) -> list[str]:
+        return sorted(repr(key(e, m)) for e in pattern.edges if e.src in chosen and e.dst in chosen)
+
     same = dict(zip(names, names, strict=True))
-    own = sorted(map(repr, (key(e, same) for e in pattern.edges)))
-    out = []
-    for p in permutations(names):
-        m = dict(zip(names, p, strict=True))
-        if all(pattern.label(a) == pattern.label(b) for a, b in m.items()) and sorted(map(repr, (key(e, m) for e in pattern.edges))) == own:
+    out: list[dict[str, str]] = []
+
+    def extend(m: dict[str, str]) -> None:
+        if len(m) == len(names):
             out.append(m)
+            return
+        v = names[len(m)]
+        for w in names:
+            if w in m.values() or pattern.label(v) != pattern.label(w):
+                continue
+            now = m | {v: w}
+            if among(tuple(now), now) == among(tuple(now.values()), same):
+                extend(now)
+
+    extend({})
     return out

@@ -11,16 +11,48 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_root(spark: SparkSession) -> str:
-    """spark.checkpoint.dir, or, only where it is unset, a folder of our own."""
-    return spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/checkpoints/lattica-graph"
+    """spark.checkpoint.dir, or, only where it is unset (one machine, as in tests), a folder of our own."""
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if not root:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("on a cluster spark.checkpoint.dir has to name a shared folder")
+        root = "file:///tmp/checkpoints/lattica"
+    return root
+
+
+def fresh_path(spark: SparkSession, label: str) -> str:
+    return f"{shared_root(spark).rstrip('/')}/{label}-{uuid.uuid4().hex}"
 
 
 def saved(df: DataFrame, label: str) -> DataFrame:
-    path = f"{shared_root(df.sparkSession).rstrip('/')}/{label}-{uuid.uuid4().hex}"
+    path = fresh_path(df.sparkSession, label)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def _store(spark: SparkSession, path: str):
+    p = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return p, p.getFileSystem(spark._jsc.hadoopConfiguration())
+
+
+def exists(spark: SparkSession, path: str) -> bool:
+    p, store = _store(spark, path)
+    return store.exists(p)
+
+
+def files_of(spark: SparkSession, path: str) -> list[tuple[str, int, int]]:
+    """Name, size and time of the data files of a table."""
+    p, store = _store(spark, path)
+    if not store.exists(p):
+        return []
+    files, out = store.listFiles(p, True), []
+    while files.hasNext():
+        f = files.next()
+        if not f.getPath().getName().startswith(("_", ".")):
+            out.append((f.getPath().toString(), f.getLen(), f.getModificationTime()))
+    return sorted(out)
+
+
 _SHIPPED: set[str] = set()
 
 

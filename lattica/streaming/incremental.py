@@ -8,6 +8,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from functools import reduce
+from itertools import permutations
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -52,7 +53,7 @@ def delta_matches(old: PropertyGraph, new_edges: DataFrame, pattern: Pattern, se
             return pairs if steps.free(old, pattern, c, needs) else pairs.join(steps.candidates(old, pattern, c, needs), c)
 
         start = steps.candidates(old, pattern, pivot.src, needs)
-        df = steps.component_matches(pattern, part, start, pivot.src, order, link, arcs, lambda: graphs["all"].arcs(None, closed=not pattern.directed), semantics)
+        df = steps.component_matches(pattern, part, start, pivot.src, order, link, arcs, steps.any_arc(graphs["all"], pattern), semantics)
         out.append(df.select(*part, *[c for c in df.columns if c not in part]))
     return reduce(DataFrame.unionByName, out)
 
@@ -72,6 +73,18 @@ def retracted(found: DataFrame, graph: PropertyGraph, rule: Rule) -> DataFrame:
     return found.join(kept, list(rule.pattern.variables), "left_anti")
 
 
+def ended(found: DataFrame, graph: PropertyGraph, rule: Rule) -> DataFrame:
+    """Violations found under `induced` that are none in a graph with more arcs: an arc joins two of their vertices that the pattern leaves apart."""
+    joined, hits = rule.pattern.arcs(), []
+    for u, v in [*permutations(rule.pattern.variables, 2), *((v, v) for v in rule.pattern.variables)]:
+        if (u, v) in joined or not rule.pattern.directed and u > v:
+            continue
+        arcs = steps.any_arc(graph, rule.pattern)(u, v)
+        arcs = arcs.where("src = dst").select(F.col("src").alias(u)) if u == v else arcs.select(F.col("src").alias(u), F.col("dst").alias(v))
+        hits.append(found.join(arcs, list(dict.fromkeys((u, v))), "left_semi").select(*found.columns))
+    return reduce(DataFrame.unionByName, hits).distinct() if hits else found.limit(0)
+
+
 def recheck(graph: PropertyGraph, rule: Rule, changed: DataFrame, **options) -> DataFrame:
     """Violations that contain a vertex (vid) whose attributes changed."""
     found = validate.violations(graph, rule, **options)
@@ -120,6 +133,12 @@ def windowed_counts(events: DataFrame, window: str = "1 day") -> DataFrame:
     return rows.groupBy(F.window("_ts", window).alias("w"), "event_type").agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").cast("timestamp_ntz").alias("day"), "event_type", "n")
 
 
+def sliding_counts(events: DataFrame, window: str = "2 days", slide: str = "1 day") -> DataFrame:
+    """begin, event_type, n of windows that overlap: an event counts in each window that it lies in."""
+    rows = events.withColumn("_ts", F.col("ts").cast("timestamp"))
+    return rows.groupBy(F.window("_ts", window, slide).alias("w"), "event_type").agg(F.count(F.lit(1)).alias("n")).select(F.col("w.start").cast("timestamp_ntz").alias("begin"), "event_type", "n")
+
+
 def watermarked(events: DataFrame, late: str = "1 hour") -> DataFrame:
     """Events with an event time that streams accept, late ones bounded, repeated ids dropped once within the bound."""
     rows = events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late)

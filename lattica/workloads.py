@@ -17,6 +17,7 @@ TEXTS = {
     "star3_holds": f"{STAR} then a.size = a.size",
     "triangle": f"{TRIANGLE} where a.dormant = true and b.dormant = true then c.dormant = true",
     "kite": f"{TRIANGLE}, (a)-[co]-(d:MAIN) where a.dormant = true and b.dormant = true then c.dormant = true",
+    "tail_kite": f"match (a:MAIN)-[co]-(d:MAIN), {TRIANGLE[6:].replace('(a:MAIN)', '(a)', 1)} where a.dormant = true and b.dormant = true then c.dormant = true",
     # trade
     "two_places": "match (x:order)-[shipped_by]->(y:supplier), (x)-[shipped_by]->(z:supplier) then y.nation = z.nation",
     "two_places_wild": "match (x:order)-[shipped_by]->(y:_), (x)-[shipped_by]->(z:_) then y.nation = z.nation",
@@ -30,16 +31,18 @@ TEXTS = {
     # sessions, dialogue, web, similar
     "chain3": "match (a:signup)-[next]->(b:error)-[next]->(c:purchase) then false",
     "turn_taking": "match (x:assistant)-[next]->(y:_) then y.role = 'user'",
+    "turn_broken": "match (x:assistant)-[next]->(y:_) then y.role = 'assistant'",
+    "opening_broken": "match (x:system)-[next]->(y:_) then y.role = 'assistant'",
     "opening": "match (x:system)-[next]->(y:_) then y.role = 'user'",
     "host_lang": "match (x:page)-[on_host]->(h:host), (y:page)-[on_host]->(h) then x.lang = y.lang",
     "similar_triangle": "match (a:_)-[near]-(b:_), (b)-[near]-(c:_), (a)-[near]-(c) then a.label = b.label",
 }
 GRAPH_OF = {
-    "copurchase": ["path3", "path3_strict", "star3", "star3_holds", "triangle", "kite"],
+    "copurchase": ["path3", "path3_strict", "star3", "star3_holds", "triangle", "kite", "tail_kite"],
     "trade": ["two_places", "two_places_wild", "never_both", "home_cycle", "home_cycle_tail"],
     "docs": ["typing_doc", "dup_label", "dup_label_x"],
     "sessions": ["chain3"],
-    "dialogue": ["turn_taking", "opening"],
+    "dialogue": ["turn_taking", "opening", "turn_broken", "opening_broken"],
     "web": ["host_lang"],
     "similar": ["similar_triangle"],
 }

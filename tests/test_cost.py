@@ -12,5 +12,6 @@ def test_order_starts_where_few_vertices_are(spark):
     pattern = Pattern.of([("x", "B"), ("y", "A")], [("y", "x", "e")])
     assert stats.matching(pattern, pattern.edges[0]) == 57
     assert stats.best_order(pattern, ("x", "y"))[0] == "y"
+    assert [c for _, c, _ in stats.tree(pattern, ("y", "x"))] == ["x"] and stats.best_order(pattern, ("x", "y"), exhaustive=1) == ("y", "x")
     path = Pattern.of(["a", "b", "c"], [("a", "b"), ("b", "c")])
     assert stats.order_cost(path, ("a", "c", "b")) == float("inf")

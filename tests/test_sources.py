@@ -76,3 +76,54 @@ def test_event_streams(spark, tmp_path):
     assert incremental.session_counts(events).agg(F.sum("n")).first()[0] == events.count()
     chain = incremental.typed_chain(events, events, "signup", "purchase", "5 days")
     assert chain.where("b_ts <= a_ts").count() == 0 and chain.count() > 0
+
+
+def test_stream_of_next_events(spark, tmp_path):
+    events = builders.load(spark, SF, "events").where("user_id < 20").withColumn("ts", F.col("ts").cast("timestamp"))
+    days = tmp_path / "days"
+    cut = events.selectExpr("percentile_approx(ts, 0.5)").first()[0]
+    for part in (events.where(F.col("ts") <= cut), events.where(F.col("ts") > cut)):  # in order within a user
+        part.coalesce(1).write.mode("append").parquet(str(days))
+    kept = spark.conf.get("spark.sql.streaming.stateStore.providerClass")
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        stream = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(str(days))
+        query = incremental.next_edges_stream(stream).writeStream.format("memory").queryName("nexts").outputMode("append").trigger(availableNow=True).option("checkpointLocation", str(tmp_path / "n")).start()
+        assert query.awaitTermination(180)
+        got = sorted(map(tuple, spark.table("nexts").collect()))
+    finally:
+        spark.conf.set("spark.sql.streaming.stateStore.providerClass", kept)
+    whole = builders.sessions(spark, SF)
+    ids = events.select((F.col("event_id") + 8 * 10**14).alias("src"))
+    assert got == sorted(map(tuple, whole.edges.where("elabel = 'next'").select("src", "dst").join(ids, "src", "left_semi").collect())) and got
+
+
+def test_streams_of_typed_chains_and_sliding_windows(spark, tmp_path):
+    events = builders.load(spark, SF, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    days = tmp_path / "days"
+    events.repartition(2).write.parquet(str(days))
+
+    def source():
+        return spark.readStream.schema(events.schema).parquet(str(days)).withWatermark("ts", "1 hour")
+
+    chain = incremental.typed_chain(source(), source(), "signup", "purchase", "5 days").select("src", "dst")
+    query = chain.writeStream.format("memory").queryName("chains").outputMode("append").trigger(availableNow=True).option("checkpointLocation", str(tmp_path / "c")).start()
+    assert query.awaitTermination(180)
+    want = incremental.typed_chain(events, events, "signup", "purchase", "5 days").select("src", "dst")
+    assert sorted(map(tuple, spark.table("chains").collect())) == sorted(map(tuple, want.collect()))
+    query = incremental.sliding_counts(source()).writeStream.format("memory").queryName("sliding").outputMode("complete").trigger(availableNow=True).option("checkpointLocation", str(tmp_path / "s")).start()
+    assert query.awaitTermination(180)
+    assert spark.table("sliding").agg(F.sum("n")).first()[0] == 2 * events.count()
+
+
+def test_sets_samples_and_sketches(spark):
+    g = builders.copurchase(spark, SF)
+    found = validate.violations(g, workloads.rule("triangle"))
+    rows = summary.grouped_by_sets(found, g, "a", ("brand",), ("ptype",), ()).collect()
+    assert sum(r["n"] for r in rows) == 3 * 52 and len({r["grouping"] for r in rows}) == 3
+    kept = g.sample_vertices(0.5, seed=3).vertices.count()
+    assert 50 < kept < 150 and g.sample_vertices(1.0).edges.count() == g.edges.count()
+    about = g.degrees_about().join(g.degrees().withColumnRenamed("degree", "exact"), "vid")
+    assert about.where(F.abs(F.col("degree") - F.col("exact")) > 0.2 * F.col("exact")).count() == 0
+    seeds = g.labelled("SIDE").select("vid").limit(5)
+    assert sorted(map(tuple, g.ball_sql(seeds, 2).collect())) == sorted(map(tuple, g.ball(seeds, 2).collect()))
