@@ -3,62 +3,28 @@
 from __future__ import annotations
 
 import os
-import tempfile
 import uuid
-import zipfile
-from pathlib import Path
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.store import fresh_path, saved, shared_root, ship
+
+__all__ = ["SPACES", "WORD_BREAK", "local_path", "open_store", "publish", "quiet_threads", "saved", "shared_root", "ship", "table", "text_or_empty", "tokenizer_path", "workspace"]
+
 #: Characters that end a word; everything else is part of one.
 SPACES = " \t\n\x0b\x0c\r"
 WORD_BREAK = r"[\x20\x09-\x0D]+"
 
 
-_SHIPPED: set[str] = set()
-
-
-def ship(spark: SparkSession) -> None:
-    """Give Python workers this package, once an application, where they have it from nowhere else."""
-    context = spark.sparkContext
-    if context.applicationId in _SHIPPED:
-        return
-    package = Path(__file__).resolve().parent.parent
-    folder = Path(tempfile.mkdtemp(prefix="ship-")).resolve()
-    target = folder / f"{package.name}.zip"
-    with zipfile.ZipFile(target, "w", zipfile.ZIP_DEFLATED) as out:
-        for f in sorted(package.rglob("*.py")):
-            out.write(f, f.relative_to(package.parent))
-    context.addPyFile(str(target))
-    _SHIPPED.add(context.applicationId)
-
-
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     ship(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_root(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or (only where it is unset) one of our own."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if not root:
-        root = "file:///tmp/checkpoints/lattica"
-        if spark.sparkContext.getCheckpointDir() is None:
-            spark.sparkContext.setCheckpointDir(root)
-    return root
-
-
 def workspace(spark: SparkSession, label: str) -> str:
     """A fresh path below the shared folder."""
-    return f"{shared_root(spark).rstrip('/')}/{label}-{uuid.uuid4().hex}"
-
-
-def saved(df: DataFrame, label: str) -> DataFrame:
-    """Write a table into the shared folder and read it again: cuts lineage and survives lost executors."""
-    path = workspace(df.sparkSession, label)
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    return fresh_path(spark, label)
 
 
 def local_path(uri: str) -> str | None:

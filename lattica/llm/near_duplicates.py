@@ -1,20 +1,27 @@
-"""N-gram Jaccard join: MinHash bands of fixed depth (in place of an LSH forest), then exact verification.
+"""N-gram Jaccard join: a MinHash LSH forest, then exact verification.
 
 The set of a text is that of its five-word shingles (words as they stand between white space; a text of one to four words
 has one shingle, all of them). Texts with equal sets form a class, found by a 128-bit key; classes, not copies, go on.
-Each class has a signature of trees x depth minima; two classes meet if they agree in all minima of a tree. The depth is
-the greatest, up to `deepest`, at which a pair at the threshold is met with the target recall; it is worked out before any
-data is seen, and no trie is built. Classes that meet, directly or through others, form a candidate group, and a
-group's classes are compared in blocks of bounded size: pairs that meet in a tree are verified by exact counts of
-shingles. A task gives one row per class and block pair: how many documents it links to, and the least key that verified
+
+Each class has a signature in each tree: `deepest` minima of six bits, packed into one 64-bit number with the first
+minimum on top. So a tree is a trie of 64 branches, its sorted signatures are its leaves, a prefix is a shift, and classes
+meet at the longest prefix that they share. The join begins at long prefixes and shortens them level by level. After a
+level, exact similarities of the verified pairs tell how likely each was to be met (1 - (1 - s^depth)^trees), and so how many
+pairs there must be; it stops once the pairs found are the target share of that, and a pair at the threshold itself would
+be met with the least certainty `floor`. Each level verifies only pairs that no longer prefix joined.
+
+Classes that meet at a level, directly or through others, form a group. A group of up to `block` classes is compared in
+one piece. A larger one falls apart into the nodes of the tries, each cut into blocks that are compared two by two, and a pair is
+verified at the first tree that joins it: work goes by the pairs that meet, not by the square of what is connected.
+A task gives one row per class and block pair: how many documents it links to, and the least key that verified
 links reach in the block pair. Components over these rows are the near-duplicate classes.
 
-Nothing is collected. A hot text, prefix or group is spread: copies are counted before the shuffle, and a group of any
-size is compared block by block; no bucket is capped and no pair of a group is emitted as a row.
+Nothing is collected but one histogram of similarities. A hot text, prefix or group is spread: copies are counted before the
+shuffle, no bucket is capped and no pair of a group is emitted as a row.
 
 Defined results: a text without words (null, empty, white space) links to nothing and has its own id as class; a class's
 id is the least document id in it (null only if all are null); repeated rows are copies of each other; an empty table
-gives an empty table; other columns are not used. `kept` decides by row: of a class one row stays, the others go, whether or not
+gives an empty table; other columns are not used, whatever their names. `kept` decides by row: of a class one row stays, the others go, whether or not
 they share its id, and rows that share an id but no class don't touch each other.
 """
 
@@ -25,10 +32,10 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import saved
+from .common import saved, ship
 from .components import components
 from .wordcache import slices
 
@@ -38,28 +45,45 @@ _SPACE = np.zeros(256, bool)
 _SPACE[[9, 10, 11, 12, 13, 32]] = True
 
 
+#: Bits of a minimum in a signature.
+BITS = 6
+#: Classes of similarities from the threshold to 1, for the recall that a level reaches.
+STEPS = 50
+
+
 @dataclass(frozen=True)
 class Forest:
-    """Parameters: trees, the longest prefix, and the recall wanted for a pair at the threshold."""
+    """Parameters: trees, the longest prefix, the share of all pairs to be found, and how certainly a pair at the threshold is."""
 
     trees: int = 24
     deepest: int = 10
     recall: float = 0.999
+    floor: float = 0.99
     threshold: float = THRESHOLD
-    block: int = 256
+    block: int = 64
     seed: int = 7
 
-    def recall_at(self, depth: int, similarity: float | None = None) -> float:
+    def __post_init__(self) -> None:
+        if not 1 <= self.deepest * BITS <= 63:
+            raise ValueError("a signature has to fit into 63 bits")
+
+    def recall_at(self, depth: int, similarity: float | np.ndarray | None = None):
         s = self.threshold if similarity is None else similarity
         return 1 - (1 - s**depth) ** self.trees
 
     @property
-    def depth(self) -> int:
-        """The longest prefix that reaches the recall; shortening stops there."""
-        depth = self.deepest
-        while depth > 1 and self.recall_at(depth) < self.recall:
-            depth -= 1
-        return depth
+    def first(self) -> int:
+        """The longest prefix at which a pair at the threshold is met with the certainty asked for: the first level."""
+        return next((d for d in range(self.deepest, 1, -1) if self.recall_at(d) >= self.floor), 1)
+
+    def reached(self, depth: int, histogram: np.ndarray) -> float:
+        """The share of all pairs that is found after the level, by the similarities of those found (the lower ends of their classes)."""
+        low = self.threshold + (1 - self.threshold) * np.arange(STEPS) / STEPS
+        total = float((histogram / self.recall_at(depth, low)).sum())
+        return float(histogram.sum()) / total if total else 1.0
+
+    def shift(self, depth: int) -> int:
+        return BITS * (self.deepest - depth)
 
 
 def mixed(x: np.ndarray) -> np.ndarray:
@@ -110,9 +134,8 @@ def set_key(shingles: np.ndarray) -> bytes | None:
     return hashlib.blake2b(shingles.tobytes(), digest_size=16).digest() if len(shingles) else None
 
 
-def prefixes(sets: list[np.ndarray], forest: Forest) -> np.ndarray:
-    """One 64-bit hash per set and tree: the prefix of the set's signature in that tree. Sets are not empty."""
-    depth = forest.depth
+def signatures(sets: list[np.ndarray], forest: Forest) -> np.ndarray:
+    """One number per set and tree: the set's minima in the tree, BITS bits of each, the first on top. Sets are not empty."""
     rng = np.random.default_rng(forest.seed)
     a = rng.integers(0, 1 << 32, forest.trees * forest.deepest, dtype=np.uint32) | np.uint32(1)
     b = rng.integers(0, 1 << 32, forest.trees * forest.deepest, dtype=np.uint32)
@@ -120,11 +143,11 @@ def prefixes(sets: list[np.ndarray], forest: Forest) -> np.ndarray:
     starts = np.concatenate([[0], np.cumsum([len(s) for s in sets])[:-1]])
     out = np.zeros((len(sets), forest.trees), _U)
     for tree in range(forest.trees):
-        for k in range(depth):
+        for k in range(forest.deepest):
             i = tree * forest.deepest + k
-            least = np.minimum.reduceat(flat * a[i] + b[i], starts)
-            out[:, tree] = (out[:, tree] + least.astype(_U) + _U(1)) * _U(0x9E3779B97F4A7C15)
-            out[:, tree] ^= out[:, tree] >> _U(29)
+            least = np.minimum.reduceat(flat * a[i] + b[i], starts).astype(_U)
+            # a minimum is small where a set is large, so its bits are mixed before some are taken
+            out[:, tree] = (out[:, tree] << _U(BITS)) | (mixed(least * _U(0x9E3779B97F4A7C15)) >> _U(64 - BITS))
     return out
 
 
@@ -133,20 +156,20 @@ def _mark(text: str) -> Column:
 
 
 def signed(docs: DataFrame, forest: Forest, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc_id, key (null without words), mark (a hash of the text) and the prefixes in all trees."""
+    """doc_id, key (null without words), mark (a hash of the text) and the signatures in all trees."""
 
     def run(batches):
         for batch in batches:
             for rows, texts in slices(batch, "text"):
                 sets = shingle_sets(texts)
                 some = [i for i, s in enumerate(sets) if len(s)]
-                found = prefixes([sets[i] for i in some], forest).view(np.int64) if some else np.zeros((0, forest.trees), np.int64)
+                found = signatures([sets[i] for i in some], forest).view(np.int64) if some else np.zeros((0, forest.trees), np.int64)
                 offsets = np.zeros(len(texts) + 1, np.int32)
                 offsets[np.array(some, np.int64) + 1] = forest.trees
                 column = pa.ListArray.from_arrays(pa.array(np.cumsum(offsets).astype(np.int32)), pa.array(found.ravel()))
-                yield pa.RecordBatch.from_arrays([rows.column(0), pa.array([set_key(s) for s in sets], pa.binary()), rows.column(2), column], ["doc_id", "key", "mark", "prefixes"])
+                yield pa.RecordBatch.from_arrays([rows.column(0), pa.array([set_key(s) for s in sets], pa.binary()), rows.column(2), column], ["doc_id", "key", "mark", "trees"])
 
-    return docs.select(F.col(doc_id).cast("bigint").alias("doc_id"), F.col(text).alias("text"), _mark(text).alias("mark")).mapInArrow(run, "doc_id bigint, key binary, mark bigint, prefixes array<bigint>")
+    return docs.select(F.col(doc_id).cast("bigint").alias("doc_id"), F.col(text).alias("text"), _mark(text).alias("mark")).mapInArrow(run, "doc_id bigint, key binary, mark bigint, trees array<bigint>")
 
 
 def _common(sets: list[np.ndarray], left: np.ndarray, right: np.ndarray) -> np.ndarray:
@@ -172,22 +195,34 @@ def _common(sets: list[np.ndarray], left: np.ndarray, right: np.ndarray) -> np.n
     return total[left, right].astype(np.int64)
 
 
-def _linked(keys: list[bytes], weight: np.ndarray, met: np.ndarray, side: np.ndarray, texts: list[str], threshold: float) -> tuple[np.ndarray, list[bytes]]:
-    """For each class of a block pair: documents linked to, and the least key that verified links reach. side: 1 first block, 2 second, 3 both."""
+def _meeting(trees: np.ndarray, shift: int, only: int = -1) -> np.ndarray:
+    """Which pairs share a prefix in some tree; with `only`, in that tree and in none before it."""
+    node = trees >> shift
+    out = np.zeros((len(trees), len(trees)), bool)
+    for t in range(node.shape[1] if only < 0 else only):
+        out |= node[:, t][:, None] == node[:, t][None, :]
+    return out if only < 0 else (node[:, only][:, None] == node[:, only][None, :]) & ~out
+
+
+def _linked(keys: list[bytes], weight: np.ndarray, trees: np.ndarray, side: np.ndarray, only: int, texts: list[str], shifts: tuple[int, int | None], threshold: float) -> tuple[np.ndarray, list[bytes], np.ndarray]:
+    """For each class of a block pair: documents linked to, and the least key that verified links reach; then how many pairs
+    have which similarity. side: 1 first block, 2 second, 3 both. shifts: of this level, and of the one before."""
     m = len(keys)
-    pairs = np.zeros((m, m), bool)
-    for tree in range(met.shape[1]):
-        pairs |= met[:, tree][:, None] == met[:, tree][None, :]
+    pairs = _meeting(trees, shifts[0], only)
+    if shifts[1] is not None:
+        pairs &= ~_meeting(trees, shifts[1])
     cross = ((side[:, None] & 1) > 0) & ((side[None, :] & 2) > 0)
-    pairs = np.triu(pairs & (cross | cross.T), 1)
-    left, right = np.nonzero(pairs)
-    links, label = np.zeros(m, np.int64), np.arange(m)
+    left, right = np.nonzero(np.triu(pairs & (cross | cross.T), 1))
+    links, label, histogram = np.zeros(m, np.int64), np.arange(m), np.zeros(STEPS, np.int64)
     if len(left):
         sets = shingle_sets(texts)
         sizes = np.array([len(s) for s in sets])
         common = _common(sets, left, right)
-        good = common >= threshold * (sizes[left] + sizes[right] - common) - 1e-9
-        left, right = left[good], right[good]
+        union = sizes[left] + sizes[right] - common
+        good = common >= threshold * union - 1e-9
+        left, right, similarity = left[good], right[good], (common / union)[good]
+        place = np.clip((similarity - threshold) / max(1 - threshold, 1e-9) * STEPS, 0, STEPS - 1).astype(np.int64)
+        histogram = np.bincount(place, minlength=STEPS)
         np.add.at(links, left, weight[right])
         np.add.at(links, right, weight[left])
         while len(left):  # least labels along links until they stand
@@ -198,36 +233,38 @@ def _linked(keys: list[bytes], weight: np.ndarray, met: np.ndarray, side: np.nda
             label = label[label]
             if (label == before).all():
                 break
-    return links, [keys[i] for i in label]
+    return links, [keys[i] for i in label], histogram
 
 
-def _compared(rows: DataFrame, forest: Forest) -> DataFrame:
-    """key, least, links for each class and block pair. rows are sorted within partitions by group, i, j and key."""
+def _compared(rows: DataFrame, forest: Forest, shifts: tuple[int, int | None]) -> DataFrame:
+    """key, least, links of each class and block pair that has links, and the similarities of a block pair's links at one of
+    its rows. rows are sorted within partitions by group, i, j and key."""
 
     def run(batches):
         held: list[dict] = []
         group = None
 
         def flush():
-            from itertools import groupby
-
-            classes = []
-            for _, same in groupby(held, key=lambda r: r["key"]):
-                same = list(same)  # rows that share an id can bring other texts along: the key decides
-                match = next((r for r in same if len(same) == 1 or set_key(shingle_sets([r["text"] or ""])[0]) == r["key"]), None)
-                if match:
-                    classes.append(match)
-            if not classes:
-                return None
-            links, least = _linked(
-                [r["key"] for r in classes], np.array([r["n"] for r in classes]), np.array([r["prefixes"] for r in classes]), np.array([r["side"] for r in classes]), [r["text"] or "" for r in classes], forest.threshold
+            links, least, histogram = _linked(
+                [r["key"] for r in held],
+                np.array([r["n"] for r in held]),
+                np.array([r["trees"] for r in held], np.int64),
+                np.array([r["side"] for r in held]),
+                held[0]["tree"],
+                [r["text"] or "" for r in held],
+                shifts,
+                forest.threshold,
             )
-            return pa.RecordBatch.from_arrays([pa.array([r["key"] for r in classes], pa.binary()), pa.array(least, pa.binary()), pa.array(links)], ["key", "least", "links"])
+            at = np.flatnonzero(links).tolist()
+            if not at:
+                return None
+            seen = [histogram.tolist(), *([None] * (len(at) - 1))]
+            return pa.RecordBatch.from_arrays([pa.array([held[i]["key"] for i in at], pa.binary()), pa.array([least[i] for i in at], pa.binary()), pa.array(links[at]), pa.array(seen, pa.list_(pa.int64()))], ["key", "least", "links", "similar"])
 
         for batch in batches:
             for a in range(0, batch.num_rows, 256):
                 for row in batch.slice(a, 256).to_pylist():
-                    now = (row["comp"], row["i"], row["j"])
+                    now = (row["place"], row["tree"], row["i"], row["j"])
                     if now != group:
                         if held and (out := flush()) is not None:
                             yield out
@@ -236,34 +273,63 @@ def _compared(rows: DataFrame, forest: Forest) -> DataFrame:
         if held and (out := flush()) is not None:
             yield out
 
-    return rows.mapInArrow(run, "key binary, least binary, links bigint")
+    return rows.mapInArrow(run, "key binary, least binary, links bigint, similar array<bigint>")
+
+
+def _blocks(grouped: DataFrame, block: int) -> DataFrame:
+    """key, place, tree, i, j and side of each class in each block pair of its group (place, tree)."""
+    by = ["place", "tree"]
+    sizes = grouped.groupBy(*by).agg(F.ceil(F.count(F.lit(1)) / block).cast("int").alias("blocks"))
+    placed = grouped.join(sizes, by).withColumn("own", F.pmod(F.xxhash64("key"), F.col("blocks")).cast("int"))
+    placed = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    side = F.when(F.col("own") == F.col("other"), 3).when(F.col("own") < F.col("other"), 1).otherwise(2)
+    return placed.select("key", *by, F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), side.alias("side"))
+
+
+def _level(docs: DataFrame, classes: DataFrame, forest: Forest, depth: int, before: int | None) -> DataFrame | None:
+    """What `_compared` finds of pairs that share a prefix of this depth and none of the level before; None if nothing meets."""
+    shift = forest.shift(depth)
+    nodes = classes.select("key", F.posexplode("trees").alias("tree", "signature"))
+    nodes = nodes.withColumn("node", F.shiftright("signature", shift))
+    longer = F.shiftright("signature", forest.shift(before)) if before else F.col("key")
+    # a node below which all share a longer prefix brings no new pair
+    shared = nodes.groupBy("tree", "node").agg(F.min("key").alias("leader"), F.min(longer).alias("low"), F.max(longer).alias("high")).where("low <> high").select("tree", "node", "leader")
+    met = saved(nodes.join(shared, ["tree", "node"]).select("key", "tree", "node", "leader"), "near-met")
+    groups = components(met.select(F.col("key").alias("a"), F.col("leader").alias("b")))
+    groups = groups.select(F.col("node").alias("key"), F.col("label").alias("comp"))
+    sizes = groups.groupBy("comp").agg(F.count(F.lit(1)).alias("m"))
+    groups = saved(groups.join(sizes, "comp").withColumn("whole", F.col("m") <= forest.block), "near-groups")
+    small = groups.where("whole").select("key", F.xxhash64("comp").alias("place"), F.lit(-1).alias("tree"), F.lit(0).alias("i"), F.lit(0).alias("j"), F.lit(3).alias("side"))
+    large = met.join(groups.where("NOT whole").select("key"), "key").select("key", F.xxhash64("tree", "node").alias("place"), "tree")
+    placed = small.unionByName(_blocks(large, forest.block))
+    placed = placed.join(classes.select("key", "rep_id", "rep_mark", "n", "trees"), "key")
+    source = _source(docs).join(placed.select("rep_id", "rep_mark").distinct(), F.col("doc_id").eqNullSafe(F.col("rep_id")) & (F.col("mark") == F.col("rep_mark")), "left_semi")
+    one = source.groupBy("doc_id", "mark").agg(F.first("text").alias("text"))  # rows with the same id and text are one
+    texts = placed.join(one, (F.col("rep_mark") == F.col("mark")) & F.col("rep_id").eqNullSafe(F.col("doc_id"))).select("place", "tree", "i", "j", "side", "key", "n", "trees", "text")
+    parts = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1)
+    by = ["place", "tree", "i", "j"]
+    return saved(_compared(texts.repartition(parts, *by).sortWithinPartitions(*by, "key"), forest, (shift, forest.shift(before) if before else None)), "near-checked")
+
+
+def _source(docs: DataFrame) -> DataFrame:
+    return docs.select("doc_id", "mark", "text")
 
 
 def _labelled(docs: DataFrame, forest: Forest, doc_id: str, text: str) -> tuple[DataFrame, DataFrame]:
     """The signed rows, and for each key its label (equal for near duplicates), the least row with it (rep_id, rep_mark; null ids last), n copies and links."""
+    ship(docs.sparkSession)
     rows = saved(signed(docs, forest, doc_id, text), "near-signed")
-    classes = saved(rows.where("key is not null").groupBy("key").agg(F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "mark")).alias("rep"), F.count(F.lit(1)).alias("n"), F.first("prefixes").alias("prefixes")).select("key", F.col("rep.doc_id").alias("rep_id"), F.col("rep.mark").alias("rep_mark"), "n", "prefixes"), "near-classes")
-    nodes = classes.select("key", F.posexplode("prefixes").alias("tree", "prefix"))
-    shared = nodes.groupBy("tree", "prefix").agg(F.min("key").alias("leader"), F.count(F.lit(1)).alias("m")).where("m > 1").drop("m")
-    groups = components(nodes.join(shared, ["tree", "prefix"]).select(F.col("key").alias("a"), F.col("leader").alias("b")))
-    groups = groups.select(F.col("node").alias("key"), F.col("label").alias("comp"))
-    sizes = groups.groupBy("comp").agg(F.ceil(F.count(F.lit(1)) / forest.block).cast("int").alias("blocks"))
-    placed = groups.join(sizes, "comp").withColumn("own", F.pmod(F.xxhash64("key"), F.col("blocks")).cast("int"))
-    placed = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    placed = placed.select(
-        "key",
-        "comp",
-        F.least("own", "other").alias("i"),
-        F.greatest("own", "other").alias("j"),
-        F.when(F.col("own") == F.col("other"), 3).when(F.col("own") < F.col("other"), 1).otherwise(2).alias("side"),
-    )
-    placed = placed.join(classes, "key")
-    source = docs.select(F.col(doc_id).cast("bigint").alias("doc_id"), F.col(text).alias("text"))
-    known, unknown = placed.where("rep_id is not null"), placed.where("rep_id is null")
-    texts = known.join(source, F.col("rep_id") == F.col("doc_id")).unionByName(unknown.join(source.where("doc_id is null"), F.col("rep_id").eqNullSafe(F.col("doc_id"))))
-    texts = texts.select("comp", "i", "j", "side", "key", "n", "prefixes", "text")
-    parts = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1)
-    checked = saved(_compared(texts.repartition(parts, "comp", "i", "j").sortWithinPartitions("comp", "i", "j", "key"), forest), "near-checked")
+    classes = saved(rows.where("key is not null").groupBy("key").agg(F.min(F.struct(F.col("doc_id").isNull().alias("no_id"), "doc_id", "mark")).alias("rep"), F.count(F.lit(1)).alias("n"), F.first("trees").alias("trees")).select("key", F.col("rep.doc_id").alias("rep_id"), F.col("rep.mark").alias("rep_mark"), "n", "trees"), "near-classes")
+    source = docs.select(F.col(doc_id).cast("bigint").alias("doc_id"), F.col(text).alias("text"), _mark(text).alias("mark"))
+    checked, before, histogram = None, None, np.zeros(STEPS, np.int64)
+    for depth in range(forest.first, 0, -1):
+        found = _level(source, classes, forest, depth, before)
+        checked, before = found if checked is None else checked.unionByName(found), depth
+        seen = found.where("similar is not null").select(F.posexplode("similar").alias("step", "n")).groupBy("step").agg(F.sum("n").alias("n")).collect()  # STEPS rows
+        for r in seen:
+            histogram[r["step"]] += r["n"]
+        if forest.reached(depth, histogram) >= forest.recall:
+            break
     found = components(checked.select(F.col("key").alias("a"), F.col("least").alias("b"))).withColumnRenamed("node", "key")
     links = checked.groupBy("key").agg(F.sum("links").alias("links"))
     facts = classes.select("key", "rep_id", "rep_mark", "n").join(links, "key", "left").join(found, "key", "left").withColumn("label", F.coalesce("label", "key"))
@@ -280,20 +346,22 @@ def joined(docs: DataFrame, forest: Forest = Forest(), doc_id: str = "doc_id", t
 
 
 def kept(docs: DataFrame, forest: Forest = Forest(), doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """The documents with one row of each class, one with the least id (null only if all are null); texts without words stay."""
+    """The documents with one row of each class, one with the least id (null only if all are null); texts without words stay.
+
+    Of rows with the same id and text one stays, any of them.
+    """
     rows, facts = _labelled(docs, forest, doc_id, text)
     least = facts.groupBy("label").agg(F.min(F.struct(F.col("rep_id").isNull().alias("no_id"), "rep_id", "key", "rep_mark")).alias("rep")).select("rep.*")
-    place = [F.coalesce("doc_id", F.lit(0)).alias("_id"), F.col("doc_id").isNull().alias("_no_id"), F.col("mark").alias("_mark")]
-    names = ["_id", "_no_id", "_mark"]
-    copies = rows.where("key is not null").groupBy(*place).agg(F.count(F.lit(1)).alias("_copies")).where("_copies > 1")
-    least = least.select(F.coalesce("rep_id", F.lit(0)).alias("_id"), F.col("no_id").alias("_no_id"), F.col("rep_mark").alias("_mark"))
-    least = saved(least.join(copies, names, "left").withColumn("_copies", F.coalesce("_copies", F.lit(1).cast("bigint"))), "near-least")
     own = F.col(doc_id).cast("bigint")
-    placed = docs.withColumns({"_id": F.coalesce(own, F.lit(0).cast("bigint")), "_no_id": own.isNull(), "_mark": _mark(text)})
+    place = [F.coalesce(own, F.lit(0).cast("bigint")).alias("id"), own.isNull().alias("no_id"), _mark(text).alias("mark")]
     worded = F.coalesce(F.col(text), F.lit("")).rlike(r"[^\x20\x09-\x0D]")
-    # a row on its own stays by its place alone; of equal rows one is taken
-    single = placed.where(worded).join(least.where("_copies = 1").drop("_copies"), names, "left_semi")
-    equal = placed.where(worded).join(least.where("_copies > 1").drop("_copies"), names, "left_semi")
-    equal = equal.withColumn("_nth", F.row_number().over(Window.partitionBy(*names).orderBy(*[F.col(c) for c in names]))).where("_nth = 1")
-    out = single.select(*docs.columns).unionByName(equal.select(*docs.columns))
-    return out.unionByName(docs.where(~worded))
+    whole = F.struct(*[docs[c].alias(f"c{i}") for i, c in enumerate(docs.columns)]).alias("row")
+    placed = docs.where(worded).select(whole, *place)
+    names = ["id", "no_id", "mark"]
+    copies = rows.where("key is not null").select(F.coalesce("doc_id", F.lit(0)).alias("id"), F.col("doc_id").isNull().alias("no_id"), "mark").groupBy(*names).agg(F.count(F.lit(1)).alias("copies")).where("copies > 1")
+    least = least.select(F.coalesce("rep_id", F.lit(0)).alias("id"), "no_id", F.col("rep_mark").alias("mark"))
+    least = saved(least.join(copies, names, "left").withColumn("copies", F.coalesce("copies", F.lit(1).cast("bigint"))), "near-least")
+    # a row on its own stays by its place alone; of equal rows one is taken, before they meet
+    single = placed.join(least.where("copies = 1").drop("copies"), names, "left_semi").select("row")
+    equal = placed.join(least.where("copies > 1").drop("copies"), names, "left_semi").groupBy(*names).agg(F.first("row").alias("row")).select("row")
+    return single.unionByName(equal).unionByName(docs.where(~worded).select(whole)).select("row.*").toDF(*docs.columns)

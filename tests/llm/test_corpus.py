@@ -4,6 +4,7 @@ import hashlib
 import io
 import itertools
 import random
+import re
 from collections import Counter
 
 import numpy as np
@@ -129,7 +130,11 @@ def test_copies_are_ordered_by_id(spark):
 
 
 def brute_classes(texts):
-    sets = [set(near_duplicates.shingle_sets([t or ""])[0].tolist()) for _, t in texts]
+    def shingles(text):
+        found = re.findall(r"[^\x20\x09-\x0D]+", text or "")
+        return {tuple(found[i : i + 5]) for i in range(max(len(found) - 4, 1))} if found else set()
+
+    sets = [shingles(t) for _, t in texts]
     links, parent = Counter(), list(range(len(texts)))
 
     def find(x):
@@ -178,9 +183,27 @@ def test_near_duplicates(spark):
     assert ids == {c for d, c, _ in brute_classes(texts) if d is not None} | {None}
 
 
-def test_forest_depth():
+def test_forest_levels():
     f = near_duplicates.Forest()
-    assert f.recall_at(f.depth) >= f.recall and (f.depth == f.deepest or f.recall_at(f.depth + 1) < f.recall)
+    assert f.recall_at(f.first) >= f.floor > f.recall_at(f.first + 1)
+    low, high = np.zeros(near_duplicates.STEPS, int), np.zeros(near_duplicates.STEPS, int)
+    low[0], high[-5] = 1000, 1000
+    assert f.reached(f.first, high) >= f.recall > f.reached(f.first, low)  # pairs near the threshold ask for shorter prefixes
+    assert f.reached(f.first - 1, low) > f.reached(f.first, low)
+    with pytest.raises(ValueError):
+        near_duplicates.Forest(deepest=11)
+
+
+def test_signatures_share_prefixes_as_often_as_sets_do():
+    rng = np.random.default_rng(2)
+    f, hits, n = near_duplicates.Forest(), 0, 60
+    for _ in range(n):
+        a = rng.integers(0, 1 << 63, 400).astype(np.uint64)
+        b = np.concatenate([a[:360], rng.integers(0, 1 << 63, 40).astype(np.uint64)])
+        x, y = near_duplicates.signatures([np.unique(a), np.unique(b)], f).view(np.int64) >> f.shift(6)
+        hits += int((x == y).sum())
+    expected = n * f.trees * (360 / 440) ** 6
+    assert abs(hits - expected) < 6 * expected**0.5
 
 
 def test_components(spark):
