@@ -1,16 +1,21 @@
 """Mix sources to target weights.
 
-The words of a source, document after document, form a stream that is cut into blocks of fixed length. Each output
-shard draws how many of its slots every source fills from a multinomial over what the sources still owe, so that the
-totals come out as planned; slot j of a source maps to a block through a keyed permutation of the block numbers, a new
-one for each pass over the source; slots and blocks are joined by number. The last slot of a source is cut short, so
-what is taken meets the target to the word or, where the short last block of the stream is drawn, nearly.
+The words of a source, document after document, form a stream that is packed into blocks of fixed length. The output is
+made of shards of `shard_slots` slots, a block each. How many slots of a shard every source fills is drawn from a
+multinomial over what the sources still owe their targets, so the draws decide what is taken, and a source that came short in one
+shard is drawn more often in those after it; the last shards get smaller, down to a few slots, so that totals end near
+the targets, off by what the last draw adds. Slot j of a source maps to a block through a keyed permutation of the block numbers, a new one for each pass
+over the source; slots and blocks are joined by number. No source is passed over more often than `cap` times.
+
+Draws are made on the driver for up to `draws` groups of shards (and a few small ones at the end); each group's task deals
+its counts to its shards by multivariate hypergeometric draws, which is what a multinomial is within a given sum. So the
+driver's work is bounded however many shards there are.
 
 The stream's places are prefix sums in two steps (per salted bucket of a source, then within the bucket), so that a
-source with a third of all rows is spread over many tasks. What the driver sees is one row per source, and shard counts.
+source with a third of all rows is spread over many tasks. What the driver sees is one row per source, and group counts.
 
 Defined results: a null or empty text has no words and nothing is taken from it; a null source is a source of its own and the
-last; null or repeated document ids and repeated rows are rows of their own; an empty table gives an empty table; a source
+last; null or repeated document ids and repeated rows are rows of their own (equal ones are told apart by a number); an empty table gives an empty table; a source
 without words has the target 0. Long texts span many blocks. Only the named columns are used.
 """
 
@@ -23,27 +28,30 @@ from fractions import Fraction
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import saved
+from .common import saved, ship
 
 WORD = r"[^\x20\x09-\x0D]+"
-WEIGHTS, CAP, BLOCK_WORDS, SHARD_SLOTS, MOST_SHARDS, SEED = (5, 2, 1), 3, 512, 1024, 100_000, 20240901
+WEIGHTS, CAP, BLOCK_WORDS, SHARD_SLOTS, DRAWS, LAST, SEED = (5, 2, 1), 3, 64, 8192, 4096, 32, 20240901
 BUCKET_ROWS = 4096
 
 
 @dataclass(frozen=True)
 class Plan:
-    """What a source has, owes and gives: `passes` whole passes, then slots of another, the last of `cut` words."""
+    """What a source has and owes, in words and in blocks (the stream's last block may be short)."""
 
     source: str | None
     size: int
     target: float
     blocks: int
-    slots: int
-    cut: int
+
+    @property
+    def owed(self) -> float:
+        """Slots that bring the target: a slot brings size / blocks words on average."""
+        return self.target * self.blocks / self.size if self.size else 0.0
 
 
 def weights_of(sources: list[str | None], weights: tuple[int, ...] = WEIGHTS) -> dict[str | None, int]:
@@ -94,34 +102,49 @@ def permuted(j: np.ndarray, n: int, keys: list[int], back: bool = False) -> np.n
     return out.astype(np.int64)
 
 
-def planned(source: str | None, size: int, target: float, block: int, seed: int) -> Plan:
-    blocks, words = -(-size // block), round(target)
-    if not size or not words:
-        return Plan(source, size, target, blocks, 0, 0)
-    turn, rest = divmod(words, size)
-    if not rest:
-        return Plan(source, size, target, blocks, turn * blocks, block)
-    missing = blocks * block - size  # the stream's last block is short by so many words
-    place = int(permuted(np.array([blocks - 1]), blocks, _keys(source, turn, seed), back=True)[0])
-    slots = -(-rest // block)
-    if place < slots:  # it is among the slots: make up for it
-        slots = -(-(rest + missing) // block)
-    before = (slots - 1) * block - (missing if place < slots - 1 else 0)
-    return Plan(source, size, target, blocks, turn * blocks + slots, rest - before)
-
-
-def shard_counts(owed: list[int], slots: int, seed: int) -> np.ndarray:
-    """Slots of each source in each shard: multinomial draws over what is still owed, none above it."""
-    rng, left, rows = np.random.default_rng(seed), np.array(owed, np.int64), []
-    while (total := int(left.sum())) > slots:
-        row, room = np.zeros_like(left), slots
-        while room:
-            free = left - row
-            row += np.minimum(rng.multinomial(room, free / free.sum()), free)
-            room = slots - int(row.sum())
+def group_sizes(total: int, shard_slots: int, draws: int) -> list[int]:
+    """Slots of the groups of shards: whole shards, at most about `draws` groups, and a tail of halves down to LAST slots, whose
+    draw is as far as totals stray from the targets."""
+    group = shard_slots * max(1, -(-total // (shard_slots * draws)))
+    whole, rest = divmod(total, group)
+    sizes, tail = [group] * max(0, whole - 1), rest + (group if whole else 0)
+    while tail > 0:
+        sizes.append(tail if tail <= LAST else tail // 2)
+        tail -= sizes[-1]
+    return sizes
+
+
+def drawn_counts(owed: list[float], most: list[int], sizes: list[int], seed: int) -> np.ndarray:
+    """Slots of each source in each group: multinomial draws over what is still owed; none gets more than `most` in all."""
+    rng, owed_now, room = np.random.default_rng(seed), np.array(owed, np.float64), np.array(most, np.int64)
+    rows = []
+    for size in sizes:
+        row, left = np.zeros(len(room), np.int64), min(size, int(room.sum()))
+        while left > 0:
+            weight = np.where(room > row, np.maximum(owed_now - row, 0.0), 0.0)
+            if not weight.sum():  # all have what they are owed: who has room
+                weight = (room - row).astype(np.float64)
+            row += np.minimum(rng.multinomial(left, weight / weight.sum()), room - row)
+            left = min(size, int(room.sum())) - int(row.sum())
+        rows.append(row)
+        owed_now, room = owed_now - row, room - row
+    return np.array(rows, np.int64).reshape(len(sizes), len(room))
+
+
+def shards_of(counts: np.ndarray, shard_slots: int, seed: list[int]) -> np.ndarray:
+    """A group's counts dealt to its shards: without replacement, so they add up."""
+    rng, left, rows = np.random.default_rng(seed), np.array(counts, np.int64), []
+    while (total := int(left.sum())) > shard_slots:
+        # draws by marginals have no bound on the number of slots
+        row, rest, room = np.zeros_like(left), total, shard_slots
+        for i, n in enumerate(left.tolist()):
+            if room and n:
+                row[i] = room if rest == n else rng.hypergeometric(n, rest - n, room)
+                room -= int(row[i])
+            rest -= n
         rows.append(row)
         left = left - row
-    return np.array([*rows, left] if total or not rows else rows)
+    return np.array([*rows, left])
 
 
 def laid_out(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str = "source", block: int = BLOCK_WORDS, cap: int = CAP, weights: tuple[int, ...] = WEIGHTS, seed: int = SEED) -> tuple[DataFrame, list[Plan]]:
@@ -134,7 +157,7 @@ def laid_out(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source
     totals = rows.groupBy("source").agg(F.sum("size").alias("size"), F.count(F.lit(1)).alias("n")).collect()
     sizes = {r["source"]: r["size"] for r in totals}
     targets = targets_of(sizes, weights_of(list(sizes), weights), cap) if sizes else {}
-    plans = [planned(s, sizes[s], targets[s], block, seed) for s in sorted(sizes, key=lambda s: (s is None, s or ""))]
+    plans = [Plan(s, sizes[s], targets[s], -(-sizes[s] // block)) for s in sorted(sizes, key=lambda s: (s is None, s or ""))]
     buckets = max(64, -(-sum(r["n"] for r in totals) // BUCKET_ROWS))
     rows = rows.withColumn("bucket", F.pmod(F.xxhash64("doc_id", "text_key"), F.lit(buckets)))
     inner = Window.partitionBy("source", "bucket").orderBy("doc_id", "text_key", "size").rowsBetween(Window.unboundedPreceding, 0)
@@ -147,51 +170,55 @@ def laid_out(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source
     return out.withColumn("copy", F.row_number().over(alike)).drop("bucket"), plans
 
 
-def _slots(docs: DataFrame, plans: list[Plan], seed: int, shard_slots: int) -> DataFrame:
-    """shard, source, slot, pass, block, words: the slots of all shards and the blocks that they take."""
-    spark, schema = docs.sparkSession, "shard bigint, source string, slot bigint, pass int, block bigint, words bigint"
-    per_shard = max(shard_slots, -(-sum(p.slots for p in plans) // MOST_SHARDS))
-    counts = shard_counts([p.slots for p in plans], per_shard, seed)
-    first = np.vstack([np.zeros((1, len(plans)), np.int64), np.cumsum(counts, axis=0)])
-    runs = [(k, i, int(first[k, i]), int(counts[k, i])) for k in range(len(counts)) for i in range(len(plans)) if counts[k, i]]
-    if not runs:
+def _slots(docs: DataFrame, plans: list[Plan], seed: int, shard_slots: int, draws: int, cap: int) -> DataFrame:
+    """shard (group and number in it), source, slot, pass, block: the slots of all shards and the blocks that they take."""
+    spark, schema = docs.sparkSession, "group bigint, shard bigint, source string, slot bigint, pass int, block bigint"
+    owed = [p.owed for p in plans]
+    sizes = group_sizes(round(sum(owed)), shard_slots, draws)
+    if not sizes:
         return spark.createDataFrame([], schema)
-    facts = [(p.source, p.blocks, p.slots, p.cut) for p in plans]
+    counts = drawn_counts(owed, [cap * p.blocks for p in plans], sizes, seed)
+    first = np.vstack([np.zeros((1, len(plans)), np.int64), np.cumsum(counts, axis=0)])
+    facts = [(p.source, p.blocks) for p in plans]
 
     def run(batches):
         for batch in batches:
-            for shard, i, begin, n in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                source, blocks, slots, cut = facts[i]
-                for a in range(begin, begin + n, 1 << 16):
-                    slot = np.arange(a, min(a + (1 << 16), begin + n))
-                    turn, block = slot // blocks, np.empty(len(slot), np.int64)
-                    for t in np.unique(turn):
-                        at = turn == t
-                        block[at] = permuted(slot[at] % blocks, blocks, _keys(source, int(t), seed))
-                    words = np.full(len(slot), np.iinfo(np.int64).max)
-                    words[slot == slots - 1] = cut
-                    yield pa.RecordBatch.from_arrays(
-                        [pa.array(np.full(len(slot), shard)), pa.array([source] * len(slot), pa.string()), pa.array(slot), pa.array(turn.astype(np.int32)), pa.array(block), pa.array(words)],
-                        ["shard", "source", "slot", "pass", "block", "words"],
-                    )
-
-    table = spark.createDataFrame(runs, "shard bigint, i int, begin bigint, n bigint")
-    return table.repartition(max(1, min(len(runs), int(spark.conf.get("spark.sql.shuffle.partitions"))))).mapInArrow(run, schema)
-
-
-def segments(layout: DataFrame, plans: list[Plan], block: int = BLOCK_WORDS, seed: int = SEED, shard_slots: int = SHARD_SLOTS) -> DataFrame:
+            for group, begins, some in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                at = list(begins)
+                for shard, row in enumerate(shards_of(np.array(some), shard_slots, [seed, group])):
+                    for i, n in enumerate(row.tolist()):
+                        if not n:
+                            continue
+                        source, blocks = facts[i]
+                        slot = np.arange(at[i], at[i] + n)
+                        at[i] += n
+                        turn, block = slot // blocks, np.empty(n, np.int64)
+                        for t in np.unique(turn):
+                            own = turn == t
+                            block[own] = permuted(slot[own] % blocks, blocks, _keys(source, int(t), seed))
+                        yield pa.RecordBatch.from_arrays(
+                            [pa.array(np.full(n, group)), pa.array(np.full(n, shard)), pa.array([source] * n, pa.string()), pa.array(slot), pa.array(turn.astype(np.int32)), pa.array(block)],
+                            ["group", "shard", "source", "slot", "pass", "block"],
+                        )
+
+    rows = [(k, first[k].tolist(), counts[k].tolist()) for k in range(len(sizes))]
+    table = spark.createDataFrame(rows, "group bigint, begins array<bigint>, counts array<bigint>")
+    return table.repartition(max(1, min(len(rows), int(spark.conf.get("spark.sql.shuffle.partitions"))))).mapInArrow(run, schema)
+
+
+def segments(layout: DataFrame, plans: list[Plan], block: int = BLOCK_WORDS, seed: int = SEED, shard_slots: int = SHARD_SLOTS, draws: int = DRAWS, cap: int = CAP) -> DataFrame:
     """The mix: one row for each piece of a document in a slot of a shard.
 
-    shard, place (the slot's order in the shard), pass, slot, then the document's columns of `laid_out`, and first_word and n_words.
+    group and shard, place (the slot's order in the shard), pass, slot, then the document's columns of `laid_out`, and first_word and n_words.
     """
     pieces = layout.where("size > 0").withColumn("block", F.explode(F.sequence(F.floor(F.col("begin") / block), F.floor((F.col("begin") + F.col("size") - 1) / block))))
     edge = F.col("block") * block
     pieces = pieces.withColumns({"from": F.greatest(F.col("begin"), edge), "to": F.least(F.col("begin") + F.col("size"), edge + block)})
     # the planner sees the few rows that slots are made of, not the slots: a broadcast would grow with the words
-    slots = _slots(layout, plans, seed, shard_slots).hint("merge")
+    slots = _slots(layout, plans, seed, shard_slots, draws, cap).hint("merge")
     joined = pieces.alias("p").join(slots.alias("s"), F.col("p.source").eqNullSafe(F.col("s.source")) & (F.col("p.block") == F.col("s.block")))
-    n = F.least(F.col("to"), F.when(F.col("words") < block, edge_of("p.block", block) + F.col("words")).otherwise(F.col("to"))) - F.col("from")
     return joined.select(
+        "group",
         "shard",
         F.xxhash64(F.lit(seed), F.col("s.source"), F.col("slot")).alias("place"),
         "pass",
@@ -203,19 +230,24 @@ def segments(layout: DataFrame, plans: list[Plan], block: int = BLOCK_WORDS, see
         "size",
         "begin",
         (F.col("from") - F.col("begin")).alias("first_word"),
-        n.alias("n_words"),
-    ).where("n_words > 0")
+        (F.col("to") - F.col("from")).alias("n_words"),
+    )
+
 
+_MIX = ("block", "seed", "shard_slots", "draws", "cap")
 
-def edge_of(name: str, block: int) -> Column:
-    return F.col(name) * block
+
+def _mix(docs: DataFrame, options: dict, **columns) -> tuple[DataFrame, DataFrame, list[Plan]]:
+    """The layout, the mix and the plans."""
+    ship(docs.sparkSession)
+    layout, plans = laid_out(docs, **columns, **{k: v for k, v in options.items() if k not in ("shard_slots", "draws")})
+    layout = saved(layout, "mix-layout")
+    return layout, segments(layout, plans, **{k: v for k, v in options.items() if k in _MIX}), plans
 
 
 def taken(docs: DataFrame, **options) -> DataFrame:
     """One row per document: doc_id, source, size, source_size, target and taken."""
-    layout, plans = laid_out(docs, **options)
-    layout = saved(layout, "mix-layout")
-    mix = segments(layout, plans, options.get("block", BLOCK_WORDS), options.get("seed", SEED))
+    layout, mix, plans = _mix(docs, options)
     sums = mix.groupBy("source", "begin").agg(F.sum("n_words").alias("taken"))
     facts = docs.sparkSession.createDataFrame([(p.source, p.size, p.target) for p in plans], "source string, source_size bigint, target double")
     out = layout.alias("l").join(sums.alias("t"), F.col("l.source").eqNullSafe(F.col("t.source")) & (F.col("l.begin") == F.col("t.begin")) & (F.col("l.size") > 0), "left")
@@ -241,25 +273,46 @@ def _cut(text: str, pieces: list[tuple[int, int]], size: int) -> str:
     return "\n".join(text[at[a][0] : at[b - 1][1]] for a, b in merged)
 
 
+def _with_rows(docs: DataFrame, parts: DataFrame, doc_id: str, text: str, source: str, *more: str) -> DataFrame:
+    """The rows of docs (a struct `row`) with the columns `more` of parts, by id, source, text and the number among equal ones."""
+    rows = docs.select(F.struct(*[docs[c].alias(f"c{i}") for i, c in enumerate(docs.columns)]).alias("row"), F.col(doc_id).alias("k_id"), F.col(source).alias("k_source"), F.xxhash64(F.coalesce(F.col(text), F.lit(""))).alias("k_text"))
+    rows = rows.withColumn("k_copy", F.row_number().over(Window.partitionBy("k_id", "k_source", "k_text").orderBy(F.lit(0))))
+    on = F.col("k_id").eqNullSafe(F.col("doc_id")) & F.col("k_source").eqNullSafe(F.col("source")) & (F.col("k_text") == F.col("text_key")) & (F.col("k_copy") == F.col("copy"))
+    return rows.join(parts, on).select("row", *more)
+
+
+def packed(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str = "source", **options) -> DataFrame:
+    """The output shards themselves: group, shard, place, source, n_words and text of each slot, the words of a block joined by spaces."""
+    _, mix, _ = _mix(docs, options, doc_id=doc_id, text=text, source=source)
+    names, at = docs.columns, docs.columns.index(text)
+    keys = ["doc_id", "source", "text_key", "copy"]
+    parts = mix.groupBy(*keys).agg(F.collect_list(F.struct("group", "shard", "place", "slot", "begin", "first_word", "n_words")).alias("parts"))  # a document's own slots
+    joined = _with_rows(docs, parts, doc_id, text, source, "parts").select(F.col("row")[f"c{at}"].alias("text"), F.col("row")[f"c{names.index(source)}"].alias("source"), "parts")
+    words = F.array_remove(F.split(F.coalesce(F.col("text"), F.lit("")), r"[\x20\x09-\x0D]+"), "")
+    pieces = joined.withColumn("words", words).select("source", "words", F.inline("parts"))
+    pieces = pieces.select("group", "shard", "place", "source", "slot", (F.col("begin") + F.col("first_word")).alias("at"), "n_words", F.array_join(F.slice("words", F.col("first_word").cast("int") + 1, F.col("n_words").cast("int")), " ").alias("piece"))
+    slots = pieces.groupBy("group", "shard", "place", "source", "slot").agg(F.sum("n_words").alias("n_words"), F.sort_array(F.collect_list(F.struct("at", "piece"))).alias("pieces"))  # a block's own pieces
+    return slots.select("group", "shard", "place", "source", "n_words", F.array_join(F.transform("pieces", lambda p: p["piece"]), " ").alias("text"))
+
+
+def write_shards(docs: DataFrame, path: str, **options) -> None:
+    """The output shards as folders by group; a shard's slots stand together, in their order."""
+    out = packed(docs, **options)
+    out.repartition("group", "shard").sortWithinPartitions("group", "shard", "place").write.mode("overwrite").partitionBy("group").parquet(path)
+
+
 def mixed_documents(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str = "source", n_chars: str = "n_chars", **options) -> DataFrame:
     """The mix as documents: a row for each pass that takes words of a document, with the words that it takes.
 
     A document that is taken more than once (its source is short of its target) has a row for each time; one of which
     nothing is taken has none. Whole documents keep their text; of others the taken words stay, a new line between parts.
-    Text lengths in n_chars follow. The columns are those of docs.
+    Text lengths in n_chars follow. Rows with equal ids are mixed one by one. The columns are those of docs.
     """
-    layout, plans = laid_out(docs, doc_id, text, source, **options)
-    layout = saved(layout, "mix-layout")
-    mix = segments(layout, plans, options.get("block", BLOCK_WORDS), options.get("seed", SEED))
+    _, mix, _ = _mix(docs, options, doc_id=doc_id, text=text, source=source)
     parts = mix.groupBy("doc_id", "source", "text_key", "copy", "pass", "size").agg(F.collect_list(F.struct("first_word", "n_words")).alias("parts"))
     names = docs.columns
-    rows = docs.select(F.struct(*[docs[c] for c in names]).alias("row"), F.col(doc_id).alias("k_id"), F.col(source).alias("k_source"), F.xxhash64(F.coalesce(F.col(text), F.lit(""))).alias("k_text"))
-    rows = rows.withColumn("k_copy", F.row_number().over(Window.partitionBy("k_id", "k_source", "k_text").orderBy(F.lit(0))))
-    joined = rows.join(
-        parts,
-        F.col("k_id").eqNullSafe(F.col("doc_id")) & F.col("k_source").eqNullSafe(F.col("source")) & (F.col("k_text") == F.col("text_key")) & (F.col("k_copy") == F.col("copy")),
-    ).select("row", "parts", "size")
-    flat = joined.select(*[F.col("row")[c].alias(f"c{i}") for i, c in enumerate(names)], "parts", "size")
+    joined = _with_rows(docs, parts, doc_id, text, source, "parts", "size")
+    flat = joined.select(*[F.col("row")[f"c{i}"].alias(f"c{i}") for i in range(len(names))], "parts", "size")
     at_text, at_chars = names.index(text), names.index(n_chars) if n_chars in names else None
 
     def run(batches):

@@ -43,27 +43,76 @@ def test_permutation(n):
     assert sorted(images.tolist()) == list(range(n)) and mixing.permuted(images, n, [3, 5, 7, 9], back=True).tolist() == list(range(n))
 
 
-def test_mix(spark):
+def mix_case():
     rng = random.Random(1)
     texts = [(i, words(rng, rng.choice([0, 1, 30, 400, 3000]))) for i in range(60)] + [(None, "a b c"), (5, None), (7, "same text"), (7, "same text")]
-    sources = [rng.choice(["x", "y", None, "z"]) for _ in texts]
+    return texts, [rng.choice(["x", "y", None, "z"]) for _ in texts]
+
+
+def test_draws():
+    sizes = mixing.group_sizes(100_000, 1024, 16)
+    assert sum(sizes) == 100_000 and sizes[-1] <= mixing.LAST and len(sizes) < 16 + 20 and mixing.group_sizes(0, 8, 4) == []
+    owed = [50_000.0, 30_000.0, 20_000.0, 0.0]
+    rows = [mixing.drawn_counts(owed, [60_000, 60_000, 20_000, 9], sizes, seed) for seed in (1, 2)]
+    for r in rows:
+        assert r.sum(1).tolist() == sizes and (r.sum(0) <= [60_000, 60_000, 20_000, 9]).all() and np.abs(r.sum(0) - owed).max() <= 16
+        assert np.abs(r[0] / sizes[0] - [0.5, 0.3, 0.2, 0]).max() < 0.03
+    assert (rows[0] != rows[1]).any() and (rows[0].sum(0) != rows[1].sum(0)).any()
+    shards = mixing.shards_of(rows[0][0], 1024, [1, 0])
+    assert shards.sum(0).tolist() == rows[0][0].tolist() and (shards.sum(1)[:-1] == 1024).all()
+
+
+def test_mix(spark):
+    texts, sources = mix_case()
     docs = table(spark, texts, sources)
-    rows = mixing.taken(docs).collect()
-    assert len(rows) == len(texts) and sorted(map(str, rows)) == sorted(map(str, mixing.taken(docs).collect()))
+    options = {"block": 16, "shard_slots": 64, "draws": 8}
+    rows = mixing.taken(docs, **options).collect()
+    assert len(rows) == len(texts) and sorted(map(str, rows)) == sorted(map(str, mixing.taken(docs, **options).collect()))
     total, targets = Counter(), {}
     for r in rows:
         assert 0 <= r["taken"] <= 3 * r["size"]
         total[r["source"]] += r["taken"]
         targets[r["source"]] = r["target"]
-    assert all(abs(total[s] - t) <= 1 for s, t in targets.items())
-    mixed = mixing.mixed_documents(docs)
+    assert all(abs(total[s] - t) <= 20 * 16 for s, t in targets.items())
+    assert sorted(map(str, rows)) != sorted(map(str, mixing.taken(docs, **options, seed=5).collect()))
+    mixed = mixing.mixed_documents(docs, **options)
     assert mixed.columns == docs.columns
     by = Counter()
     for r in mixed.collect():
         by[r["source"]] += len(r["text"].split())
         assert r["n_chars"] == len(r["text"])
     assert by == +total
-    assert mixing.taken(docs.limit(0)).count() == 0 and mixing.mixed_documents(docs.limit(0)).count() == 0
+    slots = mixing.packed(docs, **options).collect()
+    assert sum(len(r["text"].split()) for r in slots) == sum(r["n_words"] for r in slots) == sum(total.values())
+    assert max(r["n_words"] for r in slots) == 16 and len({(r["group"], r["shard"], r["place"]) for r in slots}) == len(slots)
+    for empty in (docs.limit(0),):
+        assert mixing.taken(empty).count() == 0 and mixing.mixed_documents(empty).count() == 0 and mixing.packed(empty).count() == 0
+
+
+def test_mix_row_by_row(spark):
+    """Streams, blocks, draws and permutations followed word by word in plain Python, on the same order of documents."""
+    texts, sources = mix_case()
+    docs, block, seed = table(spark, texts, sources), 16, mixing.SEED
+    layout, plans = mixing.laid_out(docs, block=block)
+    placed = sorted(((r["source"], r["begin"], r["size"], r["doc_id"]) for r in layout.collect() if r["size"]), key=lambda r: (r[0] or "", r[0] is None, r[1]))
+    streams = {}
+    for source, begin, size, doc_id in placed:
+        stream = streams.setdefault(source, [])
+        assert begin == len(stream)  # documents tile their source's stream
+        stream += [(doc_id, begin)] * size
+    want = Counter()
+    sizes = mixing.group_sizes(round(sum(p.owed for p in plans)), 64, 8)
+    counts = mixing.drawn_counts([p.owed for p in plans], [3 * p.blocks for p in plans], sizes, seed).sum(0)
+    for p, n in zip(plans, counts.tolist(), strict=True):
+        for slot in range(n):
+            b = int(mixing.permuted(np.array([slot % p.blocks]), p.blocks, mixing._keys(p.source, slot // p.blocks, seed))[0])
+            for doc_id, begin in streams[p.source][b * block : (b + 1) * block]:
+                want[p.source, doc_id, begin] += 1
+    mix = mixing.segments(layout, plans, block, seed, 64, 8)
+    got = Counter()
+    for r in mix.collect():
+        got[r["source"], r["doc_id"], r["begin"]] += r["n_words"]
+    assert got == want
 
 
 # ---- neighbours
