@@ -1,12 +1,14 @@
-"""Approximate nearest neighbours by inner product: a robust-pruned directed graph for each shard.
+"""Approximate nearest neighbours by inner product: robust-pruned directed graphs for each shard.
 
-Vectors are dealt by hash into shards of bounded size. In a shard, points are inserted in batches: greedy searches from
-the entry point propose neighbours, pruning keeps a neighbour only if no nearer one already kept is closer to it by the
+Vectors are dealt by hash into shards of bounded bytes, and within a shard into ranges of nearly equal length, by the factor
+NORM_STEP. In a range, points are inserted in batches: greedy searches from the entry point propose neighbours, pruning keeps a neighbour only if no nearer one already kept is closer to it by the
 factor alpha, and edges are also added backwards and pruned again where a point has too many. A second pass with the
-relaxed factor makes long edges. Inner products become distances by one more coordinate, sqrt(m^2 - |x|^2). All searches
+relaxed factor makes long edges. Inner products become distances by one more coordinate, sqrt(m^2 - |x|^2), which stays small as lengths in a
+range differ little. Ranges of up to SCANNED points need no graph: they are compared whole, neighbouring ranges together. All searches
 of a batch move in step, as numpy arrays. Rows whose vectors agree in single precision are one point of the graph, so that
 copies take no edges from each other; a point that is found stands for all its rows. Every shard answers every block of queries by beam search, in one row of an
-equi-join on the shard's number, and the answers are ranked again by exact inner products in double precision.
+equi-join on the shard's number: its ranges are searched from the longest vectors down, and a range is left out for queries whose
+results so far no vector of its length can better. The answers are ranked again by exact inner products in double precision.
 
 Defined results: vectors that are null, zero, or hold nulls or non-finite values, and rows with a null id, take no part;
 vectors of another length are no candidates of a query; rows that share the query's id are not its candidates; equal
@@ -23,9 +25,13 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import saved
+from .common import saved, ship
 
-SHARD_ROWS, DEGREE, BUILD_BEAM, SEARCH_BEAM, ALPHA, QUERY_BLOCK = 4096, 32, 64, 192, 1.2, 2048
+#: A shard's vectors have so many bytes at most in double precision (16,384 rows of 64 numbers).
+SHARD_BYTES = 8 << 20
+DEGREE, BUILD_BEAM, SEARCH_BEAM, ALPHA, QUERY_BLOCK = 32, 64, 192, 1.2, 2048
+#: Lengths within a range differ by this factor at most; so many points are compared without a graph.
+NORM_STEP, SCANNED = 1.15, 512
 _BATCH, _WIDTH, _ROWS = 256, 4, 1 << 16
 
 
@@ -148,10 +154,27 @@ def points_of(vectors: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return vectors[first], number
 
 
-def packed_graph(vectors: np.ndarray, *options) -> tuple[bytes, int]:
-    """The graph over a shard's points as bytes, and its entry."""
-    graph, entry = build(lifted(points_of(vectors)[0]), *options)
-    return graph.astype(np.int32).tobytes(), entry
+def ranges_of(points: np.ndarray) -> tuple[np.ndarray, list[tuple[int, int, bool]]]:
+    """The order of the points from the longest down, and the ranges in it: begin, end, and whether it has a graph."""
+    norm = np.sqrt((points**2).sum(1))
+    order = np.argsort(-norm, kind="stable")
+    step = np.floor(np.log(norm[order]) / np.log(NORM_STEP))
+    cuts = np.concatenate([[0], np.flatnonzero(np.diff(step)) + 1, [len(order)]]).tolist()
+    out: list[tuple[int, int, bool]] = []
+    for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+        if out and not out[-1][2] and b - out[-1][0] <= SCANNED:
+            out[-1] = (out[-1][0], b, False)
+        else:
+            out.append((a, b, b - a > SCANNED))
+    return order, out
+
+
+def packed_graph(vectors: np.ndarray, *options) -> tuple[bytes, bytes]:
+    """The graphs over a shard's ranges as bytes, one after the other, and their entries."""
+    points, _ = points_of(vectors)
+    order, ranges = ranges_of(points)
+    built = [build(lifted(points[order[a:b]]), *options) for a, b, large in ranges if large]
+    return b"".join(g.astype(np.int32).tobytes() for g, _ in built), np.array([e for _, e in built], np.int64).tobytes()
 
 
 def usable(vector: Column) -> Column:
@@ -171,14 +194,14 @@ def _packed(rows: DataFrame, keys: list[str], work) -> DataFrame:
         extra, entry = work(vectors)
         return pd.DataFrame({**{k: [int(pdf[k].iloc[0])] for k in keys}, "ids": [pdf["vec_id"].to_numpy(np.int64).tobytes()], "vectors": [vectors.tobytes()], "graph": [extra], "entry": [entry]})
 
-    return rows.groupBy(*keys).applyInPandas(run, ", ".join(f"{k} bigint" for k in keys) + ", ids binary, vectors binary, graph binary, entry bigint")
+    return rows.groupBy(*keys).applyInPandas(run, ", ".join(f"{k} bigint" for k in keys) + ", ids binary, vectors binary, graph binary, entry binary")
 
 
-def indexed(rows: DataFrame, shard_rows: int = SHARD_ROWS, degree: int = DEGREE, beam: int = BUILD_BEAM, alpha: float = ALPHA) -> tuple[DataFrame, dict[int, int]]:
-    """The index of all rows (vec_id, vector, width), one row per shard, and the number of shards for each width of vectors."""
-    shards = {r["width"]: math.ceil(r["n"] / shard_rows) for r in rows.groupBy("width").agg(F.count(F.lit(1)).alias("n")).collect()}  # one row per width
+def indexed(rows: DataFrame, shard_rows: int | None = None, degree: int = DEGREE, beam: int = BUILD_BEAM, alpha: float = ALPHA) -> tuple[DataFrame, dict[int, int]]:
+    """The index of all rows (vec_id, vector, width), one row per shard, and the number of shards for each width of vectors. shard_rows: rows of a shard, in place of SHARD_BYTES."""
+    shards = {r["width"]: math.ceil(r["n"] / (shard_rows or max(SCANNED, SHARD_BYTES // (8 * r["width"])))) for r in rows.groupBy("width").agg(F.count(F.lit(1)).alias("n")).collect()}  # one row per width
     if not shards:
-        return rows.sparkSession.createDataFrame([], "width bigint, shard bigint, ids binary, vectors binary, graph binary, entry bigint"), shards
+        return rows.sparkSession.createDataFrame([], "width bigint, shard bigint, ids binary, vectors binary, graph binary, entry binary"), shards
     dealt = rows.withColumn("shard", F.pmod(F.xxhash64("vec_id", F.lit("shard")), _by_width(shards)))
 
     total = max(sum(shards.values()), 1)
@@ -192,17 +215,18 @@ def _by_width(numbers: dict[int, int]) -> Column:
     return out
 
 
-def nearest(table: DataFrame, is_query: Column, k: int = 20, vec_id: str = "vec_id", vector: str = "embedding", search_beam: int = SEARCH_BEAM, shard_rows: int = SHARD_ROWS, query_block: int = QUERY_BLOCK) -> DataFrame:
+def nearest(table: DataFrame, is_query: Column, k: int = 20, vec_id: str = "vec_id", vector: str = "embedding", search_beam: int = SEARCH_BEAM, shard_rows: int | None = None, query_block: int = QUERY_BLOCK) -> DataFrame:
     """query_id, rank (from 1), vec_id, score of the k nearest rows found for each query row; is_query is over the column vec_id."""
     rows = table.select(F.col(vec_id).cast("bigint").alias("vec_id"), F.col(vector).alias("vector")).where(F.col("vec_id").isNotNull() & usable(F.col("vector")))
     rows = rows.withColumns({"vector": F.col("vector").cast("array<double>"), "width": F.size("vector").cast("bigint")})
+    ship(table.sparkSession)
     index, shards = indexed(rows, shard_rows)
     schema = "query_id bigint, vec_id bigint, score double"
     asked = rows.where(is_query)
     counts = {r["width"]: math.ceil(r["n"] / query_block) for r in asked.groupBy("width").agg(F.count(F.lit(1)).alias("n")).collect()}  # one row per width
     if counts:
         blocks = asked.withColumn("block", F.pmod(F.xxhash64("vec_id", F.lit("query")), _by_width(counts)))
-        blocks = _packed(blocks, ["width", "block"], lambda v: (b"", 0)).select("width", "block", F.col("ids").alias("q_ids"), F.col("vectors").alias("q_vectors"))
+        blocks = _packed(blocks, ["width", "block"], lambda v: (b"", b"")).select("width", "block", F.col("ids").alias("q_ids"), F.col("vectors").alias("q_vectors"))
         blocks = blocks.withColumn("shard", F.explode(F.sequence(F.lit(0).cast("bigint"), _by_width(shards) - 1)))
         tasks = sum(counts[w] * shards[w] for w in counts)
         pairs = blocks.join(index, ["width", "shard"]).repartition(2 * tasks, "width", "shard", "block")
@@ -223,9 +247,9 @@ def _answers(row: dict, k: int, search_beam: int):
     width = row["width"]
     ids, data = np.frombuffer(row["ids"], np.int64), np.frombuffer(row["vectors"]).reshape(-1, width)
     points, number = points_of(data)
-    graph = np.frombuffer(row["graph"], np.int32).reshape(len(points), -1).astype(np.int64)
+    order, ranges = ranges_of(points)
+    graph, entries = np.frombuffer(row["graph"], np.int32), np.frombuffer(row["entry"], np.int64).tolist()
     q_ids, queries = np.frombuffer(row["q_ids"], np.int64), np.frombuffer(row["q_vectors"]).reshape(-1, width)
-    high, beam = lifted(points), min(max(search_beam, 2 * k), len(points))
     # the rows of each point: of equal vectors only those of the least ids can be among the best, besides the query's own
     same = alike(data)[1]
     by = np.argsort(same, kind="stable")
@@ -235,14 +259,47 @@ def _answers(row: dict, k: int, search_beam: int):
     rows = rows[np.argsort(number[rows], kind="stable")]
     begin = np.searchsorted(number[rows], np.arange(len(points) + 1))
     # one length for all queries: the order by distance doesn't depend on it
-    scale = np.sqrt((queries**2).sum(1))[:, None]
-    flat = np.concatenate([queries / scale, np.zeros((len(queries), 1))], 1).astype(np.float32)
+    length = np.sqrt((queries**2).sum(1))
+    flat = np.concatenate([queries / length[:, None], np.zeros((len(queries), 1))], 1).astype(np.float32)
+    large = sum(b - a for a, b, has in ranges if has)
+    degree, at, parts = len(graph) // large if large else 0, 0, []
+    for a, b, has in ranges:
+        some = points[order[a:b]]
+        links = graph[at : at + (b - a) * degree].reshape(b - a, degree).astype(np.int64) if has else None
+        at += (b - a) * degree if has else 0
+        parts.append((order[a:b], some, np.sqrt((some**2).sum(1).max()), links, entries.pop(0) if has else 0, lifted(some) if has else None))
     for a in range(0, len(queries), _BATCH):
-        found, _ = beam_search(high, graph, row["entry"], flat[a : a + _BATCH], beam)
-        count = np.where(found >= 0, begin[found + 1] - begin[found], 0)
-        part = np.cumsum(count.sum(1)) // _ROWS
-        for b, e in zip(*(np.searchsorted(part, np.unique(part), side=x).tolist() for x in ("left", "right")), strict=True):
-            yield _best(ids, data, rows, begin[found[b:e]], count[b:e], q_ids[a + b : a + e], queries[a + b : a + e], k)
+        yield from _batch(ids, data, rows, begin, parts, flat[a : a + _BATCH], q_ids[a : a + _BATCH], queries[a : a + _BATCH], length[a : a + _BATCH], k, search_beam)
+
+
+def _batch(ids, data, rows, begin, parts, flat, own, queries, length, k, search_beam):
+    """The k best rows of some queries, over all ranges of a shard."""
+    q = len(queries)
+    found = [np.zeros((q, 0), np.int64)]
+    # the (k + 2)nd best score so far: two points may be the query's own or hold no row for it
+    best = np.full((q, k + 2), -np.inf)
+    for at, some, most, links, entry, high in parts:
+        left = np.flatnonzero(best[:, -1] < length * most * (1 + 1e-6))
+        if not len(left):
+            break
+        if links is None:
+            score = queries[left] @ some.T
+            chosen = np.argsort(-score, axis=1, kind="stable")[:, : max(search_beam, 2 * k)]
+        else:
+            chosen, _ = beam_search(high, links, entry, flat[left], min(max(search_beam, 2 * k), len(some)))
+            score = None
+        new = np.full((q, chosen.shape[1]), -1, np.int64)
+        new[left] = np.where(chosen >= 0, at[chosen], -1)
+        exact = np.full((q, chosen.shape[1]), -np.inf)
+        values = np.take_along_axis(score, chosen, 1) if score is not None else np.einsum("ijk,ik->ij", some[chosen], queries[left])
+        exact[left] = np.where(chosen >= 0, values, -np.inf)
+        found.append(new)
+        best = -np.sort(-np.concatenate([best, exact], axis=1), axis=1)[:, : k + 2]
+    points = np.concatenate(found, axis=1)
+    count = np.where(points >= 0, begin[points + 1] - begin[points], 0)
+    part = np.cumsum(count.sum(1)) // _ROWS
+    for b, e in zip(*(np.searchsorted(part, np.unique(part), side=x).tolist() for x in ("left", "right")), strict=True):
+        yield _best(ids, data, rows, begin[points[b:e]], count[b:e], own[b:e], queries[b:e], k)
 
 
 def _best(ids: np.ndarray, data: np.ndarray, rows: np.ndarray, begin: np.ndarray, count: np.ndarray, own: np.ndarray, queries: np.ndarray, k: int) -> pa.RecordBatch:

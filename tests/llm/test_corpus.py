@@ -157,6 +157,21 @@ def shard_recall(data, k=20):
     return sum(s >= least[q] - 1e-9 * abs(least[q]) for q, _, s in got) / len(got)
 
 
+@pytest.mark.parametrize("kind", ["unit", "gaussian", "unequal", "outlier", "copies"])
+def test_recall_of_a_large_shard(kind):
+    rng = np.random.default_rng(4)
+    data = rng.normal(size=(4096, 64))
+    if kind != "gaussian":
+        data /= np.sqrt((data**2).sum(1))[:, None]
+    if kind == "unequal":
+        data *= np.exp(rng.normal(size=(4096, 1)))
+    if kind == "outlier":
+        data[77] *= 1e4
+    if kind == "copies":
+        data[rng.permutation(4096)[:1400]] = data[5]
+    assert shard_recall(data) >= 0.95
+
+
 @pytest.mark.parametrize("kind", ["many", "one", "near"])
 def test_recall_with_copies(kind):
     rng = np.random.default_rng(0)
