@@ -3,7 +3,8 @@
 A text is lower-cased (A-Z) and reduced to its words (letters, digits and all non-ASCII characters) with one space
 between them. A notice with at most k edits, cut into k + 1 pieces, has at least one piece unharmed, so exact
 occurrences of the pieces (seeds) give all places where it can stand; there the regex library's bounded-error matching
-decides, counts the edits and gives the span.
+decides, counts the edits and gives the span. A place goes to the matcher only if the letters around it could make the notice:
+each edit supplies one letter at most, so a window that lacks more than k of the notice's letters (counted with repeats) holds no match.
 
 Defined results: a null or empty text has no words and no spans; the whole of a long text is searched; repeated rows are
 scanned alike; other columns pass through, and `spans` or `n_words` are replaced.
@@ -11,6 +12,7 @@ scanned alike; other columns pass through, and `spans` or `n_words` are replaced
 
 from __future__ import annotations
 
+from collections import Counter
 from dataclasses import dataclass
 from functools import lru_cache
 
@@ -71,6 +73,7 @@ class Scanner:
         import regex
 
         self.phrases = [(b" " + p.encode() + b" ", label, len(p.split())) for p, label in (PHRASES if phrases is None else phrases).items()]
+        self.letters = {n: [(bytes([c]), k) for c, k in sorted(Counter(n.text.encode()).items())] for n in notices}
         self.notices = [(n, seeds(n), regex.compile(f"(?b)(?:{regex.escape(n.text)}){{e<={n.edits}}}")) for n in notices]
 
     @staticmethod
@@ -81,6 +84,16 @@ class Scanner:
             at = hay.find(needle, at + 1)
         return out
 
+    def _able(self, hay: bytes, window: tuple[int, int], notice: Notice) -> bool:
+        """Whether the window lacks no more letters of the notice than it may have edits."""
+        lacking = 0
+        for letter, n in self.letters[notice]:
+            if (have := hay.count(letter, *window)) < n:
+                lacking += n - have
+                if lacking > notice.edits:
+                    return False
+        return True
+
     @staticmethod
     def _matches(pattern, piece: str) -> list:
         """The best match of a window, then the best ones of what stands before and after it, and so on."""
@@ -103,7 +116,7 @@ class Scanner:
         for notice, parts, pattern in self.notices:
             size, k, windows = len(notice.text), notice.edits, []  # an edit may be a character of four bytes
             for offset, seed in parts:
-                windows += [(max(0, at - offset - 4 * k), at - offset + size + 4 * k) for at in self._places(padded, seed)]
+                windows += [w for at in self._places(padded, seed) if self._able(padded, w := (max(0, at - offset - 4 * k), at - offset + size + 4 * k), notice)]
             if not windows:
                 continue
             windows.sort()
