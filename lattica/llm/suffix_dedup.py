@@ -4,6 +4,8 @@
    window can only be repeated among those with its key. Runs of windows with one key are segments (of a document).
 2. Segments are counted by key. A segment whose bytes occur twice or more is repeated as a whole. Where a key has segments
    of different bytes, or a gram comes back within a document, one copy of each distinct segment is sorted.
+   A key with many distinct segments (a passage that stands in many surroundings) is divided: its windows take the next least
+   grams into their keys, as many as the count asks for, and equal windows still agree in them.
 3. Shards of segments, by key, go through the external induced sort, which gives the windows that share their whole length
    with a neighbour in suffix order. All windows of a key are in one shard, so nothing crosses shards.
 4. Each document gets the ranges of its repeated windows; their bytes are removed.
@@ -27,10 +29,12 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import local_path, saved, shared_root
+from .common import local_path, saved, shared_root, ship
 from .induced_sort import InducedSorter
 
 LENGTH, GRAM = 200, 32
+#: Distinct segments that a key may have before its windows are divided by more grams, and by how much each gram is reckoned to divide.
+HOT_SEGMENTS, DIVIDED_BY = 64, 8
 _U = np.uint64
 _SLICE = 1 << 18
 
@@ -94,6 +98,23 @@ def segments_of(texts: list[bytes], length: int = LENGTH, gram: int = GRAM) -> t
     return doc, begin, windows, key.view(np.int64), digest.view(np.int64), again
 
 
+def divided(raw: bytes, key: int, levels: int, length: int = LENGTH, gram: int = GRAM) -> list[tuple[int, int, int]]:
+    """begin, windows and key of the runs of a segment's windows that agree in the next `levels` least grams too."""
+    grams, inner, none = _gram_hashes(np.frombuffer(raw, np.uint8), gram), length - gram + 1, _U(2**64 - 1)
+    runs = [(0, len(raw) - length + 1, _U(key & (2**64 - 1)), [_U(key & (2**64 - 1))])]
+    for _ in range(levels):
+        out = []
+        for begin, n, named, used in runs:
+            some = grams[begin : begin + n + inner - 1]
+            least = _sliding(np.where(np.isin(some, used), none, some), inner, np.minimum)
+            cuts = np.concatenate([[0], np.flatnonzero(least[1:] != least[:-1]) + 1, [n]]).tolist()
+            for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+                with np.errstate(over="ignore"):
+                    out.append((begin + a, b - a, (named ^ least[a]) * _U(0x9E3779B97F4A7C15) + _U(1), [*used, least[a]]))
+        runs = out
+    return [(begin, n, int(named.astype(np.int64))) for begin, n, named, _ in runs]
+
+
 def _slices(batch: pa.RecordBatch, name: str) -> Iterator[tuple[pa.RecordBatch, list[bytes]]]:
     texts = [(t or "").encode() for t in batch.column(batch.schema.get_field_index(name)).to_pylist()]
     start = 0
@@ -119,9 +140,9 @@ def _segments(rows: DataFrame, length: int, gram: int) -> DataFrame:
     return rows.mapInArrow(run, "id bigint, mark bigint, begin bigint, windows int, key bigint, digest bigint, again boolean")
 
 
-def _with_bytes(wanted: DataFrame, rows: DataFrame, length: int) -> DataFrame:
-    """key, id, mark, begin, windows and bytes of the wanted segments."""
-    lists = wanted.groupBy("id", "mark").agg(F.collect_list(F.struct("begin", "windows", "key")).alias("parts"))  # a document's own segments
+def _with_bytes(wanted: DataFrame, rows: DataFrame, length: int, gram: int) -> DataFrame:
+    """key, id, mark, begin, windows and bytes of the wanted segments, those with `levels` divided."""
+    lists = wanted.groupBy("id", "mark").agg(F.collect_list(F.struct("begin", "windows", "key", "levels")).alias("parts"))  # a document's own segments
     joined = _on_document(rows, lists).select("id", "mark", "text", "parts")
 
     def run(batches):
@@ -130,7 +151,10 @@ def _with_bytes(wanted: DataFrame, rows: DataFrame, length: int) -> DataFrame:
                 out = []
                 for row in batch.slice(a, 64).to_pylist():
                     raw = (row["text"] or "").encode()
-                    out += [{"key": p["key"], "id": row["id"], "mark": row["mark"], "begin": p["begin"], "windows": p["windows"], "bytes": raw[p["begin"] : p["begin"] + p["windows"] + length - 1]} for p in row["parts"]]
+                    for p in row["parts"]:
+                        own = raw[p["begin"] : p["begin"] + p["windows"] + length - 1]
+                        for x, n, key in divided(own, p["key"], p["levels"], length, gram) if p["levels"] else [(0, p["windows"], p["key"])]:
+                            out.append({"key": key, "id": row["id"], "mark": row["mark"], "begin": p["begin"] + x, "windows": n, "bytes": own[x : x + n + length - 1]})
                 yield pa.RecordBatch.from_pylist(out, pa.schema([("key", pa.int64()), ("id", pa.int64()), ("mark", pa.int64()), ("begin", pa.int64()), ("windows", pa.int32()), ("bytes", pa.binary())]))
 
     return joined.mapInArrow(run, "key bigint, id bigint, mark bigint, begin bigint, windows int, bytes binary")
@@ -193,17 +217,19 @@ def spool_folder(spark: SparkSession) -> str | None:
 def repeated_ranges(rows: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
     """id, mark, begin and end of ranges of windows that begin elsewhere too. rows: id, mark, text."""
     spark = rows.sparkSession
+    ship(spark)
     found = saved(_segments(rows, length, gram), "segments")
     same = Window.partitionBy("key", "digest", "windows")
     alike = same.orderBy("id", "mark", "begin")
     # one shuffle by key serves both windows: the finer grouping is within the coarser
     counted = found.repartition("key").withColumns({"n": F.count(F.lit(1)).over(same), "any": F.max("again").over(same), "nth": F.row_number().over(alike)})
     whole = Window.partitionBy("key")
-    counted = counted.withColumns({"low": F.min("digest").over(whole), "high": F.max("digest").over(whole), "least": F.min("windows").over(whole), "most": F.max("windows").over(whole)})
+    counted = counted.withColumns({"low": F.min("digest").over(whole), "high": F.max("digest").over(whole), "least": F.min("windows").over(whole), "most": F.max("windows").over(whole), "distinct": F.count_if(F.col("nth") == 1).over(whole)})
     mixed = (F.col("low") != F.col("high")) | (F.col("least") != F.col("most")) | F.col("any")
-    counted = saved(counted.where((F.col("n") > 1) | mixed).select("id", "mark", "begin", "windows", "key", "n", (mixed & (F.col("nth") == 1)).alias("sort")), "segments-repeated")
+    levels = F.when(F.col("distinct") > HOT_SEGMENTS, F.ceil(F.log(F.col("distinct") / HOT_SEGMENTS) / F.log(F.lit(float(DIVIDED_BY))))).otherwise(0).cast("int")
+    counted = saved(counted.where((F.col("n") > 1) | mixed).select("id", "mark", "begin", "windows", "key", "n", (mixed & (F.col("nth") == 1)).alias("sort"), levels.alias("levels")), "segments-repeated")
     full = counted.where("n > 1").select("id", "mark", "begin", (F.col("begin") + F.col("windows")).alias("end"))
-    pieces = _with_bytes(counted.where("sort"), rows, length)
+    pieces = _with_bytes(counted.where("sort"), rows, length, gram)
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 1)
     return full.unionByName(_sorted_ranges(pieces.repartition(parts, "key"), length, spool_folder(spark)))
 
