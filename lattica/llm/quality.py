@@ -46,7 +46,7 @@ PRODUCTION = (
     Threshold("ellipsis_line_ratio", high=0.50),
     Threshold("bullet_line_ratio", high=0.90),
     Threshold("letter_word_ratio", low=0.60),
-    Threshold("stop_words", low=1),
+    Threshold("stop_word_ratio", low=0.01),
 )
 
 
@@ -83,33 +83,42 @@ def _covered(keys: Column) -> Column:
     return _bound(pairs, lambda s: _bound(places(s), union))
 
 
+def _free(docs: DataFrame, stem: str) -> str:
+    """A column name that the table doesn't have."""
+    while stem.lower() in {c.lower() for c in docs.columns}:
+        stem += "_"
+    return stem
+
+
 def measured(docs: DataFrame, text: str = "text") -> DataFrame:
     """Adds the measures to every row.
 
     n_words, word_chars, n_symbols, n_lines, n_dup_lines, n_repeat_words (bigint); mean_word_chars, symbol_ratio,
-    dup_line_ratio, repeat_ratio, ellipsis_line_ratio, bullet_line_ratio, letter_word_ratio, stop_words (double).
+    dup_line_ratio, repeat_ratio, ellipsis_line_ratio, bullet_line_ratio, letter_word_ratio, stop_word_ratio (double).
+    A stop word is a run of letters that is one in any of the languages, whatever its case; the ratio is by word.
     Two different windows of one text count as equal if their 64-bit hashes are, which for a text of n words has a
     probability below n * n / 2**65.
     """
     whole = F.coalesce(F.col(text), F.lit(""))
     stop = sorted({w for words in STOP_WORDS.values() for w in words})
-    step = docs.withColumn("_words", F.array_remove(F.split(whole, WORD_BREAK), ""))
-    step = step.withColumn("_lines", F.filter(F.split(whole, "\n"), lambda x: F.length(F.translate(x, SPACES, "")) > 0))
-    step = step.withColumn("n_words", F.size("_words").cast("bigint"))
-    step = step.withColumn("_keys", _windows(F.col("_words"), F.col("n_words").cast("int")))
-    n, lines = F.greatest(F.col("n_words"), F.lit(1)), F.greatest(F.size("_lines"), F.lit(1))
+    words, kept_lines, keys = (_free(docs, stem) for stem in ("_words", "_lines", "_keys"))
+    step = docs.withColumn(words, F.array_remove(F.split(whole, WORD_BREAK), ""))
+    step = step.withColumn(kept_lines, F.filter(F.split(whole, "\n"), lambda x: F.length(F.translate(x, SPACES, "")) > 0))
+    step = step.withColumn("n_words", F.size(words).cast("bigint"))
+    step = step.withColumn(keys, _windows(F.col(words), F.col("n_words").cast("int")))
+    n, lines = F.greatest(F.col("n_words"), F.lit(1)), F.greatest(F.size(kept_lines), F.lit(1))
     bare = F.translate(whole, SPACES, "")
     step = step.withColumns(
         {
             "word_chars": F.length(bare).cast("bigint"),
             "n_symbols": (F.length(whole) - F.length(F.translate(whole, SYMBOLS, ""))).cast("bigint"),
-            "n_lines": F.size("_lines").cast("bigint"),
-            "n_dup_lines": (F.size("_lines") - F.size(F.array_distinct("_lines"))).cast("bigint"),
-            "n_repeat_words": F.when(F.size(F.array_distinct("_keys")) == F.size("_keys"), F.lit(0).cast("bigint")).otherwise(_covered(F.col("_keys"))),
-            "ellipsis_line_ratio": F.size(F.filter("_lines", lambda x: F.rtrim(x).endswith("...") | F.rtrim(x).endswith("…"))) / lines,
-            "bullet_line_ratio": F.size(F.filter("_lines", lambda x: F.ltrim(x).rlike("^[-*•]"))) / lines,
+            "n_lines": F.size(kept_lines).cast("bigint"),
+            "n_dup_lines": (F.size(kept_lines) - F.size(F.array_distinct(kept_lines))).cast("bigint"),
+            "n_repeat_words": F.when(F.size(F.array_distinct(keys)) == F.size(keys), F.lit(0).cast("bigint")).otherwise(_covered(F.col(keys))),
+            "ellipsis_line_ratio": F.size(F.filter(kept_lines, lambda x: F.rtrim(x).endswith("...") | F.rtrim(x).endswith("…"))) / lines,
+            "bullet_line_ratio": F.size(F.filter(kept_lines, lambda x: F.ltrim(x).rlike("^[-*•]"))) / lines,
             "letter_word_ratio": F.regexp_count(whole, F.lit(r"(?<![^\x20\x09-\x0D])[^\x20\x09-\x0D\p{L}]*\p{L}")) / n,
-            "stop_words": F.size(F.array_intersect(F.split(F.lower(whole), r"[^\p{L}]+"), F.array(*map(F.lit, stop)))).cast("double"),
+            "stop_word_ratio": F.size(F.filter(F.split(F.lower(whole), r"[^\p{L}]+"), lambda x: x.isin(stop))) / n,
         }
     )
     step = step.withColumns(
@@ -120,7 +129,7 @@ def measured(docs: DataFrame, text: str = "text") -> DataFrame:
             "repeat_ratio": F.col("n_repeat_words") / n,
         }
     )
-    return step.drop("_words", "_lines", "_keys")
+    return step.drop(words, kept_lines, keys)
 
 
 def compiled(rules: tuple[Threshold, ...]) -> Column:
@@ -134,18 +143,14 @@ def compiled(rules: tuple[Threshold, ...]) -> Column:
     return out
 
 
-def base_failed() -> Column:
-    return (F.col("n_words") < 10) | (100 * F.col("n_repeat_words") > 20 * F.col("n_words"))
-
-
 def judged(docs: DataFrame, rules: tuple[Threshold, ...] = PRODUCTION, text: str = "text") -> DataFrame:
     """Adds the measures, base_failed and kept (false where the base fails, else the table's verdict)."""
-    out = measured(docs, text).withColumn("base_failed", base_failed())
+    out = measured(docs, text).withColumn("base_failed", ~compiled(BASE))
     return out.withColumn("kept", ~F.col("base_failed") & compiled(rules))
 
 
 def kept(docs: DataFrame, rules: tuple[Threshold, ...] = PRODUCTION, text: str = "text") -> DataFrame:
     """The documents that stay, with their own columns only (whatever their names)."""
-    whole = docs.select(F.col(text).alias("text"), F.struct(*[docs[c] for c in docs.columns]).alias("_row"))
+    whole = docs.select(F.col(text).alias("text"), F.struct(*[docs[c].alias(f"c{i}") for i, c in enumerate(docs.columns)]).alias("_row"))
     # a filter over the row's number stays above the projection, so that no measure is computed again inside it
-    return judged(whole, rules).withColumn("_nth", F.monotonically_increasing_id()).where(F.col("kept") & (F.col("_nth") >= 0)).select("_row.*")
+    return judged(whole, rules).withColumn("_nth", F.monotonically_increasing_id()).where(F.col("kept") & (F.col("_nth") >= 0)).select("_row.*").toDF(*docs.columns)

@@ -133,7 +133,7 @@ ORACLES = {
         WITH d AS (SELECT doc_id, coalesce(text, '') AS t FROM documents),
         w AS (SELECT doc_id, t, regexp_extract_all(t, '[^\x20\x09-\x0D]+') AS ws,
                      list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS ls,
-                     list_distinct(regexp_split_to_array(lower(t), '[^\pL]+')) AS ts FROM d),
+                     regexp_split_to_array(lower(t), '[^\pL]+') AS ts FROM d),
         g AS (SELECT doc_id, i, array_to_string(ws[i:i+4], ' ') AS k FROM (SELECT doc_id, ws, unnest(range(1, len(ws) - 3)) AS i FROM w)),
         r AS (SELECT doc_id, i, count(*) OVER (PARTITION BY doc_id, k) AS c FROM g),
         v AS (SELECT doc_id, count(DISTINCT i + j) AS n FROM r, range(5) AS o(j) WHERE c > 1 GROUP BY doc_id),
@@ -150,6 +150,6 @@ ORACLES = {
                n_dup_lines::BIGINT AS n_dup_lines, n_repeat_words::BIGINT AS n_repeat_words, base_failed,
                NOT base_failed AND word_chars BETWEEN 1.5 * n_words AND 14 * n_words AND n_symbols <= 0.25 * n_words
                AND n_dup_lines <= 0.3 * n_lines AND n_ellipsis <= 0.5 * n_lines AND n_bullet <= 0.9 * n_lines
-               AND n_letter >= 0.6 * n_words AND n_stop >= 1 AS kept
+               AND n_letter >= 0.6 * n_words AND n_stop >= 0.01 * n_words AS kept
         FROM b""".replace(r"\\", "\\").replace("{stop}", ", ".join(f"'{w}'" for w in sorted({w for words in quality.STOP_WORDS.values() for w in words}))),
 }

@@ -400,6 +400,35 @@ def test_suffix_dedup(spark):
     assert suffix_dedup.digests(docs.limit(0)).count() == 0
 
 
+@pytest.mark.parametrize("levels", [1, 2, 4])
+def test_divided_windows_keep_equal_ones_together(levels):
+    rng = random.Random(levels)
+    shared = words(rng, 70).encode()
+    keys, runs = {}, 0
+    for _ in range(30):
+        raw = words(rng, rng.randrange(60)).encode() + shared[rng.randrange(60) :] + words(rng, rng.randrange(60)).encode() + b"ab" * rng.randrange(120)
+        if len(raw) < 200:
+            continue
+        parts = suffix_dedup.divided(raw, 77, levels)
+        assert [p[0] for p in parts] == np.cumsum([0, *(p[1] for p in parts)])[:-1].tolist() and sum(p[1] for p in parts) == len(raw) - 199
+        runs += len(parts)
+        for begin, n, key in parts:
+            for i in range(begin, begin + n):
+                assert keys.setdefault(raw[i : i + 200], key) == key
+    assert runs > 60
+
+
+def test_suffix_dedup_divides_hot_passages(spark, monkeypatch):
+    monkeypatch.setattr(suffix_dedup, "HOT_SEGMENTS", 2)
+    rng = random.Random(6)
+    shared = words(rng, 70)
+    texts = [(i, words(rng, rng.randrange(5, 40)) + " " + shared[: rng.choice([260, 300, 349])] + words(rng, rng.randrange(5, 40))) for i in range(40)]
+    raw = [t.encode() for _, t in texts]
+    seen = Counter(b[i : i + 200] for b in raw for i in range(len(b) - 199))
+    want = {i: len({x + k for x in range(len(b) - 199) if seen[b[x : x + 200]] > 1 for k in range(200)}) for (i, _), b in zip(texts, raw, strict=True)}
+    assert {r["doc_id"]: r["n_removed"] for r in suffix_dedup.digests(table(spark, texts)).collect()} == want
+
+
 def test_whole_characters():
     raw = "aéb".encode()
     assert suffix_dedup.whole_characters(raw, [[2, 4]]) == [[3, 4]] and suffix_dedup.whole_characters(raw, [[0, 2]]) == [[0, 1]]

@@ -57,6 +57,8 @@ def test_quality_measures(docs):
 def test_quality_keeps_columns_of_clashing_names(docs, empty):
     clash = docs.withColumnRenamed("n_chars", "n_words").withColumnRenamed("lang", "kept")
     assert quality.kept(clash).columns == clash.columns and quality.kept(clash).count() == 3
+    own = quality.judged(docs.withColumnRenamed("n_chars", "_Words").withColumnRenamed("lang", "_keys").withColumnRenamed("source", "_lines"))
+    assert {"_Words", "_keys", "_lines"} <= set(own.columns) and {r["_lines"] for r in own.collect()} == {"a", "b", None}
     assert quality.judged(empty).count() == 0
     assert "Python" not in quality.kept(docs)._jdf.queryExecution().executedPlan().toString()
 
@@ -150,6 +152,52 @@ def test_licence_seeds_find_every_fuzzy_match():
             assert notice.label in found, hay
 
 
+def brute_scan(text):
+    """Words and base places by plain Python; labels by matching every notice against the whole text."""
+    import regex
+
+    lower = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in text)
+    words = regex.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", lower)
+    base = sorted((i, label) for phrase, label in licenses.PHRASES.items() for p in [phrase.split()] for i in range(len(words)) if words[i : i + len(p)] == p)
+    hay = f" {' '.join(words)} "
+    labels = {n.label for n in licenses.NOTICES if regex.search(f"(?:{n.text}){{e<={n.edits}}}", hay)}
+    return len(words), base, labels
+
+
+def test_licences_against_brute_force():
+    import random
+
+    rng, scanner = random.Random(14), licenses.Scanner()
+    fillers = ["foo", "BAR", "the", "license", "rights", "é", "日本", "12", "cc", "by", "CC-BY", "permission is", "all", "-", "\n", "reserved"]
+    for _ in range(250):
+        parts = []
+        for _ in range(rng.randint(0, 12)):
+            if rng.random() < 0.3:
+                text = list(rng.choice(licenses.NOTICES).text)
+                for _ in range(rng.randint(0, 8)):
+                    at = rng.randrange(len(text) + 1)
+                    text[at : at + rng.choice([0, 1])] = rng.choice(["", "z", "é", "\u2009", "𝄞", "  ", "."])
+                parts.append("".join(text))
+            else:
+                parts.append(rng.choice(fillers))
+        text = rng.choice([" ", ", ", ""]).join(parts)
+        n, spans = scanner.scan(text)
+        want, base, labels = brute_scan(text)
+        assert n == want and sorted((s["first_word"], s["label"]) for s in spans if s["base"]) == base, text
+        assert {s["label"] for s in spans if not s["base"]} == labels, text
+        assert all(0 <= s["first_word"] and s["first_word"] + s["n_words"] <= n for s in spans), text
+
+
+def test_licences_in_long_repetitive_texts():
+    import time
+
+    scanner, began = licenses.Scanner(), time.perf_counter()
+    for text in ("permission is " * 40_000, "license " * 60_000 + "released under the mit license", "rights all " * 40_000):
+        scanner.scan(text)
+    assert time.perf_counter() - began < 30
+    assert {s["label"] for s in scanner.scan("license " * 60_000 + "released under the mit license")[1]} == {"mit"}
+
+
 def test_query_digests(spark, tmp_path, docs):
     from lattica.llm import queries
 
