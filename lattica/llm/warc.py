@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import open_store, publish
+from .common import open_store, publish, ship
 
 DICTIONARY_FRAME = 0x184D2A5D
 ZSTD_FRAME = 0xFD2FB528
@@ -37,11 +37,13 @@ class ArchiveError(ValueError):
     pass
 
 
-def deduplicated(pages: DataFrame, page_id: str = "page_id", url: str = "url", html: str = "html", least: int = LEAST) -> DataFrame:
+def deduplicated(pages: DataFrame, page_id: str = "page_id", url: str = "url", html: str = "html", least: int = LEAST, parts: int = 32) -> DataFrame:
     """page_id, url, payload, payload_bytes, payload_digest, record_type, refers_to.
 
-    Only digests that occur more than once reach the join, and they are counted before the shuffle.
+    Only digests that occur more than once reach the join, and they are counted before the shuffle. Rows of one digest are dealt to
+    `parts` parts of the join, and payloads below `least` bytes meet nothing, so no task has all copies of a payload.
     """
+    ship(pages.sparkSession)
     rows = pages.select(F.col(page_id).cast("bigint").alias("page_id"), F.col(url).cast("string").alias("url"), F.coalesce(F.col(html), F.lit("")).cast("binary").alias("payload"))
     rows = rows.withColumns({"payload_bytes": F.octet_length("payload").cast("bigint"), "payload_digest": F.sha2("payload", 256)})
     repeated = (
@@ -49,10 +51,12 @@ def deduplicated(pages: DataFrame, page_id: str = "page_id", url: str = "url", h
         .groupBy("payload_digest")
         .agg(F.min("page_id").alias("first_id"), F.count(F.lit(1)).alias("n"))
         .where("n > 1")
-        .drop("n")
+        .select(F.col("payload_digest").alias("of"), "first_id", F.explode(F.sequence(F.lit(0), F.lit(parts - 1))).alias("part"))
     )
+    own = F.xxhash64("page_id", "url")
+    rows = rows.withColumns({"meets": F.when(F.col("payload_bytes") >= least, F.col("payload_digest")).otherwise(F.concat(F.lit("-"), own.cast("string"))), "deal": F.pmod(own, F.lit(parts)).cast("int")})
     revisit = F.col("first_id").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("first_id"))
-    return rows.join(repeated, "payload_digest", "left").select(
+    return rows.join(repeated, (F.col("meets") == F.col("of")) & (F.col("deal") == F.col("part")), "left").select(
         "page_id",
         "url",
         "payload",
@@ -248,6 +252,7 @@ def read(spark: SparkSession, path: str, names: list[str], payloads: bool = True
                 if held:
                     yield pa.RecordBatch.from_pylist([{k: r[k] for k in types} for r in held], arrow)
 
+    ship(spark)
     if not names:
         return spark.createDataFrame([], schema)
     return spark.createDataFrame([(n,) for n in names], "name string").repartition(len(names)).mapInArrow(run, schema)
