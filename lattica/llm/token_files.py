@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import open_store, publish, quiet_threads
+from .common import open_store, publish, quiet_threads, ship
 from .wordcache import STICKY, STORE_BYTES, CachedEncoder, slices
 
 NULL_ID = -(2**63)
@@ -103,6 +103,7 @@ class Dataset:
 
 def write(docs: DataFrame, path: str, tokenizer: str, end_id: int = 1, doc_id: str = "doc_id", text: str = "text", shards: int | None = None) -> Dataset:
     """Encode the documents and write them in ascending order of id, end_id after each."""
+    ship(docs.sparkSession)
     dtype = "<u2" if max(vocabulary_size(tokenizer), end_id + 1) <= 1 << 16 else "<u4"
     chosen = docs.select(F.col(doc_id).cast("bigint").alias("doc_id"), F.col(text).alias("text"))
     if shards is None:
@@ -132,7 +133,8 @@ def write(docs: DataFrame, path: str, tokenizer: str, end_id: int = 1, doc_id: s
         publish(path, f"{name}.doc", lambda out: out.write(np.concatenate([*ids, np.zeros(0, "<i8")]).tobytes()))
         yield pa.RecordBatch.from_pydict({"shard": [number], "docs": [sum(map(len, ids))], "ids": [total]})
 
-    ordered = chosen.repartitionByRange(shards, F.asc_nulls_first("doc_id")).sortWithinPartitions(F.asc_nulls_first("doc_id"), F.asc_nulls_first("text"))
+    # beginnings of texts divide rows of one id, or without any, as the order by text does
+    ordered = chosen.repartitionByRange(shards, F.asc_nulls_first("doc_id"), F.asc_nulls_first(F.substring("text", 1, 32))).sortWithinPartitions(F.asc_nulls_first("doc_id"), F.asc_nulls_first("text"))
     # one small row for each file: bounded by the number of shards, not by the documents
     done = sorted(tuple(r) for r in ordered.mapInArrow(run, "shard bigint, docs bigint, ids bigint").collect())
     base, rows = 0, []
@@ -196,6 +198,7 @@ def read(spark: SparkSession, data: Dataset, checksum_only: bool = False) -> Dat
                         out["ids"] = pa.ListArray.from_arrays(pa.array(cut, pa.int32()), pa.array(block.astype(np.int64)))
                     yield pa.RecordBatch.from_pydict(out)
 
+    ship(spark)
     if not rows:
         return spark.createDataFrame([], schema)
     shards = spark.createDataFrame(rows, "shard int, base bigint").repartition(len(rows))
