@@ -20,6 +20,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from .common import ship
+
 # Exact phrases and their labels.
 PHRASES = {
     "cc by": "cc-by",
@@ -168,4 +170,5 @@ def scanned(docs: DataFrame, notices: tuple[Notice, ...] = NOTICES, phrases: dic
                 )
 
     source = docs if keep_text else docs.select(*dict.fromkeys([*names, text]))
+    ship(docs.sparkSession)
     return source.mapInArrow(run, T.StructType([*fields, T.StructField("n_words", T.LongType()), T.StructField("spans", _SPANS)]))

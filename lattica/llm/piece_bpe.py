@@ -25,6 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from .common import ship
 from .wordcache import STICKY_OR_LOOSE, CachedEncoder, slices
 
 SPACE = "▁"
@@ -243,6 +244,7 @@ def encoded(docs: DataFrame, model_path: str, text: str = "text", ids: str = "id
     fields = [f for f in docs.schema if f.name != ids and (keep_text or f.name != text)]
     names = [f.name for f in fields]
     source = docs if keep_text else docs.select(*dict.fromkeys([*names, text]))
+    ship(docs.sparkSession)
 
     def run(batches):
         encoder = _encoder(model_path)
@@ -259,6 +261,7 @@ def encoded(docs: DataFrame, model_path: str, text: str = "text", ids: str = "id
 
 def decoded(docs: DataFrame, model_path: str, ids: str = "ids", text: str = "decoded") -> DataFrame:
     """Adds the text of each row's ids; null ids give ''."""
+    ship(docs.sparkSession)
     fields = [f for f in docs.schema if f.name != text]
     names = [f.name for f in fields]
 

@@ -488,3 +488,33 @@ def test_repeated_rows_and_ids_keep_one_text(spark):
     assert sorted(((r["doc_id"], r["text"]) for r in first.collect()), key=str) == want
     left = suffix_dedup.removed(first)
     assert sorted(((r["doc_id"], r["text"]) for r in left.collect()), key=str) == want
+
+
+def test_stages_on_odd_rows(spark):
+    """Nulls in every column, empty and very long texts, ties, repeated rows, columns with names that stages use inside."""
+    import corpus_pipeline
+
+    rng = random.Random(21)
+    long = " ".join("the " + words(rng, 8) for _ in range(4000))
+    prose = ["the " + " and the ".join(words(rng, 6) for _ in range(8)) for _ in range(4)]
+    texts = [(None, None), (None, prose[0]), (1, prose[1]), (1, prose[1]), (2, prose[1]), (3, ""), (4, " \n\t"), (5, long), (6, prose[2]), (7, prose[3])]
+    sources = [None, "a", "a", "a", "b", None, "b", None, "b", "a"]
+    docs = table(spark, texts, sources)
+    for more in ("row", "key", "mark", "id", "place", "parts", "_words", "begin", "copy", "label", "size", "block"):
+        docs = docs.withColumn(more, docs["doc_id"] + 1)
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        out = stage(spark, docs, "")
+        rows = out.collect()
+        assert out.columns == docs.columns, name
+        got = {r["doc_id"] for r in rows}
+        if name in ("quality_rules", "source_mix"):
+            assert {5, 6, 7} <= got and not {3, 4} & got, name
+        if name == "near_duplicate_join":
+            assert sorted(map(str, (r["doc_id"] for r in rows))) == sorted(map(str, [None, None, 1, 3, 4, 5, 6, 7]))
+        if name == "repeated_strings":
+            assert {3, 4, 5, 6, 7} <= got and next(r["text"] for r in rows if r["doc_id"] == 5) == long
+        assert all(r["key"] == (None if r["doc_id"] is None else r["doc_id"] + 1) for r in rows), name
+        assert stage(spark, docs.limit(0), "").count() == 0
+    ids = corpus_pipeline.STAGES[-1][1](spark, docs, "")
+    assert ids.count() == len(texts) and ids.where("n_tokens = 0").count() == 2
+    assert corpus_pipeline.STAGES[-1][1](spark, docs.limit(0), "").count() == 0
