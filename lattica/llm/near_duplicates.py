@@ -10,9 +10,10 @@ level, exact similarities of the verified pairs tell how likely each was to be m
 pairs there must be; it stops once the pairs found are the target share of that, and a pair at the threshold itself would
 be met with the least certainty `floor`. Each level verifies only pairs that no longer prefix joined.
 
-Classes that meet at a level, directly or through others, form a group. A group of up to `block` classes is compared in
-one piece. A larger one falls apart into the nodes of the tries, each cut into blocks that are compared two by two, and a pair is
-verified at the first tree that joins it: work goes by the pairs that meet, not by the square of what is connected.
+Classes that meet at a level, directly or through others, form a group, which is cut into blocks of `block` classes that are
+compared two by two. A group of more than `connected` classes falls apart into the nodes of the tries, cut into blocks in
+the same way, and a pair of it is verified at the first tree that joins it: there work goes by the pairs that meet, not by the square of
+what is connected. Both ways give the same links.
 A task gives one row per class and block pair: how many documents it links to, and the least key that verified
 links reach in the block pair. Components over these rows are the near-duplicate classes.
 
@@ -60,7 +61,8 @@ class Forest:
     recall: float = 0.999
     floor: float = 0.99
     threshold: float = THRESHOLD
-    block: int = 64
+    block: int = 256
+    connected: int = 1 << 15
     seed: int = 7
 
     def __post_init__(self) -> None:
@@ -298,10 +300,10 @@ def _level(docs: DataFrame, classes: DataFrame, forest: Forest, depth: int, befo
     groups = components(met.select(F.col("key").alias("a"), F.col("leader").alias("b")))
     groups = groups.select(F.col("node").alias("key"), F.col("label").alias("comp"))
     sizes = groups.groupBy("comp").agg(F.count(F.lit(1)).alias("m"))
-    groups = saved(groups.join(sizes, "comp").withColumn("whole", F.col("m") <= forest.block), "near-groups")
-    small = groups.where("whole").select("key", F.xxhash64("comp").alias("place"), F.lit(-1).alias("tree"), F.lit(0).alias("i"), F.lit(0).alias("j"), F.lit(3).alias("side"))
+    groups = saved(groups.join(sizes, "comp").withColumn("whole", F.col("m") <= forest.connected), "near-groups")
+    small = groups.where("whole").select("key", F.xxhash64("comp").alias("place"), F.lit(-1).alias("tree"))
     large = met.join(groups.where("NOT whole").select("key"), "key").select("key", F.xxhash64("tree", "node").alias("place"), "tree")
-    placed = small.unionByName(_blocks(large, forest.block))
+    placed = _blocks(small.unionByName(large), forest.block)
     placed = placed.join(classes.select("key", "rep_id", "rep_mark", "n", "trees"), "key")
     source = _source(docs).join(placed.select("rep_id", "rep_mark").distinct(), F.col("doc_id").eqNullSafe(F.col("rep_id")) & (F.col("mark") == F.col("rep_mark")), "left_semi")
     one = source.groupBy("doc_id", "mark").agg(F.first("text").alias("text"))  # rows with the same id and text are one

@@ -237,9 +237,9 @@ def near_case():
 
 def test_near_duplicates(spark):
     texts = near_case()
-    forest = near_duplicates.Forest(block=16)
-    got = sorted(((r["doc_id"], r["class_id"], r["n_links"]) for r in near_duplicates.joined(table(spark, texts), forest).collect()), key=str)
-    assert got == brute_classes(texts)
+    for forest in (near_duplicates.Forest(block=16, connected=20), near_duplicates.Forest(block=16)):
+        got = sorted(((r["doc_id"], r["class_id"], r["n_links"]) for r in near_duplicates.joined(table(spark, texts), forest).collect()), key=str)
+        assert got == brute_classes(texts)
     assert near_duplicates.joined(table(spark, texts).limit(0)).count() == 0
     kept = near_duplicates.kept(table(spark, texts), forest)
     assert kept.columns == SCHEMA.replace(",", "").split()[::2]
