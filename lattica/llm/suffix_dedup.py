@@ -35,6 +35,8 @@ from .induced_sort import InducedSorter
 LENGTH, GRAM = 200, 32
 #: Distinct segments that a key may have before its windows are divided by more grams, and by how much each gram is reckoned to divide.
 HOT_SEGMENTS, DIVIDED_BY = 64, 8
+#: A segment is common if more than one in so many of all segments equal it. Fewer than that many different ones can be, so they are broadcast.
+COMMON = 4096
 _U = np.uint64
 _SLICE = 1 << 18
 
@@ -214,21 +216,40 @@ def spool_folder(spark: SparkSession) -> str | None:
     return f"{path}/induced-sort" if path else None
 
 
+def _common(found: DataFrame) -> DataFrame:
+    """key, digest and windows of the common segments, their number n, whether any is `again`, and id, mark and begin of one.
+
+    Keys are counted by buckets first (combined before the shuffle), and segments of full buckets one by one.
+    """
+    least = max(found.count() // COMMON, 1)
+    placed = found.withColumn("bucket", F.pmod(F.xxhash64("key"), F.lit(16 * COMMON)))
+    full = placed.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > least).select("bucket")  # fewer than COMMON rows
+    kinds = placed.join(F.broadcast(full), "bucket", "left_semi").groupBy("key", "digest", "windows")
+    kinds = kinds.agg(F.count(F.lit(1)).alias("n"), F.max("again").alias("again"), F.min(F.struct("id", "mark", "begin")).alias("one")).where(F.col("n") > least)
+    return saved(kinds.select("key", "digest", "windows", "n", "again", "one.id", "one.mark", "one.begin"), "segments-common")
+
+
 def repeated_ranges(rows: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
     """id, mark, begin and end of ranges of windows that begin elsewhere too. rows: id, mark, text."""
     spark = rows.sparkSession
     ship(spark)
     found = saved(_segments(rows, length, gram), "segments")
-    same = Window.partitionBy("key", "digest", "windows")
+    # common segments are marked where they lie, and one of each stands for all in the windows below
+    kind, common = ["key", "digest", "windows"], _common(found)
+    marked = found.join(F.broadcast(common.select(*kind)), kind, "left_semi")
+    others = found.join(F.broadcast(common.select(*kind)), kind, "left_anti").withColumn("copies", F.lit(1).cast("bigint"))
+    others = others.unionByName(common.withColumnRenamed("n", "copies"))
+    same = Window.partitionBy(*kind)
     alike = same.orderBy("id", "mark", "begin")
     # one shuffle by key serves both windows: the finer grouping is within the coarser
-    counted = found.repartition("key").withColumns({"n": F.count(F.lit(1)).over(same), "any": F.max("again").over(same), "nth": F.row_number().over(alike)})
+    counted = others.repartition("key").withColumns({"n": F.sum("copies").over(same), "any": F.max("again").over(same), "nth": F.row_number().over(alike)})
     whole = Window.partitionBy("key")
     counted = counted.withColumns({"low": F.min("digest").over(whole), "high": F.max("digest").over(whole), "least": F.min("windows").over(whole), "most": F.max("windows").over(whole), "distinct": F.count_if(F.col("nth") == 1).over(whole)})
     mixed = (F.col("low") != F.col("high")) | (F.col("least") != F.col("most")) | F.col("any")
     levels = F.when(F.col("distinct") > HOT_SEGMENTS, F.ceil(F.log(F.col("distinct") / HOT_SEGMENTS) / F.log(F.lit(float(DIVIDED_BY))))).otherwise(0).cast("int")
     counted = saved(counted.where((F.col("n") > 1) | mixed).select("id", "mark", "begin", "windows", "key", "n", (mixed & (F.col("nth") == 1)).alias("sort"), levels.alias("levels")), "segments-repeated")
-    full = counted.where("n > 1").select("id", "mark", "begin", (F.col("begin") + F.col("windows")).alias("end"))
+    full = counted.where("n > 1").select("id", "mark", "begin", "windows").unionByName(marked.select("id", "mark", "begin", "windows"))
+    full = full.select("id", "mark", "begin", (F.col("begin") + F.col("windows")).alias("end"))
     pieces = _with_bytes(counted.where("sort"), rows, length, gram)
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 1)
     return full.unionByName(_sorted_ranges(pieces.repartition(parts, "key"), length, spool_folder(spark)))

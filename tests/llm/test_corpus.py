@@ -382,10 +382,13 @@ def test_induced_sort_holds_no_more_than_its_bound(kind):
     assert most[1] < 1.5 * most[0] and most[1] < 6 << 20, most
 
 
-def test_suffix_dedup(spark):
+@pytest.mark.parametrize("common", [1, 8, suffix_dedup.COMMON])
+def test_suffix_dedup(spark, monkeypatch, common):
+    # 1: no segment is common; 8: some are; else all that occur twice
+    monkeypatch.setattr(suffix_dedup, "COMMON", common)
     rng = random.Random(8)
     shared = words(rng, 80)
-    texts = [(1, None), (2, ""), (3, "short"), (4, "a" * 500), (5, "ab" * 101), (6, "é" * 150), (None, "é" * 150), (7, words(rng, 30) + shared + words(rng, 30)), (8, words(rng, 3) + shared + "tail"), (9, words(rng, 400)), (10, "x" * 200), (10, "x" * 200)]
+    texts = [(1, None), (2, ""), (3, "short"), (4, "a" * 500), (5, "ab" * 101), (6, "é" * 150), (None, "é" * 150), (7, words(rng, 30) + shared + words(rng, 30)), (8, words(rng, 3) + shared + "tail"), (9, words(rng, 400)), (10, "x" * 200), (10, "x" * 200), *((20 + i, shared) for i in range(12))]
     raw = [(t or "").encode() for _, t in texts]
     seen = Counter(b[i : i + 200] for b in raw for i in range(len(b) - 199))
     want = []
