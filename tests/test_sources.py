@@ -127,3 +127,46 @@ def test_sets_samples_and_sketches(spark):
     assert about.where(F.abs(F.col("degree") - F.col("exact")) > 0.2 * F.col("exact")).count() == 0
     seeds = g.labelled("SIDE").select("vid").limit(5)
     assert sorted(map(tuple, g.ball_sql(seeds, 2).collect())) == sorted(map(tuple, g.ball(seeds, 2).collect()))
+
+
+def _odd_vectors(folder):
+    """Embeddings of many lengths with equal ones, a zero one, one with a NaN and one id twice; and as many again with nulls."""
+    import numpy as np
+    import pyarrow as pa
+    import pyarrow.parquet as pq
+
+    rng = np.random.default_rng(5)
+    v = (rng.normal(size=(300, 64)) * 10.0 ** rng.integers(-18, 18, (300, 1))).astype(np.float32)
+    v[7] = v[8] = v[9]
+    v[20], v[21, 3], v[22, 5] = 0, np.nan, np.inf
+    ids, rows, label = [*range(299), 5], v.tolist(), [i % 3 for i in range(300)]
+    schema = pa.schema([("vec_id", pa.int64()), ("embedding", pa.list_(pa.float32())), ("label", pa.int32())])
+    for name, more in (("whole", []), ("nulls", [(900, None), (901, [None, *rows[0][1:]]), (902, rows[7][:63]), (None, rows[7]), (903, [])])):
+        (folder / name).mkdir()
+        table = pa.table([ids + [i for i, _ in more], rows + [x for _, x in more], label + [0] * len(more)], schema=schema)
+        pq.write_table(table, folder / name / "embeddings.parquet")
+    return str(folder / "whole"), str(folder / "nulls")
+
+
+def _by_sql(name, folder):
+    import duckdb
+
+    from lattica import queries
+
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW embeddings AS SELECT * FROM '{folder}/embeddings.parquet'")
+    return sorted(con.sql(queries.oracle_sql()[name]).fetchall())
+
+
+def test_similar_vectors_of_any_kind(spark, tmp_path):
+    whole, nulls = _odd_vectors(tmp_path)
+    want = _by_sql("g_similar_edges", whole)
+    assert len(want) > 2 * 2 * 296
+    for blocks in (1, 3, 8):
+        assert sorted(map(tuple, builders.similar(spark, whole, blocks=blocks).edges.collect())) == want
+    assert sorted(map(tuple, builders.similar(spark, nulls).edges.collect())) == want
+
+
+def test_similar_vectors_meet_in_products_of_matrices(spark):
+    plan = builders.similar(spark, SF).edges._jdf.queryExecution().executedPlan().toString()
+    assert "FlatMapGroupsInArrow" in plan and "Join" not in plan
