@@ -170,3 +170,19 @@ def test_similar_vectors_of_any_kind(spark, tmp_path):
 def test_similar_vectors_meet_in_products_of_matrices(spark):
     plan = builders.similar(spark, SF).edges._jdf.queryExecution().executedPlan().toString()
     assert "FlatMapGroupsInArrow" in plan and "Join" not in plan
+
+
+def _each_id_once(folder, whole):
+    import pyarrow.parquet as pq
+
+    (folder / "once").mkdir()
+    pq.write_table(pq.read_table(f"{whole}/embeddings.parquet").slice(0, 299), folder / "once/embeddings.parquet")
+    return str(folder / "once")
+
+
+def test_cosines_agree_on_vectors_of_any_kind(spark, tmp_path):
+    from lattica import queries
+
+    whole, _ = _odd_vectors(tmp_path)
+    once = _each_id_once(tmp_path, whole)
+    assert sorted(map(tuple, queries.queries()["g_similar_udf"](spark, once).collect())) == _by_sql("g_similar_udf", once)
