@@ -186,3 +186,21 @@ def test_cosines_agree_on_vectors_of_any_kind(spark, tmp_path):
     whole, _ = _odd_vectors(tmp_path)
     once = _each_id_once(tmp_path, whole)
     assert sorted(map(tuple, queries.queries()["g_similar_udf"](spark, once).collect())) == _by_sql("g_similar_udf", once)
+
+
+def test_recursive_balls_of_more_than_a_million_rows(spark):
+    from lattica.model.graph import PropertyGraph
+
+    n = 1100  # a star: from each leaf, all leaves are two steps away
+    vertices = spark.range(n).select(F.col("id").alias("vid"), F.lit("P").alias("vlabel"))
+    g = PropertyGraph.of(vertices, vertices.where("vid > 0").select(F.lit(0).alias("src"), F.col("vid").alias("dst"), F.lit("e").alias("elabel")), directed=False)
+    rows = g.ball_sql(vertices.select("vid"), 2).groupBy("centre").agg(F.count(F.lit(1)).alias("n"))
+    assert [tuple(r) for r in rows.groupBy("n").count().collect()] == [(n, n)]
+
+
+def test_recursive_balls_far_out(spark):
+    from lattica.model.graph import PropertyGraph
+
+    vertices = spark.range(130).select(F.col("id").alias("vid"), F.lit("P").alias("vlabel"))
+    g = PropertyGraph.of(vertices, vertices.where("vid > 0").select((F.col("vid") - 1).alias("src"), F.col("vid").alias("dst"), F.lit("e").alias("elabel")))
+    assert g.ball_sql(vertices.where("vid = 0").select("vid"), 120).count() == 121
