@@ -204,3 +204,15 @@ def test_recursive_balls_far_out(spark):
     vertices = spark.range(130).select(F.col("id").alias("vid"), F.lit("P").alias("vlabel"))
     g = PropertyGraph.of(vertices, vertices.where("vid > 0").select((F.col("vid") - 1).alias("src"), F.col("vid").alias("dst"), F.lit("e").alias("elabel")))
     assert g.ball_sql(vertices.where("vid = 0").select("vid"), 120).count() == 121
+
+
+def test_sketched_degrees_are_exact_while_small(spark):
+    from lattica.model.graph import PropertyGraph
+
+    arcs = spark.range(20_000).select(F.col("id").alias("src"), F.explode(F.sequence(F.lit(1), F.lit(4))).alias("k"))
+    hub = spark.range(100_000).select(F.lit(-1).alias("src"), (F.col("id") + 10**9).alias("dst"), F.lit("e").alias("elabel"))
+    edges = arcs.select("src", (F.col("src") * 4 + F.col("k") + 10**6).alias("dst"), F.lit("e").alias("elabel")).union(hub)
+    found = {r["degree"] for r in PropertyGraph(spark.range(20_000).select(F.col("id").alias("vid")), edges, directed=False).degrees_about().where("vid >= 0").select("degree").distinct().collect()}
+    assert found == {4}
+    about = PropertyGraph(spark.range(1).select(F.col("id").alias("vid")), hub, directed=False).degrees_about().first()["degree"]
+    assert abs(about - 100_000) < 10_000
