@@ -345,3 +345,10 @@ def test_shape_of_results_without_rows(spark):
     rule = parse_rule("match (x:P)-[e]->(y:Q) then true")
     assert validate.violations(g, rule).columns == ["x", "y"] and validate.violations(g, rule).count() == 0
     assert len(shape.components(rule.pattern)) == 1
+
+
+def test_pivots_with_their_candidates(spark):
+    g = make(spark, [(1, "P", {}), (2, "P", {}), (5, "Q", {})], [(1, 5, "e"), (2, 5, "e")])
+    rules = [parse_rule("match (a:P)-[e]->(b:Q) then false", "pair"), parse_rule("match (a:P), (b:_) then false", "two"), parse_rule("match (a:R) then false", "none")]
+    want = {("pair", 0, "b", 1, 1, 5, 5), ("two", 0, "a", 0, 2, 1, 2), ("two", 1, "b", 0, 3, 1, 5), ("none", 0, "a", 0, 0, None, None)}
+    assert set(map(tuple, balanced.pivot_table(g, rules).collect())) == want
