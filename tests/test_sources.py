@@ -216,3 +216,11 @@ def test_sketched_degrees_are_exact_while_small(spark):
     assert found == {4}
     about = PropertyGraph(spark.range(1).select(F.col("id").alias("vid")), hub, directed=False).degrees_about().first()["degree"]
     assert abs(about - 100_000) < 10_000
+
+
+def test_triangles_of_vectors_of_any_kind(spark, tmp_path):
+    from lattica import queries
+
+    whole, _ = _odd_vectors(tmp_path)
+    once = _each_id_once(tmp_path, whole)
+    assert sorted(map(tuple, queries.queries()["v_similar_triangle"](spark, once).collect())) == _by_sql("v_similar_triangle", once)
